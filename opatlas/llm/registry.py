@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat_format, html_text, mixing, quality_model, quality_rules, simhash, token_counts, url_filters
+from . import chat_format, html_text, media, mixing, piece_sampling, quality_model, quality_rules, simhash, token_counts, url_filters
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -31,10 +31,18 @@ def op2_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_text.extract(table(spark, sf_dir, "pages"))
 
 
+def op3_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return media.store_texts(table(spark, sf_dir, "documents"), keep_media=False)
+
+
 def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(table(spark, sf_dir, "documents"), tokenizer_path("byte_bpe_50k.json"))
 
 
+def op5_piece_sampling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return piece_sampling.sample_pieces(table(spark, sf_dir, "documents"), tokenizer_path("piece_bpe_32k.model"))
+
+
 def op6_quality_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_model.digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -52,7 +60,7 @@ def op10_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_url_filters, op2_html_extraction, op4_token_counts, op6_quality_model, op7_quality_rules, op8_chat_format, op9_simhash_dedup, op10_source_mixing)}
+    return {f.__name__: f for f in (op1_url_filters, op2_html_extraction, op3_media_columns, op4_token_counts, op5_piece_sampling, op6_quality_model, op7_quality_rules, op8_chat_format, op9_simhash_dedup, op10_source_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
