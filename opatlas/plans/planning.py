@@ -43,3 +43,14 @@ def choose(method: str, n: int) -> Choice:
         if most is None or n <= most:
             return Choice(name, f"{method}: {n} is " + ("beyond the smaller strategies" if most is None else f"at most {most}"))
     raise AssertionError
+
+
+def with_each(rows: DataFrame, model: DataFrame, limit: int = BROADCAST_ROWS) -> DataFrame:
+    """Every row with every row of a model-sized table (taxonomy, labelers, mixture), which rides along as an array.
+
+    The table is counted first; beyond ``limit`` rows this is refused.
+    """
+    if not small(model, limit):
+        raise ValueError(f"the model side has more than {limit} rows")
+    listed = model.agg(F.collect_list(F.struct(*model.columns)).alias("_each")).withColumn("_one", F.lit(1))
+    return rows.withColumn("_one", F.lit(1)).join(F.broadcast(listed), "_one").select(*rows.columns, F.inline("_each"))
