@@ -35,8 +35,8 @@ from .common import map_batches
 SEED = 7
 ALPHA = 1.0
 #: Units whose lattices a task keeps, and characters of text in one slice: both bound its memory only.
-CACHE = 120_000
-SLICE = 1 << 20
+CACHE = 60_000
+SLICE = 1 << 17
 BLANK = "▁"
 _MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
 _SLOTS = 20
@@ -78,10 +78,20 @@ class Pieces:
         self.weight = {t: -alpha * math.log(i - first + 2) for t, i in self.ids.items()}
         self.byte_weight = -alpha * math.log(len(self.texts) + 2)
         self.longest = max(map(len, self.ids))
-        joined = sorted({c for t in self.ids if len(t) > 1 for c in t} - {" "})
-        self.unit = f" *[{''.join(map(re.escape, joined))}]+| +|(?s:.)"
+        self.unit = self._unit_pattern()
         self._hash()
 
+    def _unit_pattern(self) -> str:
+        """Units by what stands side by side in some piece: a sign that follows no letter in any piece ends a unit of letters."""
+        beside = {(a, b) for t in self.ids for a, b in zip(t, t[1:], strict=False) if a != " "}
+        joined = {c for t in self.ids if len(t) > 1 for c in t} - {" "}
+        letters = {c for c in joined if c.isalpha()}
+        while more := {b for a, b in beside if a in letters and b not in letters}:
+            letters |= more
+        a, b = ("".join(map(re.escape, sorted(x))) for x in (letters, joined - letters))
+        signs = f"[{b}]" if b else "(?!)"
+        return f" *(?:{signs}*[{a}]+|{signs}+)| +|(?s:.)"
+
     def _hash(self) -> None:
         """A table by hash of all pieces and their beginnings, so that whole arrays of places are matched at once.
 
@@ -154,9 +164,9 @@ class Sampler:
 
     def _forget(self) -> None:
         self.index = Index()
-        #: By unit its length and first node; by node its last edge; by edge id, length and node plus running probability.
-        self.length, self.base, self.last = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64)
-        self.ids, self.back, self.order = np.zeros(0, np.int32), np.zeros(0, np.uint8), np.zeros(0)
+        #: By unit its length and first node; by node its first edge; by edge id, length and running probability.
+        self.length, self.base, self.first = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(1, np.int64)
+        self.ids, self.back, self.running = np.zeros(0, np.int32), np.zeros(0, np.uint8), np.zeros(0)
 
     def _character(self, c: str) -> tuple[int, float]:
         """How a character that is no piece is written, and its weight."""
@@ -209,19 +219,21 @@ class Sampler:
             total = top[:, 0] + np.log(np.exp(ways - top).sum(axis=1))
             forward[slot[end]] = total
             weight[end, :k] = ways - total[:, None]
-        node, size = np.nonzero(weight > -np.inf)
-        chance = np.exp(weight[node, size])
+        # longer pieces first: they are likelier, and draws look at one after the other
+        node, size = np.nonzero(weight[:, ::-1] > -np.inf)
+        size = most - 1 - size
         counts = np.bincount(node, minlength=n)
-        last = np.cumsum(counts)
-        running = np.cumsum(chance)
-        running -= np.repeat(running[last - counts] - chance[last - counts], counts)
-        running[last - 1] = 1.0
-        self.order = np.concatenate([self.order, node + len(self.last) + np.minimum(running, 1.0)])
+        ends = np.cumsum(counts)
+        running = np.cumsum(np.exp(weight[node, size]))
+        running -= np.repeat(np.concatenate([[0.0], running[ends[:-1] - 1]]), counts)
+        running[ends - 1] = 1.0
+        nodes = len(self.first) - 1
+        self.running = np.concatenate([self.running, running])
         self.ids = np.concatenate([self.ids, found[node, size]])
         self.back = np.concatenate([self.back, (size + 1).astype(np.uint8)])
-        self.base = np.concatenate([self.base, base + len(self.last)])
+        self.base = np.concatenate([self.base, base + nodes])
         self.length = np.concatenate([self.length, length])
-        self.last = np.concatenate([self.last, last + (self.last[-1] if len(self.last) else 0)])
+        self.first = np.concatenate([self.first, ends + self.first[-1]])
 
     def __call__(self, texts: list[str], keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """All ids of the slice in order, and where each row's begin (one more entry than rows)."""
@@ -248,8 +260,11 @@ class Sampler:
         while len(active):
             step = np.uint64(len(taken) * 0xD1B54A32D192ED03 % (1 << 64))
             draws = (mix64(seed[active] + step) >> np.uint64(11)) * 2.0**-53
-            node = base[active] + at[active] - 1
-            edge = np.minimum(np.searchsorted(self.order, node + draws, side="right"), self.last[node] - 1)
+            edge = self.first[base[active] + at[active] - 1]
+            behind = np.flatnonzero(draws >= self.running[edge])
+            while len(behind):
+                edge[behind] += 1
+                behind = behind[draws[behind] >= self.running[edge[behind]]]
             taken.append((active, self.ids[edge]))
             at[active] -= self.back[edge]
             active = active[at[active] > 0]
@@ -319,7 +334,7 @@ def sample_pieces(docs: DataFrame, path: str, keep: tuple[str, ...] = ("doc_id",
     shared = docs.sparkSession.sparkContext.broadcast(pieces(path, alpha))
     picked = docs.select(*keep, F.col("text").cast("string").alias("_text"), F.xxhash64(F.lit(seed), F.col("doc_id").cast("long")).alias("_key"))
     ddl = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in picked.select(*keep).schema.fields)
-    return map_batches(picked, partial(_work, shared), f"{ddl}, ids array<int>, n_pieces long, lossless boolean", rows=1024)
+    return map_batches(picked, partial(_work, shared), f"{ddl}, ids array<int>, n_pieces long, lossless boolean", rows=256)
 
 
 def decode_pieces(pieces_: DataFrame, path: str, ids: str = "ids") -> DataFrame:
