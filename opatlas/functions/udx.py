@@ -9,15 +9,16 @@ from itertools import combinations
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.udf("array<array<string>>")
+@F.udf(T.ArrayType(T.ArrayType(T.StringType())))
 def k_subsets(items: list[str] | None, k: int) -> list[list[str]]:
     """All subsets of one to ``k`` items, in order."""
     return [list(s) for n in range(1, k + 1) for s in combinations(sorted(items or ()), n)]
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def ngram_dice(a: pd.Series, b: pd.Series) -> pd.Series:
     """Dice coefficient of the character pairs of two strings; equal strings give 1, nulls null."""
 
@@ -33,7 +34,7 @@ def ngram_dice(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([one(x, y) for x, y in zip(a, b, strict=True)], dtype="float64")
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def jaro_winkler(a: pd.Series, b: pd.Series) -> pd.Series:
     """Jaro-Winkler similarity with the usual prefix weight of a tenth; nulls give null."""
 
@@ -62,7 +63,7 @@ def jaro_winkler(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([one(x, y) for x, y in zip(a, b, strict=True)], dtype="float64")
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def weighted_gini(counts: pd.Series) -> float:
     """Gini impurity of the counts of a group: 0 if one value has them all."""
     total = float(counts.sum())
@@ -80,7 +81,7 @@ def _node_table(lang: str):
     return Nodes
 
 
-@F.udtf(returnType="size int, items array<string>")
+@F.udtf(returnType=T.StructType([T.StructField("size", T.IntegerType()), T.StructField("items", T.ArrayType(T.StringType()))]))
 class Subsets:
     """The subsets of one to k items as rows."""
 
