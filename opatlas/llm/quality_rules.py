@@ -76,6 +76,9 @@ def measure(docs: DataFrame, text: str = "text", prefix: str = "_qr_") -> DataFr
     covered = F.expr(
         f"aggregate(sort_array({q}), struct({-WINDOW} AS at, 0L AS n), (a, i) -> struct(i AS at, a.n + least({WINDOW}, i - a.at) AS n), a -> a.n)"
     )
+    # Zero, but not deterministic: a filter on the measures would otherwise be pushed below them, with
+    # every array written out inside the lambdas that read it.
+    barrier = F.least(F.spark_partition_id(), F.lit(0))
     lines = F.filter(F.split(F.col(t), "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
     return (
         docs.withColumn(t, F.coalesce(F.col(text).cast("string"), F.lit("")))
@@ -90,7 +93,7 @@ def measure(docs: DataFrame, text: str = "text", prefix: str = "_qr_") -> DataFr
             _without(F.col(t), BLANKS).cast("long").alias("word_chars"),
             (F.length(t) - _without(F.col(t), SYMBOLS)).cast("long").alias("n_symbols"),
             (F.size(prefix + "l") - F.size(F.array_distinct(prefix + "l"))).cast("long").alias("n_dup_lines"),
-            F.coalesce(covered, F.lit(0)).cast("long").alias("n_repeat_words"),
+            (F.coalesce(covered, F.lit(0)).cast("long") + barrier).alias("n_repeat_words"),
         )
     )
 
@@ -132,10 +135,7 @@ def digest(docs: DataFrame) -> DataFrame:
 def keep(docs: DataFrame, policy: str = DEFAULT_POLICY) -> DataFrame:
     """The documents that a policy keeps, with the columns they came with."""
     led = ledger(docs.select(F.col("text").alias("_text"), F.struct(*docs.columns).alias("_doc")), "_text")
-    # A filter would be pushed below the measures, with every array written out inside the lambdas that
-    # read it. It stays above a column that is not deterministic.
-    held = led.withColumn("_at", F.spark_partition_id())
-    return held.where(verdict(policy) & (F.col("_at") >= 0)).select("_doc.*")
+    return led.where(verdict(policy)).select("_doc.*")
 
 
 ORACLE = r"""
