@@ -14,6 +14,7 @@ from ..functions.text import edit_ratio, jaccard, tokens
 from ..functions.udx import ngram_dice
 from ..plans.planning import maybe_broadcast, small, with_each
 from ..session import cut
+from .taxonomy import narrow
 
 #: Models in the order that breaks ties, with the error rates of their simulated annotators.
 MODELS = ("M1", "M3", "M2", "M4")
@@ -98,15 +99,28 @@ def seeded(items: DataFrame, taxonomy: DataFrame, models: Sequence[str] = MODELS
     return named.select("item_id", "model", "run", F.when(noise(i, m, r, "spell") < 0.1, damaged).otherwise(F.col("l3")).alias("raw_label"))
 
 
+def word_scores(items: DataFrame, taxonomy: DataFrame) -> DataFrame:
+    """item_id, l3_id, l1, l2, l3, score: cosine of the words of an item's ``text`` and a function's path, where they share any."""
+    names = taxonomy.select("l3_id", "l1", "l2", "l3", F.array_distinct(tokens(F.concat_ws(" ", "l1", "l2", "l3"))).alias("ws"))
+    words = names.select("l3_id", "l1", "l2", "l3", F.size("ws").alias("n"), F.explode("ws").alias("word"))
+    asked = items.select("item_id", F.array_distinct(tokens(F.col("text"))).alias("ws"))
+    mine = asked.select("item_id", F.size("ws").alias("m"), F.explode("ws").alias("word"))
+    shared = mine.join(maybe_broadcast(words), "word").groupBy("item_id", "l3_id", "l1", "l2", "l3", "n", "m").agg(F.count("*").alias("c"))
+    return shared.select("item_id", "l3_id", "l1", "l2", "l3", (F.col("c") / F.sqrt(F.col("n") * F.col("m"))).alias("score"))
+
+
 def lexical(items: DataFrame, taxonomy: DataFrame, model: str = "lexical") -> DataFrame:
-    """Ballots by shared words: item_id, model, run, raw_label; items carry ``text``. Functions without any shared word are no candidates."""
-    words = taxonomy.select("l3_id", "l3", F.explode(F.array_distinct(tokens(F.concat_ws(" ", "l1", "l2", "l3")))).alias("word"), F.size(F.array_distinct(tokens(F.concat_ws(" ", "l1", "l2", "l3")))).alias("n"))
-    mine = items.select("item_id", F.size(F.array_distinct(tokens(F.col("text")))).alias("m"), F.explode(F.array_distinct(tokens(F.col("text")))).alias("word"))
-    sims = mine.join(maybe_broadcast(words), "word").groupBy("item_id", "l3_id", "l3", "n", "m").agg((F.count("*") / F.sqrt(F.col("n") * F.col("m"))).alias("s"))
-    best = sims.groupBy("item_id").agg(F.min_by("l3", F.struct(-F.round("s", 9), F.col("l3_id"))).alias("raw_label"))
+    """Ballots by shared words: item_id, model, run, raw_label. Functions without any shared word are no candidates."""
+    best = word_scores(items, taxonomy).groupBy("item_id").agg(F.min_by("l3", F.struct(-F.round("score", 9), F.col("l3_id"))).alias("raw_label"))
     return best.select("item_id", F.lit(model).alias("model"), F.lit(1).alias("run"), "raw_label")
 
 
+def narrowing(items: DataFrame, taxonomy: DataFrame, model: str = "narrowing") -> DataFrame:
+    """The same scores, but a stage is chosen first, then a group of it, then a function."""
+    chosen = narrow(word_scores(items, taxonomy).select("item_id", "l1", "l2", "l3", "score"))
+    return chosen.select("item_id", F.lit(model).alias("model"), F.lit(1).alias("run"), F.col("l3").alias("raw_label"))
+
+
 def recorded(items: DataFrame, replies: DataFrame) -> DataFrame:
     """Ballots from recorded replies (item_id, model, run, raw_label), for known items only; a ballot is kept once."""
     return replies.join(items.select("item_id").distinct(), "item_id", "left_semi").dropDuplicates(["item_id", "model", "run"])

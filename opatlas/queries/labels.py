@@ -139,12 +139,25 @@ def c_ballots(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ballots(spark, sf_dir).select("item_id", "model", F.col("run").cast("long").alias("run"), "raw_label")
 
 
-@query()
-def c_lexical(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Labels of the benchmark's demands by words shared with document sources' statements is no task here: parts by name against types and brands."""
+def _named_parts(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
+    """Parts as items, with their type, brand and name as text, and the same names as a taxonomy."""
     p = io.read(spark, sf_dir, "part")
     t = p.select(F.col("p_type").alias("l1"), F.col("p_brand").alias("l2"), F.col("p_name").alias("l3")).distinct().withColumn("l3_id", F.xxhash64("l1", "l2", "l3"))
-    return labelling.run(p.select(F.col("p_partkey").alias("item_id"), F.concat_ws(" ", "p_type", "p_brand", "p_name").alias("text")), lambda i: labelling.lexical(i, t))
+    return p.select(F.col("p_partkey").alias("item_id"), F.concat_ws(" ", "p_type", "p_brand", "p_name").alias("text")), t
+
+
+@query()
+def c_lexical(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Labels by shared words."""
+    parts, t = _named_parts(spark, sf_dir)
+    return labelling.run(parts.where(F.col("item_id") < N_ITEMS), lambda i: labelling.lexical(i, t))
+
+
+@query()
+def c_narrowing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Labels by shared words, level by level."""
+    parts, t = _named_parts(spark, sf_dir)
+    return labelling.run(parts.where(F.col("item_id") < N_ITEMS), lambda i: labelling.narrowing(i, t))
 
 
 @query(f"{_BALLOTS} SELECT DISTINCT raw_label FROM ballots WHERE raw_label IN (SELECT l3 FROM tax)")

@@ -302,6 +302,14 @@ def test_fuzzy_finds_itself(spark, shaped):
         assert got.where("l3_id <> want").count() == 0, how
 
 
+def test_providers_by_words(spark):
+    tax = spark.createDataFrame([(1, "clean", "mask", "cloud mask"), (2, "clean", "clip", "clip image"), (3, "show", "map", "add layer")], "l3_id long, l1 string, l2 string, l3 string")
+    items = spark.createDataFrame([(1, "mask the cloud"), (2, "add a layer to the map"), (3, "nothing alike"), (4, None)], "item_id long, text string")
+    for provider in (labelling.lexical, labelling.narrowing):
+        got = {r.item_id: r.raw_label for r in labelling.run(items, lambda i, p=provider: p(i, tax)).collect()}
+        assert got == {1: "cloud mask", 2: "add layer"}
+
+
 def test_recorded_and_bad_providers(spark):
     items = spark.createDataFrame([(1,)], "item_id long")
     replies = spark.createDataFrame([(1, "A", 1, "x"), (1, "A", 1, "x"), (2, "A", 1, "y")], "item_id long, model string, run int, raw_label string")
