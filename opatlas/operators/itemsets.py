@@ -8,6 +8,7 @@ candidates and not the records. Candidates and frequent sets are model-sized and
 
 from __future__ import annotations
 
+import warnings
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 from decimal import Decimal
@@ -126,7 +127,7 @@ def apriori(
     candidates: 'join', 'pair_seeded' (only pairs that ``pairs`` (caller, callee) lists are grown)
     or 'expand'. support: 'exact', 'pair_min' (smallest count of a contained pair, an upper bound
     that prunes) or 'pair_sum' (sum of the counts of contained pairs over all, which does not
-    prune and ends at ``max_k``).
+    prune and ends at ``max_k``). Where ``max_k`` cuts the search, ``truncated`` is set and a warning given.
     """
     spark = records.sparkSession
     base = cut(compress(records))
@@ -168,6 +169,8 @@ def apriori(
     while current:
         if k > max_k:
             truncated = bool(_joined(current)[0])
+            if truncated:
+                warnings.warn(f"sets of more than {max_k} items are left out", stacklevel=2)
             break
         if candidates == "expand" or support == "pair_sum":
             sets = _expanded(current, len(names))

@@ -14,7 +14,7 @@ from .mining import apriori_sql, joined
 from .taxonomy import TAX_SQL, r6, tax
 
 CATALOG = Catalog()
-query = CATALOG.query
+query, whole_too = CATALOG.query, CATALOG.whole
 N_ITEMS = 150
 
 # --- the mined combinations as input ----------------------------------------------------------
@@ -22,9 +22,9 @@ N_ITEMS = 150
 _COMBOS = f"(SELECT row_number() OVER (ORDER BY k, items) - 1 AS combo_id, items, k, freq FROM ({apriori_sql(corpus.MIXED_ITEMS_SQL, 3)}))"
 
 
-def combos(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Frequent mixed sets of up to three items, numbered by length and items."""
-    return itemsets.apriori(records.make(corpus.mixed_items(spark, sf_dir)), "0.05", max_k=3).combos
+def combos(spark: SparkSession, sf_dir: str, whole: bool = True) -> DataFrame:
+    """All frequent mixed sets, or those of up to three items that the SQL has, numbered by length and items."""
+    return itemsets.apriori(records.make(corpus.mixed_items(spark, sf_dir)), "0.05", **({} if whole else {"max_k": 3})).combos
 
 
 def named(df: DataFrame, *cols: str) -> DataFrame:
@@ -33,14 +33,16 @@ def named(df: DataFrame, *cols: str) -> DataFrame:
 
 
 @query(f"SELECT items, row_number() OVER (ORDER BY k, freq DESC, items)::BIGINT AS place, ((row_number() OVER (ORDER BY k, freq DESC, items) - 1) // 50)::BIGINT AS batch FROM {_COMBOS}")
-def c_queue(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return named(labelling.order(combos(spark, sf_dir), "len_freq_sim"), "place", "batch")
+@whole_too
+def c_queue(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return named(labelling.order(combos(spark, sf_dir, whole), "len_freq_sim"), "place", "batch")
 
 
 @query(f"SELECT k::BIGINT AS k, sum(place)::BIGINT AS places, count(*)::BIGINT AS n FROM (SELECT k, row_number() OVER (ORDER BY k, freq DESC)::BIGINT AS place FROM {_COMBOS}) GROUP BY 1")
-def c_queue_plain(spark: SparkSession, sf_dir: str) -> DataFrame:
+@whole_too
+def c_queue_plain(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
     """The default order: length, then frequency."""
-    got = labelling.order(combos(spark, sf_dir))
+    got = labelling.order(combos(spark, sf_dir, whole))
     return got.groupBy(F.col("k").cast("long").alias("k")).agg(F.sum("place").alias("places"), F.count("*").alias("n"))
 
 
@@ -72,8 +74,9 @@ def c_token_volume(spark: SparkSession, sf_dir: str) -> DataFrame:
     f"WITH q AS (SELECT items, row_number() OVER (ORDER BY k, freq DESC, items) AS place FROM {_COMBOS}), b AS (SELECT ((place - 1) // 50)::BIGINT AS batch, string_agg(place::VARCHAR || '. ' || replace(items, '|', ' + '), chr(10) ORDER BY place) AS combos FROM q GROUP BY 1) "
     f"SELECT batch, md5('Functions:' || chr(10) || index_text || chr(10) || 'Combinations:' || chr(10) || combos || chr(10) || 'Answer with one function index a line.') AS prompt_md5 FROM b, ({_INDEX})"
 )
-def c_prompt(spark: SparkSession, sf_dir: str) -> DataFrame:
-    got = prompts.build_map_prompt(labelling.order(combos(spark, sf_dir), "len_freq_sim"), tax(spark, sf_dir))
+@whole_too
+def c_prompt(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    got = prompts.build_map_prompt(labelling.order(combos(spark, sf_dir, whole), "len_freq_sim"), tax(spark, sf_dir))
     return got.select("batch", F.md5("prompt").alias("prompt_md5"))
 
 
@@ -239,8 +242,9 @@ def c_agreement(spark: SparkSession, sf_dir: str) -> DataFrame:
     f"WITH s AS (SELECT k, count(*) AS size FROM {_COMBOS} GROUP BY 1), f AS (SELECT k, size, floor(size * 150 / sum(size) OVER ()::DOUBLE) AS base, round(size * 150 / sum(size) OVER ()::DOUBLE - floor(size * 150 / sum(size) OVER ()::DOUBLE), 9) AS rest FROM s) "
     "SELECT k::BIGINT AS k, size::BIGINT AS size, least(size, base + (row_number() OVER (ORDER BY rest DESC, k) <= 150 - sum(base) OVER ())::INT)::BIGINT AS quota FROM f"
 )
-def d_strata(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return score.strata(combos(spark, sf_dir)).withColumn("k", F.col("k").cast("long"))
+@whole_too
+def d_strata(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return score.strata(combos(spark, sf_dir, whole)).withColumn("k", F.col("k").cast("long"))
 
 
 @query()
@@ -248,8 +252,8 @@ def d_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
     return named(score.sample(combos(spark, sf_dir)), "k")
 
 
-def _pairs_by_name(spark: SparkSession, sf_dir: str, insertion: bool) -> DataFrame:
-    c = combos(spark, sf_dir)
+def _pairs_by_name(spark: SparkSession, sf_dir: str, insertion: bool, whole: bool) -> DataFrame:
+    c = combos(spark, sf_dir, whole)
     p = score.near_pairs(c, insertion)
     name = lambda k: joined(c).select(F.col("combo_id").alias(k), F.col("items").alias(f"items_{k}"))
     got = p.join(name("a"), "a").join(name("b"), "b")
@@ -260,20 +264,23 @@ _BOTH = "len(list_intersect(string_split(a.items, '|'), string_split(b.items, '|
 
 
 @query(f"WITH c AS MATERIALIZED (SELECT * FROM {_COMBOS}) SELECT a.items AS x, b.items AS y FROM c a JOIN c b ON a.k = b.k AND a.items < b.items AND {_BOTH} = a.k - 1")
-def d_near_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+@whole_too
+def d_near_pairs(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
     """Combinations that differ by one operator."""
-    return _pairs_by_name(spark, sf_dir, False)
+    return _pairs_by_name(spark, sf_dir, False, whole)
 
 
 @query(f"WITH c AS MATERIALIZED (SELECT * FROM {_COMBOS}) SELECT least(a.items, b.items) AS x, greatest(a.items, b.items) AS y FROM c a JOIN c b ON b.k = a.k + 1 AND {_BOTH} = a.k")
-def d_near_inserted(spark: SparkSession, sf_dir: str) -> DataFrame:
+@whole_too
+def d_near_inserted(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
     """Combinations with one operator more."""
-    return _pairs_by_name(spark, sf_dir, True)
+    return _pairs_by_name(spark, sf_dir, True, whole)
 
 
 @query(f"WITH c AS MATERIALIZED (SELECT * FROM {_COMBOS}), r AS (SELECT items AS op FROM (SELECT items, percent_rank() OVER (ORDER BY freq, items) AS p FROM c WHERE k = 1) WHERE p <= 0.25) SELECT c.items, op FROM c JOIN r ON list_contains(string_split(c.items, '|'), op)")
-def d_lowfreq(spark: SparkSession, sf_dir: str) -> DataFrame:
-    c = combos(spark, sf_dir)
+@whole_too
+def d_lowfreq(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    c = combos(spark, sf_dir, whole)
     return score.low_frequency(c).join(joined(c).select("combo_id", "items"), "combo_id").select("items", "op")
 
 

@@ -10,7 +10,7 @@ from ..sources import corpus, io, parse
 from . import Catalog
 
 CATALOG = Catalog()
-query = CATALOG.query
+query, whole_too = CATALOG.query, CATALOG.whole
 SUPPORT = "0.05"
 
 _NEXT_SQL = f"SELECT rec_id, 'next' AS relation, op AS caller, lead(op) OVER (PARTITION BY rec_id ORDER BY ts, event_id) AS callee FROM ({corpus.SESSIONS_SQL})"
@@ -214,8 +214,10 @@ def b_apriori_events(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query(apriori_sql(corpus.MIXED_ITEMS_SQL, 4))
-def b_apriori_mixed(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return found(itemsets.apriori(records.make(corpus.mixed_items(spark, sf_dir)), SUPPORT, max_k=4))
+@whole_too
+def b_apriori_mixed(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    """Up to four items, as the SQL; whole: of any length."""
+    return found(itemsets.apriori(records.make(corpus.mixed_items(spark, sf_dir)), SUPPORT, **({} if whole else {"max_k": 4})))
 
 
 @query(apriori_sql(corpus.SENTENCE_ITEMS_SQL, 4))
@@ -301,9 +303,11 @@ def b_fpgrowth(spark: SparkSession, sf_dir: str) -> DataFrame:
     "SELECT lhs, rhs, d.freq, round(d.freq / l.freq::DOUBLE, 6) AS confidence, round(d.freq / l.freq::DOUBLE * n / r.freq, 6) AS lift, "
     "round(d.freq / n - l.freq / n * r.freq / n, 6) AS leverage FROM d JOIN s l ON l.items = lhs JOIN s r ON r.items = rhs, n"
 )
-def b_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+@whole_too
+def b_rules(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    """Rules from pairs, as the SQL; whole: from all frequent sets."""
     mined = itemsets.apriori(records.make(corpus.event_items(spark, sf_dir)), SUPPORT)
-    got = itemsets.rules(mined.combos, mined.n_records, max_k=2)
+    got = itemsets.rules(mined.combos, mined.n_records, max_k=len(mined.levels) if whole else 2)
     return got.select(F.array_join("lhs", "|").alias("lhs"), "rhs", "freq", *(F.round(c, 6).alias(c) for c in ("confidence", "lift", "leverage")))
 
 
@@ -324,9 +328,12 @@ def b_maximal(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query(f"WITH s AS ({apriori_sql(corpus.MIXED_ITEMS_SQL, 5)}) SELECT items, k, freq FROM s a WHERE k <= 4 AND NOT EXISTS (SELECT 1 FROM s b WHERE b.k = a.k + 1 AND b.freq = a.freq AND {_MAXIMAL})")
-def b_closed(spark: SparkSession, sf_dir: str) -> DataFrame:
-    mined = itemsets.apriori(records.make(corpus.mixed_items(spark, sf_dir)), SUPPORT, max_k=5)
-    return joined(itemsets.maximal(mined.combos, closed=True)).where("k <= 4").select("items", F.col("k").cast("long").alias("k"), "freq")
+@whole_too
+def b_closed(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    """Up to four items, as the SQL; whole: of any length."""
+    mined = itemsets.apriori(records.make(corpus.mixed_items(spark, sf_dir)), SUPPORT, **({} if whole else {"max_k": 5}))
+    got = itemsets.maximal(mined.combos, closed=True)
+    return joined(got if whole else got.where("k <= 4")).select("items", F.col("k").cast("long").alias("k"), "freq")
 
 
 _SWEEP = ("0.05", "0.1", "0.2", "0.4")
