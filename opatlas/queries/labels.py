@@ -117,29 +117,31 @@ _SINGLE = "SELECT item_id, model, l3_id, n FROM tally QUALIFY row_number() OVER
 _POOLED = f"{_RESOLVED}, votes AS MATERIALIZED ({_vote_sql('tally')})"
 
 
-def items(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Parts to label and their true function."""
+def items(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    """Parts to label, all or those that the SQL has, and their true function."""
     low, n = io.read(spark, sf_dir, "supplier", ("s_suppkey",)).agg(F.min("s_suppkey"), F.count("*")).first()
-    p = io.read(spark, sf_dir, "part", ("p_partkey",)).where(F.col("p_partkey") < N_ITEMS)
+    p = io.read(spark, sf_dir, "part", ("p_partkey",))
+    p = p if whole else p.where(F.col("p_partkey") < N_ITEMS)
     return p.select(F.col("p_partkey").alias("item_id"), (F.lit(low) + F.col("p_partkey") % n).alias("truth"))
 
 
-def ballots(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return labelling.run(items(spark, sf_dir), lambda i: labelling.seeded(i, tax(spark, sf_dir)))
+def ballots(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return labelling.run(items(spark, sf_dir, whole), lambda i: labelling.seeded(i, tax(spark, sf_dir)))
 
 
-def resolved(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return labelling.resolve(ballots(spark, sf_dir), tax(spark, sf_dir))
+def resolved(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return labelling.resolve(ballots(spark, sf_dir, whole), tax(spark, sf_dir))
 
 
-def tally(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return labelling.tallies(resolved(spark, sf_dir))
+def tally(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return labelling.tallies(resolved(spark, sf_dir, whole))
 
 
 @query(f"{_BALLOTS} SELECT * FROM ballots")
-def c_ballots(spark: SparkSession, sf_dir: str) -> DataFrame:
+@whole_too
+def c_ballots(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
     """Simulated annotators' ballots."""
-    return ballots(spark, sf_dir).select("item_id", "model", F.col("run").cast("long").alias("run"), "raw_label")
+    return ballots(spark, sf_dir, whole).select("item_id", "model", F.col("run").cast("long").alias("run"), "raw_label")
 
 
 def _named_parts(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
@@ -153,30 +155,33 @@ def _named_parts(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame
 def c_lexical(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Labels by shared words."""
     parts, t = _named_parts(spark, sf_dir)
-    return labelling.run(parts.where(F.col("item_id") < N_ITEMS), lambda i: labelling.lexical(i, t))
+    return labelling.run(parts, lambda i: labelling.lexical(i, t))
 
 
 @query()
 def c_narrowing(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Labels by shared words, level by level."""
     parts, t = _named_parts(spark, sf_dir)
-    return labelling.run(parts.where(F.col("item_id") < N_ITEMS), lambda i: labelling.narrowing(i, t))
+    return labelling.run(parts, lambda i: labelling.narrowing(i, t))
 
 
 @query(f"{_BALLOTS} SELECT DISTINCT raw_label FROM ballots WHERE raw_label IN (SELECT l3 FROM tax)")
-def c_exists(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return labelling.exists(ballots(spark, sf_dir), tax(spark, sf_dir))
+@whole_too
+def c_exists(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return labelling.exists(ballots(spark, sf_dir, whole), tax(spark, sf_dir))
 
 
 @query(f"{_BALLOTS} SELECT DISTINCT raw_label FROM ballots WHERE raw_label NOT IN (SELECT l3 FROM tax)")
-def c_missing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return labelling.missing(ballots(spark, sf_dir), tax(spark, sf_dir))
+@whole_too
+def c_missing(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return labelling.missing(ballots(spark, sf_dir, whole), tax(spark, sf_dir))
 
 
 @query(f"{_FUZZY} SELECT raw_label, l3_id, round(sim, 6) AS sim FROM near")
-def c_fuzzy_lev(spark: SparkSession, sf_dir: str) -> DataFrame:
+@whole_too
+def c_fuzzy_lev(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
     t = tax(spark, sf_dir)
-    return labelling.fuzzy(labelling.missing(ballots(spark, sf_dir), t), t).select("raw_label", "l3_id", *r6("sim"))
+    return labelling.fuzzy(labelling.missing(ballots(spark, sf_dir, whole), t), t).select("raw_label", "l3_id", *r6("sim"))
 
 
 _TOKENS = r"list_distinct(list_filter(regexp_split_to_array(lower({}), '[^\p{{L}}\p{{N}}]+'), lambda x: x <> ''))"
@@ -184,46 +189,52 @@ _JACCARD = f"(len(list_intersect({_TOKENS.format('raw_label')}, {_TOKENS.format(
 
 
 @query(f"{_BALLOTS}, lost AS (SELECT DISTINCT raw_label FROM ballots WHERE raw_label NOT IN (SELECT l3 FROM tax)) SELECT raw_label, l3_id, round({_JACCARD}, 6) AS sim FROM lost, tax QUALIFY row_number() OVER (PARTITION BY raw_label ORDER BY round({_JACCARD}, 9) DESC, l3_id) = 1")
-def c_fuzzy_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+@whole_too
+def c_fuzzy_jaccard(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
     t = tax(spark, sf_dir)
-    return labelling.fuzzy(labelling.missing(ballots(spark, sf_dir), t), t, "jaccard").select("raw_label", "l3_id", *r6("sim"))
+    return labelling.fuzzy(labelling.missing(ballots(spark, sf_dir, whole), t), t, "jaccard").select("raw_label", "l3_id", *r6("sim"))
 
 
 @query()
 def c_fuzzy_others(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Character-pair cosine and Dice: how often each finds the function that was misspelt."""
     t = tax(spark, sf_dir)
-    lost = labelling.missing(ballots(spark, sf_dir), t)
+    lost = labelling.missing(ballots(spark, sf_dir, whole=True), t)
     out = [labelling.fuzzy(lost, t, how).select(F.lit(how).alias("how"), "raw_label", "l3_id", "sim") for how in ("cosine", "dice")]
     return out[0].unionByName(out[1])
 
 
 @query(f"{_RESOLVED} SELECT item_id, model, run, raw_label, l3_id, matched_by FROM resolved")
-def c_resolve(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return resolved(spark, sf_dir).withColumn("run", F.col("run").cast("long"))
+@whole_too
+def c_resolve(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return resolved(spark, sf_dir, whole).withColumn("run", F.col("run").cast("long"))
 
 
 @query(f"{_RESOLVED} SELECT item_id, model, l3_id, n::BIGINT AS n FROM ({_SINGLE})")
-def c_vote_single(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return labelling.single(tally(spark, sf_dir))
+@whole_too
+def c_vote_single(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return labelling.single(tally(spark, sf_dir, whole))
 
 
 @query(f"{_POOLED} SELECT subset, item_id, l3_id, votes::BIGINT AS votes FROM votes")
-def c_vote_pooled(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return labelling.pooled(tally(spark, sf_dir))
+@whole_too
+def c_vote_pooled(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return labelling.pooled(tally(spark, sf_dir, whole))
 
 
 @query(f"{_RESOLVED}, voices AS (SELECT item_id, model, l3_id, 1 AS n, prio FROM ({_SINGLE}) JOIN prio USING (model)) SELECT subset, item_id, l3_id, votes::BIGINT AS votes FROM ({_vote_sql('voices')})")
-def c_vote_two_stage(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return labelling.two_stage(tally(spark, sf_dir))
+@whole_too
+def c_vote_two_stage(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return labelling.two_stage(tally(spark, sf_dir, whole))
 
 
 _ACC = "CASE model " + " ".join(f"WHEN '{m}' THEN {1 - ERROR[m]!r}::DOUBLE" for m in MODELS) + " END"
 
 
 @query(f"{_RESOLVED} SELECT subset, item_id, round(votes, 6) AS votes FROM ({_vote_sql('tally', f'n * {_ACC}')})")
-def c_vote_weighted(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return labelling.weighted(tally(spark, sf_dir)).select("subset", "item_id", *r6("votes"))
+@whole_too
+def c_vote_weighted(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return labelling.weighted(tally(spark, sf_dir, whole)).select("subset", "item_id", *r6("votes"))
 
 
 @query(
@@ -231,8 +242,9 @@ def c_vote_weighted(spark: SparkSession, sf_dir: str) -> DataFrame:
     "s AS (SELECT item_id, avg(d) AS stable FROM (SELECT item_id, model, (count(*) = 1)::INT::DOUBLE AS d FROM tally GROUP BY 1, 2) GROUP BY 1) "
     "SELECT item_id, b::BIGINT AS ballots, m::BIGINT AS n_labels, round((l[1] - coalesce(l[2], 0))::DOUBLE / b, 6) AS margin, round(list_sum(list_transform(l, lambda x: -(x::DOUBLE / b) * ln(x::DOUBLE / b))), 6) + 0.0 AS entropy, round(stable, 6) AS stable FROM t JOIN s USING (item_id)"
 )
-def c_agreement(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return labelling.agreement(resolved(spark, sf_dir)).select("item_id", "ballots", "n_labels", *r6("margin", "entropy", "stable"))
+@whole_too
+def c_agreement(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return labelling.agreement(resolved(spark, sf_dir, whole)).select("item_id", "ballots", "n_labels", *r6("margin", "entropy", "stable"))
 
 
 # --- measures ---------------------------------------------------------------------------------

@@ -13,7 +13,7 @@ from .mining import _EVENT_TABLE_SQL, session_pairs
 from .taxonomy import r6, tax
 
 CATALOG = Catalog()
-query = CATALOG.query
+query, whole_too = CATALOG.query, CATALOG.whole
 
 _ALL = "'M1+M2+M3+M4'"
 _KB = (
@@ -23,9 +23,9 @@ _KB = (
 )
 
 
-def kb(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Labelled parts as combinations: their name's words and number, with their size as frequency."""
-    t = tally(spark, sf_dir)
+def kb(spark: SparkSession, sf_dir: str, whole: bool = True) -> DataFrame:
+    """Labelled parts, all or those that the SQL has, as combinations: their name's words and number, with their size as frequency."""
+    t = tally(spark, sf_dir, whole)
     votes = labelling.pooled(t).where("subset = 'M1+M2+M3+M4'").join(t.groupBy("item_id").agg(F.sum("n").alias("total")), "item_id")
     p = io.read(spark, sf_dir, "part", ("p_partkey", "p_name", "p_size"))
     w = F.split("p_name", " ")
@@ -34,8 +34,9 @@ def kb(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query(f"{_KB} SELECT kb_id, l1_id, l2_id, l3_id, l1, l2, l3, items, freq, n_votes, confidence FROM kb")
-def c_kb(spark: SparkSession, sf_dir: str) -> DataFrame:
-    k = kb(spark, sf_dir)
+@whole_too
+def c_kb(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    k = kb(spark, sf_dir, whole)
     return k.select("kb_id", "l1_id", "l2_id", "l3_id", "l1", "l2", "l3", F.array_join("combo.items", "|").alias("items"), "combo.freq", F.element_at("votes", F.col("l3")).alias("n_votes"), *r6("confidence"))
 
 
@@ -67,22 +68,25 @@ def e_precedence(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query(f"{_KB} SELECT item_id, l1, l3, row_number() OVER (PARTITION BY item_id ORDER BY l1, l3)::BIGINT AS step FROM (SELECT DISTINCT freq AS item_id, l1, l3 FROM kb)")
-def e_order(spark: SparkSession, sf_dir: str) -> DataFrame:
+@whole_too
+def e_order(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
     """Question 2: order of stages."""
-    f = kb(spark, sf_dir).select(F.col("combo.freq").alias("item_id"), "l1", "l3").distinct()
+    f = kb(spark, sf_dir, whole).select(F.col("combo.freq").alias("item_id"), "l1", "l3").distinct()
     return serve.order_functions(f, ["AFRICA", "AMERICA", "ASIA", "EUROPE", "MIDDLE EAST"]).withColumn("step", F.col("step").cast("long"))
 
 
 @query(f"{_KB} SELECT l1, l2, l3, rank, items, freq FROM (SELECT *, row_number() OVER (PARTITION BY l1, l2, l3 ORDER BY freq DESC, kb_id)::BIGINT AS rank FROM kb WHERE l1 = 'ASIA') WHERE rank <= 2")
-def e_combos(spark: SparkSession, sf_dir: str) -> DataFrame:
+@whole_too
+def e_combos(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
     """Question 3."""
-    got = serve.combos_for(kb(spark, sf_dir), l1="ASIA", top=2)
+    got = serve.combos_for(kb(spark, sf_dir, whole), l1="ASIA", top=2)
     return joined(got).withColumn("rank", F.col("rank").cast("long"))
 
 
 @query(f"{_KB} SELECT kb_id, l3, items FROM kb WHERE kb_id = (SELECT min(kb_id) FROM kb)")
-def e_lookup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    k = kb(spark, sf_dir)
+@whole_too
+def e_lookup(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    k = kb(spark, sf_dir, whole)
     return serve.by_id(k, k.agg(F.min("kb_id")).first()[0]).select("kb_id", "l3", F.array_join("combo.items", "|").alias("items"))
 
 
@@ -111,13 +115,14 @@ def e_bare_prompt(spark: SparkSession, sf_dir: str) -> DataFrame:
     f"{_POOLED}, r AS (SELECT item_id, l3_id, row_number() OVER (PARTITION BY item_id ORDER BY sum(n) DESC, l3_id) AS rank FROM tally GROUP BY 1, 2) "
     + " UNION ALL ".join(f"SELECT {k}::BIGINT AS k, round(avg((EXISTS (SELECT 1 FROM r WHERE r.item_id = i.item_id AND r.l3_id = i.truth AND rank <= {k}))::INT), 6) AS hit_rate FROM {_ITEMS} i" for k in (1, 3, 5))
 )
-def e_hit_at_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+@whole_too
+def e_hit_at_k(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
     """How often the true function is among the most voted one, three and five."""
     from pyspark.sql import Window
 
-    t = tally(spark, sf_dir).groupBy("item_id", "l3_id").agg(F.sum("n").alias("n"))
+    t = tally(spark, sf_dir, whole).groupBy("item_id", "l3_id").agg(F.sum("n").alias("n"))
     ranked = t.withColumn("rank", F.row_number().over(Window.partitionBy("item_id").orderBy(F.desc("n"), "l3_id")))
-    truth = items(spark, sf_dir).withColumnRenamed("truth", "l3_id")
+    truth = items(spark, sf_dir, whole).withColumnRenamed("truth", "l3_id")
     out = [score.hit_at_k(ranked, truth, k).select(F.lit(k).cast("long").alias("k"), *r6("hit_rate")) for k in (1, 3, 5)]
     return out[0].unionByName(out[1]).unionByName(out[2])
 
@@ -126,8 +131,9 @@ def e_hit_at_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     f"{_KB} SELECT kb_id, CASE WHEN ('0x' || substr(md5(kb_id), 1, 8))::BIGINT / 4294967296.0::DOUBLE < 0.1 THEN 'valid' ELSE 'train' END AS split, "
     "md5('{\"prompt\":\"Which function do these operators perform together: ' || replace(items, '|', ', ') || '?\",\"completion\":\"' || concat_ws(' > ', l1, l2, l3) || '\"}') AS record_md5 FROM kb"
 )
-def e_finetune(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return serve.finetune(kb(spark, sf_dir), "completion").select("kb_id", "split", F.md5("record").alias("record_md5"))
+@whole_too
+def e_finetune(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return serve.finetune(kb(spark, sf_dir, whole), "completion").select("kb_id", "split", F.md5("record").alias("record_md5"))
 
 
 @query()
@@ -153,5 +159,6 @@ def e_tuning_cost(spark: SparkSession, sf_dir: str) -> DataFrame:
     f"{_KB} SELECT kind, count(*)::BIGINT AS n FROM (SELECT DISTINCT 'op:' || unnest(string_split(items, '|')) AS src, 'combo:' || kb_id AS dst, 'in' AS kind FROM kb UNION SELECT 'combo:' || kb_id, 'l3:' || l3_id, 'does' FROM kb "
     "UNION SELECT 'l3:' || l3_id, 'l2:' || l2_id, 'part of' FROM kb UNION SELECT 'l2:' || l2_id, 'l1:' || l1_id, 'part of' FROM kb) GROUP BY 1"
 )
-def e_kb_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return graph.kb_edges(kb(spark, sf_dir)).groupBy("kind").agg(F.count("*").alias("n"))
+@whole_too
+def e_kb_graph(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+    return graph.kb_edges(kb(spark, sf_dir, whole)).groupBy("kind").agg(F.count("*").alias("n"))

@@ -42,3 +42,27 @@ def test_a_bound_on_length_is_reported(spark):
     df = spark.createDataFrame([(["a", "b", "c"],)] * 4, "items array<string>")
     with pytest.warns(UserWarning, match="more than 2 items"):
         assert itemsets.apriori(df, "0.5", max_k=2).truncated
+
+
+def test_all_parts_are_labelled(spark):
+    parts = {r[0] for r in spark.read.parquet(f"{SF}/part.parquet").select("p_partkey").collect()}
+    assert max(parts) >= 150
+    ids = lambda name: {r["item_id"] for r in RUNS[name](spark, SF).select("item_id").distinct().collect()}
+    for name in ("c_ballots_whole", "c_vote_pooled_whole", "c_agreement_whole", "c_lexical", "c_narrowing", "a_narrow_whole", "a_flat_whole"):
+        assert ids(name) == parts, name
+    assert RUNS["c_kb_whole"](spark, SF).count() == RUNS["e_json"](spark, SF).count() == len(parts)
+
+
+def test_recall_of_all_vectors(spark):
+    import numpy as np
+
+    rows = spark.read.parquet(f"{SF}/embeddings.parquet").orderBy("vec_id").collect()
+    x = np.array([r["embedding"] for r in rows], float)
+
+    def near(v):
+        d = np.round(((v[:, None] - v[None]) ** 2).sum(-1), 6)
+        np.fill_diagonal(d, np.inf)
+        return np.argsort(d, axis=1, kind="stable")[:, :10]
+
+    want = np.mean([len(set(a) & set(b)) / 10 for a, b in zip(near(x), near(x[:, :2]), strict=True)])
+    assert RUNS["a_trust_whole"](spark, SF).first()["recall"] == pytest.approx(want, abs=2e-3)
