@@ -36,6 +36,16 @@ def word_count(col: Column) -> Column:
     return F.size(words(col)).cast("long")
 
 
+def bounded(df: DataFrame) -> DataFrame:
+    """``df``, with Arrow batches of its session bounded in bytes."""
+    # a run-time setting: what the JVM and a worker hold of one batch, however long the texts are
+    conf, key = df.sparkSession.conf, "spark.sql.execution.arrow.maxBytesPerBatch"
+    now = str(conf.get(key, f"{BATCH_BYTES + 1}b")).rstrip("b")
+    if not now.isdigit() or not 0 < int(now) <= BATCH_BYTES:
+        conf.set(key, str(BATCH_BYTES))
+    return df
+
+
 def map_batches(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch]], schema: str, rows: int = 256) -> DataFrame:
     """Maps Arrow batches with a function built once per task.
 
@@ -43,16 +53,10 @@ def map_batches(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.
     the longest texts of a slice, not of a whole Arrow batch.
     """
 
-    # a run-time setting: what the JVM and a worker hold of one batch, however long the texts are
-    conf, key = df.sparkSession.conf, "spark.sql.execution.arrow.maxBytesPerBatch"
-    now = str(conf.get(key, f"{BATCH_BYTES + 1}b")).rstrip("b")
-    if not now.isdigit() or not 0 < int(now) <= BATCH_BYTES:
-        conf.set(key, str(BATCH_BYTES))
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         work = make()
         for batch in batches:
             for start in range(0, batch.num_rows, rows):
                 yield work(batch.slice(start, rows))
 
-    return df.mapInArrow(run, schema)
+    return bounded(df).mapInArrow(run, schema)
