@@ -10,6 +10,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..session import cut
+
 RIDGE = 1e-6
 
 
@@ -136,7 +138,7 @@ def sweep(points: DataFrame, ks: list[int], cov: str = "full", seed: int = 10, t
     """
     spark = points.sparkSession
     w = F.col(weight).cast("double") if weight else F.lit(1.0)
-    base = points.select("id", F.col("x").cast("double").alias("x"), F.col("y").cast("double").alias("y"), w.alias("w"))
+    base = cut(points.select("id", F.col("x").cast("double").alias("x"), F.col("y").cast("double").alias("y"), w.alias("w")))
     first = base.orderBy(F.xxhash64("id"), "id").limit(sample_rows).toPandas()
     if not len(first):
         return {}
@@ -163,7 +165,11 @@ def sweep(points: DataFrame, ks: list[int], cov: str = "full", seed: int = 10, t
                         s = e.sum(axis=1, keepdims=True)
                         ll[k] += float((wt * (top + np.log(s))[:, 0]).sum())
                         sums[k] += (e / s * wt[:, None]).T @ f
-            yield pd.DataFrame([(k, j, ll[k] if j == 0 else 0.0, *row) for k, m in sums.items() for j, row in enumerate(m)], columns=["size", "k", "ll", *(f"s{i}" for i in range(6))])
+            sizes = list(sums)
+            at = np.concatenate([np.arange(k) for k in sizes])
+            share = np.where(at == 0, np.repeat([ll[k] for k in sizes], sizes), 0.0)  # a likelihood stands in its first row
+            every = np.concatenate([sums[k] for k in sizes])
+            yield pd.DataFrame({"size": np.repeat(sizes, sizes), "k": at, "ll": share} | {f"s{i}": every[:, i] for i in range(6)})
 
         got = base.mapInPandas(run, "size int, k int, ll double, " + ", ".join(f"s{i} double" for i in range(6)))
         rows = got.groupBy("size", "k").agg(F.sum("ll").alias("ll"), *(F.sum(f"s{i}").alias(f"s{i}") for i in range(6))).toPandas()

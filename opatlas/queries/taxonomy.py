@@ -228,21 +228,21 @@ def a_tsne_kl(spark: SparkSession, sf_dir: str) -> DataFrame:
 def a_tsne_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The layout of the standardised vectors, by the size's strategy."""
     z = vectors.standardize(io.read(spark, sf_dir, "embeddings", ("vec_id", "embedding")))
-    return tsne.fit(z, n_iter=300)
+    return tsne.fit(z)
 
 
 @query()
 def a_tsne_landmark(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The layout by landmarks, as of millions of points."""
     z = vectors.standardize(io.read(spark, sf_dir, "embeddings", ("vec_id", "embedding")))
-    return tsne.fit(z, n_iter=250, method="landmark", landmarks=200)
+    return tsne.fit(z, method="landmark")
 
 
 @query()
 def a_tsne_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The layout by sparse attraction and cell repulsion."""
     z = vectors.standardize(io.read(spark, sf_dir, "embeddings", ("vec_id", "embedding")))
-    return tsne.fit(z, n_iter=60, method="cells")
+    return tsne.fit(z, method="cells")
 
 
 @query()
@@ -273,6 +273,10 @@ _PARTS = "WITH m(k, weight, mx, my, sxx, sxy, syy) AS (VALUES " + ", ".join("("
 )
 
 
+#: The largest mixture of the criterion's curves.
+MOST_K = 500
+
+
 def mix(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame(list(MIX), gmm.PARAMS)
 
@@ -309,17 +313,18 @@ def a_gmm_mstep(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def a_gmm_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The criterion's curve for K = 1..20, all in one pass a step."""
+    """The criterion's curve for K = 1..500, at most one K a point, all in one pass a step."""
     pts = flat_points(spark, sf_dir)
-    models = gmm.sweep(pts, list(range(1, 21)), max_iter=25)
-    return gmm.bic_curve(spark, models, pts.count())
+    n = pts.count()
+    return gmm.bic_curve(spark, gmm.sweep(pts, list(range(1, min(MOST_K, n) + 1))), n)
 
 
 @query()
 def a_gmm_coarse(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The same from a coarse grid and all K around its best."""
     pts = flat_points(spark, sf_dir)
-    return gmm.bic_curve(spark, gmm.coarse_sweep(pts, 24, step=6, max_iter=12), pts.count())
+    n = pts.count()
+    return gmm.bic_curve(spark, gmm.coarse_sweep(pts, min(MOST_K, n)), n)
 
 
 @query()

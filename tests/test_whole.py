@@ -79,3 +79,17 @@ def test_pixels_of_every_file(spark):
     assert set(got) == {(1, 0), (1, 1), (1, 2), (2, 0)}
     assert (got[1, 0] + got[1, 1] + got[1, 2]).rstrip(b"\0").decode() == text
     assert media.pixel_arrays(spark.createDataFrame([(None,), (b"",)], "media binary")).where("argb IS NULL").count() == 2
+
+
+def test_model_selection_takes_the_defaults(spark, monkeypatch):
+    """K = 1..500 and the library's own steps, iterations and landmarks."""
+    from opatlas.operators import gmm, tsne
+
+    asked = []
+    monkeypatch.setattr(gmm, "sweep", lambda points, ks, **how: asked.append((ks, how)) or {})
+    monkeypatch.setattr(gmm, "coarse_sweep", lambda points, most, **how: asked.append((most, how)) or {})
+    monkeypatch.setattr(tsne, "fit", lambda points, **how: asked.append(how))
+    for name in ("a_gmm_sweep", "a_gmm_coarse", "a_tsne_fit", "a_tsne_landmark", "a_tsne_cells"):
+        RUNS[name](spark, SF)
+    n = min(500, spark.read.parquet(f"{SF}/embeddings.parquet").count())
+    assert asked == [(list(range(1, n + 1)), {}), (n, {}), {}, {"method": "landmark"}, {"method": "cells"}]
