@@ -239,9 +239,38 @@ def test_url_rules(spark):
     assert url_filters.filter_urls(df.limit(0)).count() == 0 and url_filters.filter_urls(df.union(df)).count() == 2 * len(urls)
 
 
-def test_url_templates_learn(spark):
-    """On a host where no rule speaks, templates follow what the rules say of them elsewhere."""
-    rows = [f"http://h{i % 7}.net/es/{i}" for i in range(60)] + [f"http://h{i % 7}.com/xx/{i}" for i in range(60)] + [f"http://q.org/{b}/{i}" for b in ("es", "xx") for i in range(9)]
-    got = url_filters.filter_urls(spark.createDataFrame(list(enumerate(rows)), "page_id long, url string")).where("host = 'q.org'")
-    assert {(r.template, r.verdict) for r in got.collect()} == {("/es/<n>", "block"), ("/xx/<n>", "allow")}
-    assert got.where(F.col("rule").isNotNull()).count() == 0
+RULED = (url_filters.UrlRule("allow", "good.org/news/"), url_filters.UrlRule("block", "bad.org/news/"), url_filters.UrlRule("allow", "mix.org/a/"), url_filters.UrlRule("allow", "mix.org/b/"), url_filters.UrlRule("block", "mix.org/c/"))
+
+
+def filtered(spark, urls):
+    return url_filters.filter_urls(spark.createDataFrame(list(enumerate(urls)), "page_id long, url string"), RULED)
+
+
+def test_urls_follow_their_own_host(spark):
+    """The same branch gets opposite verdicts on two hosts with opposite labels, and is left alone where nothing is known."""
+    urls = [f"http://{h}.org/{b}/{i}" for h in ("good", "bad", "none") for b in ("news", "blog") for i in range(30)]
+    got = filtered(spark, urls).where("path LIKE '/blog/%'").collect()
+    assert {(r.host, r.verdict, r.template) for r in got} == {("good.org", "allow", "/blog/<*>"), ("bad.org", "block", "/blog/<*>"), ("none.org", "allow", "/blog/<*>")}
+    assert {r.host: r.purity for r in got}["none.org"] == url_filters.BASE
+
+
+def test_a_variable_middle_segment(spark):
+    """Segments with many values are wildcards at any depth and do not part what follows; paths beyond the tree's depth are kept whole."""
+    urls = [f"http://h.org/shop/item-{i}/{t}" for i in range(80) for t in ("reviews", "buy")] + [f"http://h.org/a/b/c/d/{x}/f" for x in ("e", "e", "g", "g")]
+    got = Counter(r.template for r in filtered(spark, urls).collect())
+    assert got == {"/shop/<*>/reviews": 80, "/shop/<*>/buy": 80, "/a/b/c/d/e/f": 2, "/a/b/c/d/g/f": 2}
+
+
+def test_similar_branches_merge(spark):
+    """Branches a and b are both allowed, c is blocked: two nodes, the first of two branches; purities by hand."""
+    urls = [f"http://mix.org/{b}/{i}" for b in "abc" for i in range(40)]
+    got = {(r.template, r.verdict, r.purity) for r in filtered(spark, urls).collect()}
+    root = (80 + 4 * 0.5) / (120 + 4)
+    up, down = (80 + 4 * root) / 84, 4 * root / 44
+    assert got == {("/<+>/<*>", "allow", round((80 + 4 * up) / 84, 6)), ("/c/<*>", "block", round(4 * down / 44, 6))}
+
+
+def test_urls_with_clashing_columns(spark):
+    df = spark.createDataFrame([(1, "http://a.com/x", "h", 5, "z"), (None, None, None, None, None)], "page_id long, url string, host string, n long, `a.node` string")
+    got = url_filters.filter_urls(df)
+    assert got.count() == 2 and {r.verdict for r in got.collect()} == {"allow"}
