@@ -210,14 +210,49 @@ def test_articles_of_the_given_pages(spark):
         ("<nav><a>x</a></nav><p>one</p><form>no</form><script>'<p>no</p>'</script><p>two</p><footer>no</footer>", "one\n\ntwo"),
         ("<div class='page-sidebar'><article><p>kept</p></article></div>", "kept"), ("<main>a<!-- b --><style>c</style>d</main>", "ad"),
         ("<article><p>one</p><div id=cookie-notice>no</div>two</article", "one\n\ntwo"),
+        ("<div><p>the article</p><p>goes on</p></div><section class='comments'><article class='comment'><p>a reader</p></article></section>", "the article\n\ngoes on"),
+        ("<article><p>one</p><p class='notice'>no<p>two<p>three</article>", "one\n\ntwo\n\nthree"), ("<article><p>one<p class=share>no<div>two</div><p>three</article>", "one\n\ntwo\n\nthree"),
+        ("<div class='post-with-sidebar'><p>all of it</p></div>", "all of it"), ("<div class='l-sidebar-right'><p>all of it</p></div>", "all of it"),
+        ("<main><p class='header'>Head</p><div class='search-results'><p>found</p></div></main>", "Head\n\nfound"), ("<div class='sidebar'><p>all there is</p></div>", "all there is"),
+        ("<ul><li class=ad>no<li>one<li>two</ul>", "one\n\ntwo"), ("<table><tr><td class=advert>no<td>one<tr><td>two</table>", "one\n\ntwo"), ("<p>a</div></section>b<span class=share>c<span>d</span>e</span>f</p>", "abf"),
+        ("<article><p>one</p><ul><li><a>a link</a><li><a>more</a><li><a>links</a></ul><p>two</p></article>", "one\n\ntwo"), ("<article><p>the text</p><div>Share this</div></article>", "the text"),
     ],
 )
 def test_pages(page, text):
     assert html_text.main_text(page) == text
 
 
+def test_window_sums_and_spans_by_hand():
+    rng = random.Random(8)
+    for _ in range(300):
+        w = [rng.choice([0, 0, 5, 30, 90]) for _ in range(rng.randint(0, 25))]
+        sums = [sum(w[i : i + 3]) for i in range(len(w))]
+        assert html_text.window_sums(w) == sums
+        inside, now = [], False
+        for i, s in enumerate(sums):
+            now = s >= 20 if now else bool(w[i]) and s >= 80
+            inside.append(now)
+        assert [any(a <= i < b for a, b in html_text.spans(w, 80, 20)) for i in range(len(w))] == inside
+
+
+def test_the_distribution_finds_the_article():
+    """A page without marks, tags of prose or a named article: only the run of long lines is text."""
+    say = lambda n: " ".join(f"w{i}" for i in range(n))
+    short = "".join(f"<div><a>entry {i}</a></div>" for i in range(9))
+    page = f"<div>Logo</div>{short}<div>{say(40)}</div><div>{say(60)}</div><div>{say(3)}</div><div>{say(50)}</div>{short}<div>all rights</div>"
+    assert html_text.main_text(page) == "\n\n".join(say(n) for n in (40, 60, 3, 50))
+    # inside a named article the same surge and dive cut what trails it
+    assert html_text.main_text(f"<main><p>{say(40)}</p>{short}<div>by us</div><div></div><div></div></main>") == say(40)
+
+
+def test_deep_pages_take_linear_time():
+    n = 60_000
+    assert html_text.main_text("<div>" * n + "deep" + "</section>" * n) == "deep"
+    assert html_text.main_text("<p>" + "<div><p>x" * n).count("x") == n
+
+
 def test_pages_odd(spark):
-    df = spark.createDataFrame([(1, None, None), (None, "u", "<p>x</p>"), (2, "u", "<b>" * 20_000 + "deep")], "page_id long, url string, html string")
+    df = spark.createDataFrame([(1, None, None, 1), (None, "u", "<p>x</p>", 2), (2, "u", "<b>" * 20_000 + "deep", None)], "page_id long, url string, html string, `text.n_chars` int").withColumn("text", F.lit("clash"))
     assert {r.page_id: r.text for r in html_text.extract(df).collect()} == {1: "", None: "x", 2: "deep"}
     assert html_text.extract(df.limit(0)).count() == 0
 
