@@ -16,6 +16,24 @@ UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 BATCH_BYTES = 4 << 20
 
 
+def named(df: DataFrame, name: str) -> Column:
+    """A column by its whole name, dots and blanks included."""
+    return F.col("`" + name.replace("`", "``") + "`")
+
+
+def packed(df: DataFrame) -> Column:
+    """All columns of ``df`` as one struct; ``select("x.*")`` gives them back whatever their names."""
+    return F.struct(*(named(df, c) for c in df.columns))
+
+
+def unused(df: DataFrame, name: str) -> str:
+    """``name``, with as many underscores before it as it takes to be no column of ``df``."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = "_" + name
+    return name
+
+
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     """One input table, with only the named columns (all if none are named)."""
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")

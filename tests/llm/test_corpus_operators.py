@@ -102,13 +102,52 @@ def test_chat_layouts(spark):
     records = [
         {"messages": [{"role": "user", "content": "q"}, {"role": "assistant", "content": "a"}]}, {"conversations": [{"from": "human", "value": "q"}, {"from": "gpt", "value": "a"}]},
         {"prompt": "q", "completion": "a"}, {"instruction": "q", "input": "", "output": "a"}, {"instruction": "q", "output": "a"}, {"question": "q", "answer": "a"},
+        {"messages": [{"role": "user", "content": "q", "name": "n"}, {"role": "assistant", "content": "a"}], "id": 3, "meta": {"score": [1]}},
+    ]
+    rows = [(i, json.dumps(r)) for i, r in enumerate(records)] + [
+        (90, "{"), (91, None), (92, '{"other": 1}'), (93, json.dumps({"instruction": "q", "input": "more", "output": "a"})), (94, '{"turn": 5, "role": "human", "text": null}'),
+        (95, '{"prompt": "q", "messages": [{"role": "user", "content": "q"}]}'), (96, "[]"), (97, '{"messages": [null, 3, {"role": "user", "content": null}]}'),
     ]
-    rows = [(i, json.dumps(r)) for i, r in enumerate(records)] + [(90, "{"), (91, None), (92, '{"other": 1}'), (93, json.dumps({"instruction": "q", "input": "more", "output": "a"}))]
     got = chat_format.canonical_turns(spark.createDataFrame(rows, "id long, j string"), "id", "j").toPandas()
     for i in range(len(records)):
         part = got[got["conv_id"] == i]
         assert list(zip(part["role"], part["text"], strict=True)) == [("user", "q"), ("assistant", "a")]
-    assert got[got["conv_id"].isin((90, 91, 92))]["turn"].isna().all() and got[got["conv_id"] == 93]["text"].iloc[0] == "q\n\nmore"
+    assert got[got["conv_id"].isin((90, 91, 92, 95, 96))]["turn"].isna().all() and got[got["conv_id"] == 93]["text"].iloc[0] == "q\n\nmore"
+    assert got[got["conv_id"] == 97][["role", "text"]].values.tolist() == [["", ""], ["", ""], ["user", ""]]
+    assert got[got["conv_id"] == 94][["turn", "role", "text"]].values.tolist() == [[5, "human", ""]]
+    assert len({chat_format.fingerprint(m.paths) for m in chat_format.MAPPINGS}) == len(chat_format.MAPPINGS)
+
+
+def test_chat_digests_through_many_layouts(spark):
+    """The given conversations as tables of four layouts and as JSON: each is found by its fingerprint and gives equal digests."""
+    turns = table(spark, SMALL, "conversations").withColumn("a.b", F.lit(1))
+    want = {r.conv_id: tuple(r) for r in chat_format.digest(turns).collect()}
+    assert len(want) == turns.select("conv_id").distinct().count() + 1
+    listed = turns.groupBy("conv_id").agg(F.array_sort(F.collect_list(F.struct("turn", "role", "text"))).alias("t"))
+    other = F.create_map(*map(F.lit, ("user", "human", "assistant", "GPT", "system", "system")))
+    shaped = {
+        "messages": listed.select("conv_id", F.lit("x").alias("id"), F.transform("t", lambda x: F.struct(x["role"], x["text"].alias("content"), F.lit(0.5).alias("score"))).alias("messages")),
+        "dialogue": listed.select("conv_id", F.transform("t", lambda x: F.struct(other[x["role"]].alias("from"), x["text"].alias("value"))).alias("conversations")),
+    }
+    # two-turn conversations as a prompt and its completion
+    two = listed.where("size(t) = 2 AND t[0].role = 'user' AND t[1].role = 'assistant' AND t[0].text <> '' AND t[1].text <> ''")
+    shaped["prompt_completion"] = two.select("conv_id", F.col("t")[0]["text"].alias("prompt"), F.col("t")[1]["text"].alias("completion"))
+    for name, df in shaped.items():
+        assert chat_format.layout_of(chat_format.schema_paths(df.schema))[1].name == name
+        got = {r.conv_id: tuple(r) for r in chat_format.digest(df).collect()}
+        assert got == {k: want[k] for k in got} and len(got) == df.count() + 1 > 1, name
+        raw = df.select("conv_id", F.to_json(F.struct(*df.columns[1:])).alias("j"))
+        back = chat_format.canonical_turns(raw, "conv_id", "j").where("turn IS NOT NULL")
+        assert {r.conv_id: tuple(r) for r in chat_format.read_back(chat_format.segments(back)).collect()} == {k: v for k, v in got.items() if k != -1}, name
+    with pytest.raises(ValueError, match="no mapping"):
+        chat_format.canonical(turns.drop("role"))
+
+
+def test_chat_lists_with_nulls(spark):
+    rows = [(1, None), (2, []), (3, [None, ("human", None), (None, "x")])]
+    df = spark.createDataFrame(rows, "conv_id long, messages array<struct<role: string, content: string>>")
+    got = sorted(map(tuple, chat_format.canonical(df).collect()))
+    assert got == [(3, 0, "", ""), (3, 1, "user", ""), (3, 2, "", "x")]
 
 
 # --- near duplicates ----------------------------------------------------------------------
