@@ -7,6 +7,7 @@ from collections.abc import Callable, Iterator
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: Fixed values of the word rule: words are runs of anything but these six characters.
 BLANKS = " \t\n\x0b\x0c\r"
@@ -26,12 +27,28 @@ def packed(df: DataFrame) -> Column:
     return F.struct(*(named(df, c) for c in df.columns))
 
 
-def unused(df: DataFrame, name: str) -> str:
-    """``name``, with as many underscores before it as it takes to be no column of ``df``."""
-    taken = {c.lower() for c in df.columns}
-    while name.lower() in taken:
-        name = "_" + name
-    return name
+def free(names: list[str], *new: str) -> list[str]:
+    """``names``, to stand beside ``new`` ones: one that is like a new one gets underscores before it until it is like no other."""
+    reserved = {n.lower() for n in new}
+    taken = {n.lower() for n in names} | reserved
+    out = []
+    for was in names:
+        name = was
+        while name.lower() in reserved or name != was and name.lower() in taken:
+            name = "_" + name
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
+def beside(df: DataFrame, *new: str) -> list[Column]:
+    """All columns of ``df``, to stand beside columns called ``new``."""
+    return [named(df, c).alias(n) for c, n in zip(df.columns, free(df.columns, *new), strict=True)]
+
+
+def extended(df: DataFrame, ddl: str) -> T.StructType:
+    """The schema of ``df`` with further columns; names and types of its own may hold any sign."""
+    return T.StructType([*df.schema.fields, *T.StructType.fromDDL(ddl).fields])
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
@@ -64,7 +81,7 @@ def bounded(df: DataFrame) -> DataFrame:
     return df
 
 
-def map_batches(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch]], schema: str, rows: int = 256) -> DataFrame:
+def map_batches(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch]], schema: str | T.StructType, rows: int = 256) -> DataFrame:
     """Maps Arrow batches with a function built once per task.
 
     Batches are cut to ``rows`` rows before they reach the function, so its memory follows

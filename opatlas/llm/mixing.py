@@ -27,7 +27,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..session import cut
-from .common import word_count
+from .common import free, packed, word_count
 
 #: Fixed values of the contract.
 WEIGHTS = (5, 2, 1)
@@ -36,9 +36,11 @@ MOST = 2.0
 SEED = 20_240_601
 BITS, STEP = 48, 16
 FILLS = 2
-MAX_BLOCKS = 1 << 16
+MAX_BLOCKS = 1 << 18
 MAX_SOURCES = 20_000
-SHARDS = 64
+#: Words of an output shard, and the most shards there are: what a task sorts follows from both.
+SHARD_WORDS = 1 << 20
+MAX_SHARDS = 1 << 16
 
 
 @dataclass
@@ -137,8 +139,12 @@ def _thresholds(sized: DataFrame, plans: list[Plan]) -> None:
             left[i] -= words
 
 
-def make_plans(sized: DataFrame, shards: int = SHARDS, seed: int = SEED) -> tuple[list[Plan], int]:
-    """The plan of each source, in order, and the number of first bits that name a block."""
+def make_plans(sized: DataFrame, shards: int | None = None, seed: int = SEED) -> tuple[list[Plan], int, int]:
+    """The plan of each source, in order, the number of first bits that name a block, and the number of shards.
+
+    Unless it is given, that number follows the words the mix takes: ``SHARD_WORDS`` to a shard,
+    at most ``MAX_SHARDS``.
+    """
     # nulls last, then by code point: the order of UTF-8 bytes
     rows = sized.groupBy("source").agg(F.sum("size").cast("long").alias("n")).limit(MAX_SOURCES + 1).collect()
     if len(rows) > MAX_SOURCES:
@@ -150,7 +156,8 @@ def make_plans(sized: DataFrame, shards: int = SHARDS, seed: int = SEED) -> tupl
         p.passes = int(p.target // p.size) if p.size else 0
         p.need = p.target - p.passes * p.size
     _thresholds(sized, plans)
-    bits = max(0, min(10, int(np.log2(MAX_BLOCKS / (3 * max(1, len(plans)))))))
+    shards = shards or max(1, min(MAX_SHARDS, -(-int(sum(aims)) // SHARD_WORDS)))
+    bits = max(0, min(16, int(np.log2(MAX_BLOCKS / (3 * max(1, len(plans))))), int(np.log2(16 * shards))))
     rng = np.random.default_rng(seed)
     # the documents that fill up are one block more
     counts = [p.passes * (1 << bits) + -(-p.threshold // (1 << (BITS - bits))) + bool(p.fills) for p in plans]
@@ -159,7 +166,7 @@ def make_plans(sized: DataFrame, shards: int = SHARDS, seed: int = SEED) -> tupl
         owner = np.empty(counts[k], np.int64)
         owner[rng.permutation(counts[k])] = np.repeat(np.arange(shards), tree[:, k])
         p.shards = tuple(map(int, owner))
-    return plans, bits
+    return plans, bits, shards
 
 
 def _placed(rows: DataFrame, plans: list[Plan], bits: int) -> DataFrame:
@@ -191,26 +198,30 @@ def sized_rows(docs: DataFrame) -> DataFrame:
     )
 
 
-def account(docs: DataFrame, shards: int = SHARDS) -> DataFrame:
+def account(docs: DataFrame, shards: int | None = None) -> DataFrame:
     """doc_id, size, source_size, target, taken and the shards that take it, for every row of ``docs``."""
     sized = cut(sized_rows(docs))
-    plans, bits = make_plans(sized, shards)
+    plans, bits, _ = make_plans(sized, shards)
     placed = _placed(sized, plans, bits)
     return placed.select("doc_id", "size", "source_size", "target", (F.col("size") * F.size("shards")).cast("long").alias("taken"), "shards")
 
 
-def mix(docs: DataFrame, shards: int = SHARDS) -> DataFrame:
-    """The mixed documents: a row for each time one is taken, with its columns and ``shard``.
+def mix(docs: DataFrame, shards: int | None = None, shard_column: str | None = None) -> DataFrame:
+    """The mixed documents: a row for each time one is taken, with its columns, and the shard's number if a column is named for it.
 
-    Rows of a shard lie in one partition, in the shard's order.
+    Rows of a shard lie in one partition, in the shard's order. A column of ``docs`` called like
+    ``shard_column`` gets an underscore before its name.
     """
     sized = cut(sized_rows(docs))
-    plans, bits = make_plans(sized, shards)
-    packed = docs.select(
-        F.struct(*docs.columns).alias("doc"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size"),
+    plans, bits, shards = make_plans(sized, shards)
+    rows = docs.select(
+        packed(docs).alias("doc"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size"),
         place(F.col("doc_id").cast("long"), F.col("text").cast("string")).alias("place"),
     )
-    taken = _placed(packed, plans, bits).select("doc", "place", F.posexplode("shards").alias("pass", "shard"))
+    taken = _placed(rows, plans, bits).select("doc", "place", F.posexplode("shards").alias("pass", "shard"))
     order = F.xxhash64(F.lit(SEED + 1), "place", "pass")
     ordered = taken.repartitionById(shards, F.col("shard")).sortWithinPartitions("shard", order)
-    return ordered.select("doc.*", F.col("shard").alias("_shard"))
+    if shard_column is None:
+        return ordered.select("doc.*")
+    fields = [F.col("doc").getField(c).alias(n) for c, n in zip(docs.columns, free(docs.columns, shard_column), strict=True)]
+    return ordered.select(*fields, F.col("shard").alias(shard_column))

@@ -14,8 +14,14 @@ A character that is no piece is written as its bytes' pieces; so is the sign tha
 blank in pieces, where a text holds it, and decoding gives back the very text. Characters that
 occur in no longer piece are units of their own.
 
+``encode_pieces`` gives the likeliest segmentation instead of a sampled one: the same lattices,
+with the best way to each place in place of the sum over all ways (ties: the longer last piece).
+
 Defined results: null and empty texts have no pieces; a null key is a key of its own; repeated
-rows get equal pieces; columns other than the key and the text pass through unread.
+rows get equal pieces; very long texts are read whole, and a single unit of n characters (no
+blank or other boundary in it) takes memory in proportion to n; an empty table gives no rows.
+Kept columns pass through unread, whatever their names; one called like an output column gets
+an underscore before its name.
 """
 
 from __future__ import annotations
@@ -30,12 +36,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_batches
+from .common import beside, extended, free, map_batches, named
 
 SEED = 7
 ALPHA = 1.0
-#: Units whose lattices a task keeps, and characters of text in one slice: both bound its memory only.
-CACHE = 60_000
+#: Edges of the lattices a task keeps, characters whose lattices are made at once, and characters of text in one slice: they bound its memory only.
+CACHE = 1 << 21
+LEARN = 1 << 18
 SLICE = 1 << 17
 BLANK = "▁"
 _MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
@@ -153,10 +160,10 @@ class Index(dict):
 
 
 class Sampler:
-    """Samples slices of rows; one per task."""
+    """Samples slices of rows, or takes their likeliest segmentation (``best``); one per task."""
 
-    def __init__(self, p: Pieces) -> None:
-        self.p = p
+    def __init__(self, p: Pieces, best: bool = False) -> None:
+        self.p, self.best = p, best
         self.split = re.compile(p.unit).findall
         self.raw: list[bytes] = []  # characters written as several bytes; id -k-1 stands for entry k
         self.raw_at: dict[str, int] = {}
@@ -216,6 +223,11 @@ class Sampler:
             k = min(j + 1, most)
             ways = weight[end, :k] + forward[slot[end][:, None] - sizes[:k]]
             top = ways.max(axis=1, keepdims=True)
+            if self.best:
+                forward[slot[end]] = top[:, 0]
+                last = k - 1 - np.argmax(ways[:, ::-1] == top, axis=1)
+                weight[end, :k] = np.where(np.arange(k) == last[:, None], 0.0, -np.inf)
+                continue
             total = top[:, 0] + np.log(np.exp(ways - top).sum(axis=1))
             forward[slot[end]] = total
             weight[end, :k] = ways - total[:, None]
@@ -237,7 +249,7 @@ class Sampler:
 
     def __call__(self, texts: list[str], keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """All ids of the slice in order, and where each row's begin (one more entry than rows)."""
-        if len(self.index) > CACHE:
+        if len(self.ids) > CACHE:
             self._forget()
         index = self.index
         known = len(index)
@@ -250,7 +262,14 @@ class Sampler:
         if not units:
             return np.zeros(0, np.int64), np.zeros(len(texts) + 1, np.int64)
         if len(index) > known:
-            self._learn(list(islice(index, known, None)))
+            part, size = [], 0
+            for unit in islice(index, known, None):
+                if part and size + len(unit) > LEARN:
+                    self._learn(part)
+                    part, size = [], 0
+                part.append(unit)
+                size += len(unit)
+            self._learn(part)
         which = np.array(units, np.int64)
         row = np.repeat(np.arange(len(texts)), per_row)
         place = np.arange(len(units)) - np.repeat(np.cumsum(per_row) - per_row, per_row)
@@ -297,17 +316,22 @@ def encode(text: str, key: int, p: Pieces) -> list[int]:
     return Sampler(p)([text], np.array([key], np.int64))[0].tolist()
 
 
+def encode_best(text: str, p: Pieces) -> list[int]:
+    """The likeliest pieces of one text."""
+    return Sampler(p, best=True)([text], np.zeros(1, np.int64))[0].tolist()
+
+
 def decode(ids: list[int], p: Pieces) -> str:
     """The text of a sequence of pieces; those of bytes stand together in whole characters."""
     return b"".join(map(p.texts.__getitem__, ids)).decode()[1:]
 
 
-def _work(shared):
+def _work(shared, best: bool):
     p: Pieces = shared.value
-    sample = Sampler(p)
+    sample = Sampler(p, best)
 
     def of(batch: pa.RecordBatch) -> pa.RecordBatch:
-        texts, keys = [t or "" for t in batch.column("_text").to_pylist()], batch.column("_key").to_numpy()
+        texts, keys = [t or "" for t in batch.column("text").to_pylist()], batch.column("key").to_numpy()
         parts, ends, same, first, size = [], [np.zeros(1, np.int64)], [], 0, 0
         for i, text in enumerate(texts):
             size += len(text)
@@ -321,34 +345,47 @@ def _work(shared):
             first, size = i + 1, 0
         ids, bounds = np.concatenate([np.zeros(0, np.int64), *parts]), np.concatenate(ends)
         lists = pa.ListArray.from_arrays(pa.array(bounds, pa.int32()), pa.array(ids.astype(np.int32)))
-        rest = [n for n in batch.schema.names if n not in ("_text", "_key")]
-        return pa.RecordBatch.from_arrays(
-            [*(batch.column(n) for n in rest), lists, pa.array(np.diff(bounds), pa.int64()), pa.array(same, pa.bool_())], [*rest, "ids", "n_pieces", "lossless"]
-        )
+        return pa.RecordBatch.from_arrays([batch.column("kept"), lists, pa.array(np.diff(bounds), pa.int64()), pa.array(same, pa.bool_())], ["kept", *_OUT])
 
     return of
 
 
+_OUT = ("ids", "n_pieces", "lossless")
+
+
+def _encoded(docs: DataFrame, path: str, keep: tuple[str, ...], alpha: float, seed: int, best: bool) -> DataFrame:
+    shared = docs.sparkSession.sparkContext.broadcast(pieces(path, alpha))
+    # the kept columns travel as one struct, so their names never meet those of others
+    chosen = docs.select(*(named(docs, c) for c in keep)).columns
+    kept = F.struct(*(named(docs, c).alias(n) for c, n in zip(keep, free(chosen, *_OUT), strict=True))) if keep else F.lit(None).cast("int")
+    rows = docs.select(kept.alias("kept"), F.col("text").cast("string").alias("text"), F.xxhash64(F.lit(seed), F.col("doc_id").cast("long")).alias("key"))
+    found = map_batches(rows, partial(_work, shared, best), extended(rows.select("kept"), "ids array<int>, n_pieces long, lossless boolean"), rows=256)
+    return found.select(*(["kept.*"] if keep else []), *_OUT)
+
+
 def sample_pieces(docs: DataFrame, path: str, keep: tuple[str, ...] = ("doc_id",), alpha: float = ALPHA, seed: int = SEED) -> DataFrame:
     """The columns in ``keep`` with ids, n_pieces, and lossless: whether the ids, decoded, are the text."""
-    shared = docs.sparkSession.sparkContext.broadcast(pieces(path, alpha))
-    picked = docs.select(*keep, F.col("text").cast("string").alias("_text"), F.xxhash64(F.lit(seed), F.col("doc_id").cast("long")).alias("_key"))
-    ddl = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in picked.select(*keep).schema.fields)
-    return map_batches(picked, partial(_work, shared), f"{ddl}, ids array<int>, n_pieces long, lossless boolean", rows=256)
+    return _encoded(docs, path, keep, alpha, seed, best=False)
+
+
+def encode_pieces(docs: DataFrame, path: str, keep: tuple[str, ...] = ("doc_id",), alpha: float = ALPHA) -> DataFrame:
+    """The same for the likeliest segmentation, which needs no seed."""
+    return _encoded(docs, path, keep, alpha, SEED, best=True)
 
 
 def decode_pieces(pieces_: DataFrame, path: str, ids: str = "ids") -> DataFrame:
     """Adds ``decoded``, the text of each row's ids (null: null)."""
     shared = pieces_.sparkSession.sparkContext.broadcast(pieces(path))
+    kept = F.struct(*beside(pieces_, "decoded")).alias("kept")
 
     def make():
         p = shared.value
 
         def of(batch: pa.RecordBatch) -> pa.RecordBatch:
-            texts = [None if x is None else decode(x, p) for x in batch.column(ids).to_pylist()]
-            return pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string())], [*batch.schema.names, "decoded"])
+            texts = [None if x is None else decode(x, p) for x in batch.column("ids").to_pylist()]
+            return pa.RecordBatch.from_arrays([batch.column("kept"), pa.array(texts, pa.string())], ["kept", "decoded"])
 
         return of
 
-    ddl = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pieces_.schema.fields)
-    return map_batches(pieces_, make, f"{ddl}, decoded string")
+    rows = pieces_.select(kept, named(pieces_, ids).alias("ids"))
+    return map_batches(rows, make, extended(rows.select("kept"), "decoded string")).select("kept.*", "decoded")

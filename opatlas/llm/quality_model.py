@@ -7,7 +7,10 @@ flattened into three arrays, which tasks traverse for a whole slice of rows at a
 Defined results: null and empty texts have all statistics zero and get the score of that
 vector; labels that are null, or whose document is missing, are not learnt from; several
 labels of one document count once, by their rounded mean; without labels of both kinds the
-score is the share of label 1 (0.5 without any). Repeated rows get equal scores.
+score is the share of label 1 (0.5 without any). Repeated rows get equal scores, and scores
+tie only where all statistics do. Very long texts are read whole, in linear time and memory; an
+empty table gives no rows. Columns other than doc_id and text are never read; ``keep`` gives
+back the columns it was given, whatever their names.
 """
 
 from __future__ import annotations
@@ -22,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_batches
+from .common import extended, map_batches, packed
 
 SAMPLE_ROWS = 20_000
 THRESHOLD = 0.3
@@ -169,10 +172,8 @@ def score(docs: DataFrame, model: Trees) -> DataFrame:
 def keep(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """The documents that score at least the threshold, with the columns they came with."""
     shared = docs.sparkSession.sparkContext.broadcast(train(docs, labels))
-    names = docs.columns
-    packed = docs.select(F.struct(*names).alias("doc"), F.col("text").cast("string").alias("text"))
-    kind = packed.schema["doc"].dataType.simpleString()
-    scored = map_batches(packed, partial(_score_work, shared), f"doc {kind}, score double")
+    rows = docs.select(packed(docs).alias("doc"), F.col("text").cast("string").alias("text"))
+    scored = map_batches(rows, partial(_score_work, shared), extended(rows.drop("text"), "score double"))
     return scored.where(F.col("score") >= threshold).select("doc.*")
 
 

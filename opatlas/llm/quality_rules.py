@@ -5,7 +5,10 @@ the measurements. Policies are versioned masks over those bits, so a new policy
 ablation never looks at a text again: both work on the counts of distinct masks.
 
 Defined results: a null or empty text has no words (all measures 0) and fails ``few_words``;
-repeated rows are judged alike; other columns of the input pass through ``ledger`` unread.
+repeated rows are judged alike; very long texts are measured whole, in n log n time; an empty
+table gives no rows. Other columns of the input pass through ``ledger`` unread, whatever
+their names; one called like a measure or ``rule_bits`` gets an underscore before its name.
+``keep`` gives back the columns it was given.
 """
 
 from __future__ import annotations
@@ -15,7 +18,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import BLANKS, words
+from .common import BLANKS, beside, named, packed, words
 
 SYMBOLS = "#*$%&|<>"
 WINDOW = 5
@@ -60,12 +63,16 @@ def _without(text: Column, chars: str) -> Column:
     return F.length(F.translate(text, chars, ""))
 
 
-def measure(docs: DataFrame, text: str = "text", prefix: str = "_qr_") -> DataFrame:
-    """Adds the measures to ``docs``; work columns start with ``prefix`` and are dropped.
+def measure(docs: DataFrame, text: str = "text") -> DataFrame:
+    """Adds the measures to ``docs``.
 
     Windows are compared by a 64-bit hash within one text: two different windows of a text of
     a million words meet with a chance of about 3e-8. Sorting makes the count n log n.
     """
+    kept = docs.select(*beside(docs, *MEASURES, "rule_bits"))
+    prefix = "_qr_"
+    while any(c.lower().startswith(prefix) for c in kept.columns):
+        prefix = "_" + prefix
     t, w, h, p, q = (f"{prefix}{x}" for x in "twhpq")
     hashed = F.expr(
         f"transform(sequence(0, size({w}) - {WINDOW}), i -> xxhash64(" + ", ".join(f"{w}[i + {k}]" for k in range(WINDOW)) + "))"
@@ -81,14 +88,14 @@ def measure(docs: DataFrame, text: str = "text", prefix: str = "_qr_") -> DataFr
     barrier = F.least(F.spark_partition_id(), F.lit(0))
     lines = F.filter(F.split(F.col(t), "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
     return (
-        docs.withColumn(t, F.coalesce(F.col(text).cast("string"), F.lit("")))
+        kept.withColumn(t, F.coalesce(named(docs, text).cast("string"), F.lit("")))
         .withColumn(w, words(F.col(t)))
         .withColumn(h, F.when(F.size(w) >= WINDOW, hashed))
         .withColumn(p, F.when(any_twice, placed))
         .withColumn(q, F.when(F.col(p).isNotNull(), twice))
         .withColumn(prefix + "l", lines)
         .select(
-            *(F.col(f"`{c}`") for c in docs.columns if c not in MEASURES),
+            *(named(kept, c) for c in kept.columns),
             F.size(w).cast("long").alias("n_words"),
             _without(F.col(t), BLANKS).cast("long").alias("word_chars"),
             (F.length(t) - _without(F.col(t), SYMBOLS)).cast("long").alias("n_symbols"),
@@ -134,10 +141,15 @@ def digest(docs: DataFrame) -> DataFrame:
 
 def keep(docs: DataFrame, policy: str = DEFAULT_POLICY) -> DataFrame:
     """The documents that a policy keeps, with the columns they came with."""
-    led = ledger(docs.select(F.col("text").alias("_text"), F.struct(*docs.columns).alias("_doc")), "_text")
+    led = ledger(docs.select(F.col("text").alias("_text"), packed(docs).alias("_doc")), "_text")
     return led.where(verdict(policy)).select("_doc.*")
 
 
+def ablation_report(docs: DataFrame) -> DataFrame:
+    """Ablations of the default policy over all documents: policy, rule, n_failed, n_failed_alone, n_kept_without."""
+    return ablation(ledger(docs.select("doc_id", "text"))).select(F.lit(DEFAULT_POLICY).alias("policy"), "*")
+
+
 ORACLE = r"""
 WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
 w AS (SELECT doc_id, t, list_filter(regexp_split_to_array(t, '[\x20\x09-\x0D]+'), lambda x: x <> '') AS ws FROM d),
@@ -159,3 +171,12 @@ b AS (SELECT *, (CASE WHEN n_words < 10 THEN 1 ELSE 0 END + CASE WHEN 100 * n_re
   + CASE WHEN n_dup_lines > 30 AND 20 * n_dup_lines > n_words THEN 32 ELSE 0 END)::BIGINT AS rule_bits FROM m)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, rule_bits & 3 <> 0 AS base_failed, rule_bits & 55 = 0 AS kept, rule_bits FROM b
 """
+
+#: Ablations by judging every document anew without each rule.
+ABLATION_ORACLE = (
+    f"WITH l AS ({ORACLE}), p(rule, bit) AS (VALUES "
+    + ", ".join(f"('{r.name}', {1 << r.bit})" for r in RULES if r.name in POLICIES[DEFAULT_POLICY])
+    + f") SELECT '{DEFAULT_POLICY}' AS policy, rule, count(*) FILTER (rule_bits & bit <> 0)::BIGINT AS n_failed, "
+    f"count(*) FILTER (rule_bits & bit <> 0 AND rule_bits & ({mask_of(POLICIES[DEFAULT_POLICY])} - bit) = 0)::BIGINT AS n_failed_alone, "
+    f"count(*) FILTER (rule_bits & ({mask_of(POLICIES[DEFAULT_POLICY])} - bit) = 0)::BIGINT AS n_kept_without FROM l, p GROUP BY rule"
+)

@@ -23,6 +23,14 @@ def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.digest(table(spark, sf_dir, "documents"))
 
 
+def rule_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_rules.ablation_report(table(spark, sf_dir, "documents"))
+
+
+def piece_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return piece_sampling.encode_pieces(table(spark, sf_dir, "documents"), tokenizer_path("piece_bpe_32k.model"))
+
+
 def op1_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filters.filter_urls(table(spark, sf_dir, "pages"))
 
@@ -60,8 +68,8 @@ def op10_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_url_filters, op2_html_extraction, op3_media_columns, op4_token_counts, op5_piece_sampling, op6_quality_model, op7_quality_rules, op8_chat_format, op9_simhash_dedup, op10_source_mixing)}
+    return {f.__name__: f for f in (op1_url_filters, op2_html_extraction, op3_media_columns, op4_token_counts, op5_piece_sampling, op6_quality_model, op7_quality_rules, op8_chat_format, op9_simhash_dedup, op10_source_mixing, rule_ablation, piece_encoding)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_url_filters": url_filters.ORACLE, "op7_quality_rules": quality_rules.ORACLE}
+    return {"op1_url_filters": url_filters.ORACLE, "op7_quality_rules": quality_rules.ORACLE, "rule_ablation": quality_rules.ABLATION_ORACLE}

@@ -10,14 +10,28 @@ A cell with more than ``CROWD`` fingerprints is not joined with itself: its fing
 linked through the 65 words within one bit of each, which finds the same groups exactly and
 puts at most 65 fingerprints under one word. Nothing is capped or left out.
 
-Defined results: null and empty texts have fingerprint zero and link like any other; equal
-fingerprints always link, so copies are reduced to one vertex first; repeated rows share a
-component. Rows without a doc_id get the component of their fingerprint but join no two
-components themselves.
+Near copies by similarity (``near_groups``, ``dedup``) are texts whose sets of five-word shingles
+have a Jaccard similarity of 0.8 or more. Fingerprints of such texts differ in up to a third of
+their bits, and at that radius popcounts bound nothing: almost all cells are neighbours. So
+candidates come from fingerprints of parts: shingles are sampled by their hash at a rate that
+follows the text's length and dealt into ``GROUPS`` groups, and texts of like length that agree
+in all of a group meet. At the least similarity two texts miss each other in all groups with a
+chance of 0.3 % or less, and of far less above it. Candidates within ``NEAR_BITS`` bits of each
+other are verified exactly on their whole sets. Every member of a bucket is verified against
+its first one; then members of different components so far are, so a large group of near copies
+makes no pairs within itself, and nothing is capped.
+
+Defined results: null and empty texts have fingerprint zero and no shingles and link like any
+other; equal fingerprints (texts) always link, so copies are reduced to one vertex first;
+repeated rows share a component; very long texts are read whole, in time linear in their
+length; an empty table gives no rows. Rows without a doc_id join what they link and get the
+component of their fingerprint; in ``dedup`` they come after rows with one. Columns other than
+doc_id and text are not read; ``dedup`` gives all of them back, whatever their names.
 """
 
 from __future__ import annotations
 
+import math
 from functools import partial
 
 import numpy as np
@@ -28,30 +42,48 @@ from xxhash import xxh64_intdigest
 
 from ..operators.components import components
 from ..session import cut
-from .common import map_batches
+from .common import map_batches, packed
 
 SEED = 42
 SHINGLE = 3
 MAX_BITS = 2
 SEGMENTS = 16
 CROWD = 48
+#: Near copies: words of a shingle and least similarity.
+NEAR_SHINGLE = 5
+NEAR = 0.8
+#: Groups of sampled shingles of a text, and how many shingles are sampled at least where there are more.
+GROUPS = 16
+SAMPLED = 24
+#: Candidates differ in no more bits: 3.6 standard deviations above the mean of pairs at the least similarity.
+NEAR_BITS = 20
 _CHUNK = 1 << 15
 
 
-def fingerprint(text: str | None, k: int = SHINGLE) -> int:
-    """The unsigned fingerprint of one text; shingles count as often as they occur."""
+def shingle_hashes(text: str | None, k: int):
+    """XXH64 of the text's shingles in order, in bounded parts."""
     # bytes.lower() folds A-Z only and bytes.split() cuts at exactly the six blanks of the word rule
     w = (text or "").encode().lower().split()
-    if not w:
-        return 0
-    if len(w) < k:
+    if w and len(w) < k:
         w, k = [b" ".join(w)], 1
-    ones, n = np.zeros(64, np.int64), len(w) - k + 1
+    n = len(w) - k + 1 if w else 0
     for start in range(0, n, _CHUNK):
         part = w[start : min(start + _CHUNK, n) + k - 1]
-        hashes = np.array([xxh64_intdigest(b" ".join(s), SEED) for s in zip(*(part[i:] for i in range(k)))], "<u8")
+        yield np.array([xxh64_intdigest(b" ".join(s), SEED) for s in zip(*(part[i:] for i in range(k)))], "<u8")
+
+
+def _majority(parts) -> int:
+    """The bits set in over half of all hashes."""
+    ones, n = np.zeros(64, np.int64), 0
+    for hashes in parts:
         ones += np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-    return int(np.packbits(2 * ones > n, bitorder="little").view("<u8")[0])
+        n += len(hashes)
+    return int(np.packbits(2 * ones > n, bitorder="little").view("<u8")[0]) if n else 0
+
+
+def fingerprint(text: str | None, k: int = SHINGLE) -> int:
+    """The unsigned fingerprint of one text; shingles count as often as they occur."""
+    return _majority(shingle_hashes(text, k))
 
 
 def _work(k: int):
@@ -108,29 +140,142 @@ def links(vertices: DataFrame) -> DataFrame:
     return both.select(F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi")).where("lo < hi").distinct()
 
 
+def _spread(df: DataFrame, key: str) -> DataFrame:
+    """``df`` over the session's shuffle partitions: checkpoints keep as few as adaptive execution left."""
+    return df.repartition(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), key)
+
+
 def resolve(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
     """doc_id, fp and component_id of every row of ``docs``."""
     prints = cut(fingerprints(docs, shingle))
-    vertices = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("id")))
-    found = components(links(vertices.where("id IS NOT NULL")))
-    roots = vertices.join(found, vertices["id"] == found["node"], "left").select(
-        F.col("fp").alias("vfp"), F.coalesce("root", "id").alias("component_id")
-    )
-    return prints.join(roots, prints["fp"] == roots["vfp"]).select("doc_id", "fp", "component_id")
+    vertices = cut(_spread(prints.groupBy("fp").agg(F.min("doc_id").alias("id")), "fp"))
+    # fingerprints are the nodes, so those of rows without an id link others too
+    found = components(links(vertices.select("fp", F.col("fp").alias("id"))))
+    rooted = vertices.join(found, vertices["fp"] == found["node"], "left").select(F.col("fp").alias("vfp"), F.coalesce("root", "fp").alias("root"), "id")
+    least = rooted.groupBy(F.col("root").alias("r")).agg(F.min("id").alias("component_id"))
+    named_ = rooted.join(least, F.col("root") == F.col("r")).select("vfp", "component_id")
+    return prints.join(named_, prints["fp"] == named_["vfp"]).select("doc_id", "fp", "component_id")
 
 
 def digest(docs: DataFrame) -> DataFrame:
     return resolve(docs).select("doc_id", as_hex(F.col("fp")).alias("fingerprint"), "component_id")
 
 
-def dedup(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
-    """One row of each component, that of its smallest doc_id, with the columns of ``docs``.
+# --- near copies --------------------------------------------------------------------------
+
+
+def shingle_set(text: str | None, k: int = NEAR_SHINGLE) -> np.ndarray:
+    """The text's different shingles by hash, in order."""
+    parts = list(shingle_hashes(text, k))
+    return np.unique(np.concatenate(parts)) if parts else np.zeros(0, "<u8")
+
+
+def _mix(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+def bucket_keys(shingles: np.ndarray, similarity: float = NEAR) -> np.ndarray:
+    """A key for each group of the text's sampled shingles, in its band of lengths and the one below.
+
+    Sets as similar as that differ by a band at most, so they share one, and with it the rate of
+    the sample. A text without shingles has one key.
+    """
+    n = len(shingles)
+    if not n:
+        return np.zeros(1, np.uint64)
+    step = -math.log(similarity)
+    top, out = int(math.log(n) / step + 1e-9), []
+    for band in {top, max(0, top - 1)}:
+        rate = max(0, int(math.log2(math.exp(band * step) / SAMPLED + 1e-9)) if math.exp(band * step) >= SAMPLED else 0)
+        sample = shingles[shingles & np.uint64((1 << rate) - 1) == 0]
+        group = ((sample >> np.uint64(40)) * np.uint64(GROUPS) >> np.uint64(24)).astype(np.int64)
+        # sums of mixed hashes, modulo 2 to the 64th, name a group's set in any order
+        sums = np.zeros(GROUPS, np.uint64)
+        np.add.at(sums, group, _mix(sample))
+        used = np.unique(group)
+        out.append(_mix(sums[used] + np.uint64(0x9E3779B97F4A7C15) * (used + GROUPS * (band + 1)).astype(np.uint64)))
+    return np.concatenate(out)
+
+
+def _near_work(k: int, similarity: float):
+    def of(batch: pa.RecordBatch) -> pa.RecordBatch:
+        fps, sizes, keys = [], [], []
+        for text in batch.column("text").to_pylist():
+            s = shingle_set(text, k)
+            fps.append(_majority([s]))
+            sizes.append(len(s))
+            keys.append(bucket_keys(s, similarity).view(np.int64))
+        lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum([len(x) for x in keys])]), pa.int32()), pa.array(np.concatenate([np.zeros(0, np.int64), *keys])))
+        return pa.RecordBatch.from_arrays([batch.column("node"), batch.column("doc_id"), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(sizes, pa.int64()), lists], ["node", "doc_id", "fp", "n", "keys"])
+
+    return of
+
+
+def _set_work(k: int):
+    def of(batch: pa.RecordBatch) -> pa.RecordBatch:
+        sets = [shingle_set(t, k).view(np.int64) for t in batch.column("text").to_pylist()]
+        return pa.RecordBatch.from_arrays([batch.column("node"), pa.array(sets, pa.list_(pa.int64()))], ["node", "shingles"])
+
+    return of
+
+
+def _nodes(docs: DataFrame) -> DataFrame:
+    """node (a digest of the text), doc_id and text of every row."""
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    return docs.select(F.md5(text).alias("node"), F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"))
+
+
+def verified(pairs: DataFrame, docs: DataFrame, k: int = NEAR_SHINGLE, similarity: float = NEAR) -> DataFrame:
+    """Those of ``pairs`` (lo, hi: nodes) whose shingle sets are similar; only texts in a pair are read into sets."""
+    need = pairs.select(F.explode(F.array("lo", "hi")).alias("node")).distinct()
+    texts = _nodes(docs).select("node", "text").join(need, "node", "left_semi").dropDuplicates(["node"])
+    sets = cut(map_batches(texts, partial(_set_work, k), "node string, shingles array<long>"))
+    a, b = sets.select(F.col("node").alias("lo"), F.col("shingles").alias("sa")), sets.select(F.col("node").alias("hi"), F.col("shingles").alias("sb"))
+    both = F.size(F.array_intersect("sa", "sb"))
+    alike = (both >= F.lit(similarity) * (F.size("sa") + F.size("sb") - both) - 1e-9).alias("alike")
+    return pairs.join(a, "lo").join(b, "hi").select("lo", "hi", alike).where("alike").select("lo", "hi")
+
+
+def near_groups(docs: DataFrame, shingle: int = NEAR_SHINGLE, similarity: float = NEAR) -> DataFrame:
+    """node, id (its smallest doc_id) and root of every different text: texts linked by near copies share a root."""
+    prints = cut(map_batches(_nodes(docs), partial(_near_work, shingle, similarity), "node string, doc_id long, fp long, n long, keys array<long>"))
+    texts = prints.groupBy("node").agg(F.min("doc_id").alias("id"), F.min("fp").alias("fp"), F.min("n").alias("n"), F.min("keys").alias("keys"))
+    texts = cut(_spread(texts, "node"))
+    entered = texts.select("node", "fp", "n", F.explode("keys").alias("key"))
+    hubs = entered.groupBy("key").agg(F.min(F.struct("node", "fp", "n")).alias("h"), F.count("*").alias("c")).where("c > 1").select("key", "h")
+
+    def near(fa: Column, fb: Column, na: Column, nb: Column) -> Column:
+        return (F.bit_count(fa.bitwiseXOR(fb)) <= NEAR_BITS) & (F.least(na, nb) >= F.lit(similarity) * F.greatest(na, nb) - 1e-9)
+
+    first = entered.join(hubs, "key").where((F.col("node") > F.col("h.node")) & near(F.col("fp"), F.col("h.fp"), F.col("n"), F.col("h.n")))
+    first = cut(first.select(F.col("h.node").alias("lo"), F.col("node").alias("hi")).distinct())
+    edges = cut(verified(first, docs, shingle, similarity))
+    found = components(edges)
+
+    # what shares a bucket but no component yet
+    placed = entered.join(found, entered["node"] == found["node"], "left").select(entered["node"], "fp", "n", "key", F.coalesce("root", entered["node"]).alias("root"))
+    mixed = placed.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("key")
+    apart = placed.join(mixed, "key", "left_semi")
+    a, b = (apart.select("key", *(F.col(c).alias(c + side) for c in ("node", "fp", "n", "root"))) for side in "ab")
+    cross = a.join(b, "key").where((F.col("nodea") < F.col("nodeb")) & (F.col("roota") != F.col("rootb")) & near(F.col("fpa"), F.col("fpb"), F.col("na"), F.col("nb")))
+    cross = cross.select(F.col("nodea").alias("lo"), F.col("nodeb").alias("hi")).distinct().join(first, ["lo", "hi"], "left_anti")
+    more = verified(cut(cross), docs, shingle, similarity)
+    found = components(found.select(F.col("root").alias("lo"), F.col("node").alias("hi")).unionByName(more))
+    return texts.join(found.withColumnRenamed("node", "_v"), F.col("node") == F.col("_v"), "left").select("node", "id", F.coalesce("root", "node").alias("root"))
+
+
+def dedup(docs: DataFrame, shingle: int = NEAR_SHINGLE, similarity: float = NEAR) -> DataFrame:
+    """One row of each group of near copies, that of its smallest doc_id, with the columns of ``docs``.
 
-    Of repeated rows of that id the first by text stays. Rows without an id all stay.
+    Of repeated rows of that id the one with the first text, then the first by all its columns, stays.
     """
-    firsts = resolve(docs, shingle).where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("_first")).distinct()
-    packed = docs.select(F.col("doc_id").cast("long").alias("_id"), F.struct(*docs.columns).alias("_doc"))
-    kept = packed.join(firsts, packed["_id"] == firsts["_first"])
-    order = Window.partitionBy("_first").orderBy(F.xxhash64("_doc.text"), F.col("_doc.text"))
-    one = kept.withColumn("_n", F.row_number().over(order)).where("_n = 1")
-    return one.select("_doc.*").unionByName(docs.where("doc_id IS NULL"))
+    groups = near_groups(docs, shingle, similarity)
+    chosen = groups.groupBy("root").agg(F.min(F.struct(F.col("id").isNull().alias("no"), "id", "node")).alias("m")).select(F.col("m.node").alias("_node"), F.col("m.id").alias("_first"))
+    node = F.md5(F.coalesce(F.col("text").cast("string"), F.lit("")))
+    rest = docs.drop("text")  # equal for equal nodes
+    rows = docs.select(node.alias("node"), F.col("doc_id").cast("long").alias("_id"), F.to_json(packed(rest)).alias("_rest"), packed(docs).alias("_doc"))
+    kept = rows.join(chosen, (F.col("node") == F.col("_node")) & F.col("_id").eqNullSafe(F.col("_first")))
+    one = kept.withColumn("_n", F.row_number().over(Window.partitionBy("node").orderBy("_rest"))).where("_n = 1")
+    return one.select("_doc.*")

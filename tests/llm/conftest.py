@@ -21,3 +21,12 @@ def odd(spark):
 @pytest.fixture()
 def none(spark):
     return spark.createDataFrame([], DOCS)
+
+
+@pytest.fixture()
+def clashing(odd):
+    """The same rows with columns called like those that operators make, in other cases, or with dots and blanks."""
+    from pyspark.sql import functions as F
+
+    names = ("ids", "N_Pieces", "lossless", "_text", "_key", "n_words", "rule_bits", "_qr_t", "_shard", "shard", "doc", "place", "node", "fp", "keys", "root", "score", "label", "x", "image", "argb", "a.b", "two words", "struct<z>", "_doc", "_n")
+    return odd.select("*", *(F.lit(n).alias(n) for n in names), F.struct(F.lit(1).alias("c.d"), F.array(F.lit(2)).alias("e f")).alias("nested.one"))

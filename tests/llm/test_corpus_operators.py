@@ -189,9 +189,85 @@ def test_components_of_given_documents(spark):
     prints = {r.doc_id: brute_print(r.text) for r in docs.collect()}
     want = brute_components(prints)
     assert {r.doc_id: r.component_id for r in simhash.digest(docs).collect()} == want
+
+
+def test_rows_without_an_id_link_others(spark):
+    """Fingerprints two bits apart in a chain whose middle has no id."""
+    words = [f"word{i}" for i in range(30)]
+    rows, prints = [], {}
+    for i in range(4000):
+        w = list(words)
+        w[i % 30] = f"x{i}"
+        prints[" ".join(w)] = brute_print(" ".join(w))
+    texts = sorted(prints, key=lambda t: prints[t])
+    near = lambda a, b: (prints[a] ^ prints[b]).bit_count()
+    a, b, c = next((a, b, c) for b in texts for a in texts for c in texts if 0 < near(a, b) <= 2 and 0 < near(b, c) <= 2 and near(a, c) > 2)
+    rows = [(5, a), (None, b), (9, c), (None, "quite another text")]
+    got = [(r.doc_id, r.component_id) for r in simhash.digest(spark.createDataFrame(rows, "doc_id long, text string")).collect()]
+    assert sorted(got, key=str) == [(5, 5), (9, 5), (None, 5), (None, None)]
+
+
+def near_by_hand(texts):
+    """First id of each text's group: all pairs of five-word shingle sets."""
+    sets = {}
+    for i, t in texts.items():
+        w = (t or "").encode().lower().split()
+        sets[i] = {tuple(w[k : k + 5]) for k in range(len(w) - 4)} if len(w) >= 5 else {tuple(w)} if w else set()
+    root = {i: i for i in texts}
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    ids = sorted(texts)
+    for n, a in enumerate(ids):
+        for b in ids[n + 1 :]:
+            x, y = sets[a], sets[b]
+            small, large = sorted((len(x), len(y)))
+            if small >= 0.8 * large and (x == y or (both := len(x & y)) and both >= 0.8 * (len(x) + len(y) - both)):
+                p, q = sorted((find(a), find(b)))
+                root[q] = p
+    return {i: find(i) for i in ids}
+
+
+def groups_of(docs):
+    nodes = {r.node: r.root for r in simhash.near_groups(docs).collect()}
+    md5 = lambda t: hashlib.md5((t or "").encode()).hexdigest()
+    roots = {r.doc_id: nodes[md5(r.text)] for r in docs.collect()}
+    first = {}
+    for i in sorted(roots):
+        first.setdefault(roots[i], i)
+    return {i: first[r] for i, r in roots.items()}
+
+
+def test_near_groups_of_given_documents(spark):
+    docs = table(spark, SMALL, "documents")
+    want = near_by_hand({r.doc_id: r.text for r in docs.collect()})
+    assert groups_of(docs) == want
     assert sorted(r.doc_id for r in simhash.dedup(docs).collect()) == sorted(i for i, c in want.items() if i == c)
 
 
+def test_near_groups_of_edited_texts(spark):
+    """Chains of edits of short and long texts, texts that share a long passage only, and texts of few words."""
+    rng = random.Random(11)
+    pool = [f"w{i}" for i in range(3000)]
+    texts, passage = {}, " ".join(rng.choices(pool, k=60))
+    for base in range(14):
+        w = rng.choices(pool, k=rng.choice([6, 9, 20, 60, 200, 900, 3000]))
+        for _ in range(9):
+            texts[len(texts)] = " ".join(w).upper() if rng.random() < 0.1 else "  ".join(w)
+            for _ in range(max(1, len(w) // rng.choice([30, 60, 400]))):
+                k = rng.randrange(len(w))
+                w[k : k + 1] = rng.choice([[], [rng.choice(pool)], [w[k], rng.choice(pool)]])
+    for _ in range(30):
+        texts[len(texts)] = " ".join(rng.choices(pool, k=rng.randint(10, 300))) + " " + passage
+    for t in ("", " \n", None, "a", "A", "a b c d", "a b c d e", "a b c d e f"):
+        texts[len(texts)] = t
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string").repartition(5)
+    assert groups_of(docs) == near_by_hand(texts)
+
+
 @pytest.mark.parametrize("crowd", [simhash.CROWD, 3, 0])
 def test_links_of_random_fingerprints(spark, monkeypatch, crowd):
     """Chains and crowds of near fingerprints, by either way of linking a cell."""
@@ -219,7 +295,10 @@ def test_dedup_odd(odd, none):
     kept = simhash.dedup(odd)
     assert kept.columns == odd.columns and simhash.dedup(none).count() == 0
     ids = [r.doc_id for r in kept.collect()]
-    assert ids.count(1) == 1 and ids.count(None) == 1 and ids.count(2) == 1 and 3 not in ids and 4 not in ids
+    # one row of document 1, the null and blank texts are one group, the row without an id is one of its own
+    assert sorted(ids, key=str) == [1, 2, 5, 6, 7, 8, None]
+    again = sorted(map(str, simhash.dedup(odd.withColumn("lang", odd.doc_id.cast("string")).repartition(3)).collect()))
+    assert again == sorted(map(str, simhash.dedup(odd.withColumn("lang", odd.doc_id.cast("string")).repartition(7)).collect()))
 
 
 # --- mixing -------------------------------------------------------------------------------
@@ -248,9 +327,19 @@ def test_mixing(spark):
     again = mixing.account(docs.repartition(7)).join(docs.select("doc_id", "source"), "doc_id").toPandas()
     cols = ["doc_id", "taken", "target"]
     assert rows.sort_values(cols)[cols].to_numpy().tolist() == again.sort_values(cols)[cols].to_numpy().tolist()
-    mixed = mixing.mix(docs, 8).toPandas()
+    mixed = mixing.mix(docs, 8, "shard").toPandas()
     assert mixed.groupby("doc_id").size().to_dict() == {i: len(s) for i, s in zip(rows["doc_id"], rows["shards"], strict=True) if len(s)}
-    assert set(mixed["_shard"]) == set(range(8))
+    assert set(mixed["shard"]) == set(range(8))
+
+
+def test_shards_follow_the_words(spark, monkeypatch):
+    docs = table(spark, SF, "documents")
+    words = 1.5 * sum(r.source_size for r in mixing.account(docs).select("source_size", "target").distinct().collect())
+    monkeypatch.setattr(mixing, "SHARD_WORDS", 10_000)
+    got = mixing.mix(docs, shard_column="shard").select("shard").distinct().count()
+    assert got == -(-int(words) // 10_000) > 20
+    monkeypatch.setattr(mixing, "MAX_SHARDS", 7)
+    assert mixing.mix(docs, shard_column="shard").select("shard").distinct().count() == 7
 
 
 def test_mixing_odd(odd, none):
@@ -258,7 +347,7 @@ def test_mixing_odd(odd, none):
     assert got.count() == odd.count() and got.where("taken > 2 * size OR taken IS NULL").count() == 0
     assert {r.doc_id: r["size"] for r in got.collect()}[2] == 0
     assert mixing.account(none).count() == 0 and mixing.mix(none).count() == 0
-    assert mixing.mix(odd).drop("_shard").columns == odd.columns
+    assert mixing.mix(odd).columns == odd.columns
 
 
 # --- pipeline -----------------------------------------------------------------------------
@@ -276,7 +365,7 @@ def test_pipeline(spark, tmp_path):
         assert name == "piece_sampling" or docs.columns == before.columns
     assert sorted(kept["quality_rules"]) == sorted(r.doc_id for r in quality_rules.digest(spark.read.parquet(f"{SF}/documents.parquet")).where("kept").collect())
     two = spark.read.parquet(str(tmp_path / "quality_classifier"))
-    assert sorted(kept["simhash_dedup"]) == sorted(r.doc_id for r in simhash.digest(two).where("doc_id = component_id").collect())
+    assert sorted(kept["simhash_dedup"]) == sorted(i for i, c in near_by_hand({r.doc_id: r.text for r in two.collect()}).items() if i == c)
     three = spark.read.parquet(str(tmp_path / "simhash_dedup"))
     taken = {r.doc_id: len(r.shards) for r in mixing.account(three).collect() if r.shards}
     assert {i: kept["source_mixing"].count(i) for i in set(kept["source_mixing"])} == taken
@@ -287,8 +376,37 @@ def test_pipeline(spark, tmp_path):
     assert sorted(map(tuple, corpus_pipeline.run(spark, SF).drop("ids").collect())) == sorted(map(tuple, docs.drop("ids").collect()))
 
 
-def test_stages_take_odd_rows(spark, odd, none):
-    for docs in (odd, none):
+def test_stages_take_odd_rows(spark, odd, none, clashing):
+    for docs in (odd, none, clashing):
         for name, stage in corpus_pipeline.STAGES:
             out = stage(spark, docs, SMALL)
             assert out.count() <= 2 * docs.count(), name
+            assert name == "piece_sampling" or out.columns == docs.columns
+            if docs is clashing and name != "piece_sampling":
+                want = {str(r) for r in docs.collect()}
+                assert {str(r) for r in out.collect()} <= want, name
+
+
+def test_clashing_columns(spark, clashing, odd):
+    from opatlas.llm import media, piece_sampling, token_counts
+    from opatlas.llm.registry import tokenizer_path
+
+    led = quality_rules.ledger(clashing)
+    assert {"_n_words", "n_words", "_rule_bits", "rule_bits", "a.b", "nested.one"} <= set(led.columns) and len(led.columns) == len(clashing.columns) + 6
+    assert {r["_rule_bits"] for r in led.collect()} == {"rule_bits"}
+    assert sorted(map(str, led.select(*quality_rules.MEASURES, "rule_bits").collect())) == sorted(map(str, quality_rules.ledger(odd).select(*quality_rules.MEASURES, "rule_bits").collect()))
+    path = tokenizer_path("piece_bpe_32k.model")
+    got = piece_sampling.sample_pieces(clashing, path, keep=("doc_id", "ids", "N_Pieces", "_key", "a.b", "nested.one"))
+    assert got.columns == ["doc_id", "_ids", "_N_Pieces", "_key", "a.b", "nested.one", "ids", "n_pieces", "lossless"]
+    assert all(r.lossless and r["_ids"] == "ids" and r["nested.one"]["c.d"] == 1 for r in got.collect())
+    assert piece_sampling.decode_pieces(got.withColumn("decoded", F.lit(1)), path).columns[-2:] == ["_decoded", "decoded"]
+    mixed = mixing.mix(clashing, shard_column="shard")
+    assert "_shard" in mixed.columns and "__shard" in mixed.columns and mixed.columns[-1] == "shard" and mixed.count() > 0
+    pixels = media.pixel_arrays(media.store_texts(odd).select("doc_id", "media", F.lit("i").alias("image"), F.lit(1).alias("a.b")))
+    assert pixels.columns == ["doc_id", "media", "_image", "a.b", "image", "height", "width", "argb"] and pixels.where("image = 0").count() == odd.count()
+    for run in (simhash.digest, token_counts_of(token_counts, tokenizer_path), media.store_texts, mixing.account):
+        assert run(clashing).count() == odd.count()
+
+
+def token_counts_of(module, path):
+    return lambda docs: module.count_tokens(docs, path("byte_bpe_50k.json"))

@@ -116,6 +116,32 @@ def test_pieces_are_sampled_exactly():
     assert max(abs(seen[s] / n - np.exp(w) / total) for s, w in all_.items()) < 0.012
 
 
+def test_likeliest_pieces_by_enumeration(spark, odd, none, monkeypatch):
+    path = tokenizer_path("piece_bpe_32k.model")
+    p = piece_sampling.pieces(path)
+
+    def best(unit):
+        ways = [0.0]
+        for j in range(1, len(unit) + 1):
+            ways.append(max(ways[i] + p.weight.get(unit[i:j], p.byte_weight * len(unit[i:j].encode()) if j - i == 1 else -1e9) for i in range(j)))
+        return ways[-1]
+
+    rng = random.Random(5)
+    for _ in range(200):
+        t = "".join(rng.choices([*"abcdefghij \n.é中", "the ", "ing", "tion"], k=rng.randint(1, 20)))
+        ids = piece_sampling.encode_best(t, p)
+        assert piece_sampling.decode(ids, p) == t
+        got = sum(p.weights[i] if p.texts[i].decode(errors="replace") in p.ids else p.byte_weight for i in ids)
+        assert got == pytest.approx(best(" " + t)), t
+    long = "".join(rng.choices("abcdefgh ", k=3000))
+    want = piece_sampling.encode_best(long, p)
+    monkeypatch.setattr(piece_sampling, "LEARN", 64)
+    monkeypatch.setattr(piece_sampling, "CACHE", 100)
+    assert piece_sampling.encode_best(long, p) == want
+    rows = piece_sampling.encode_pieces(odd, path).collect()
+    assert len(rows) == odd.count() and all(r.lossless for r in rows) and piece_sampling.encode_pieces(none, path).count() == 0
+
+
 def test_pieces_round_trip_and_repeat(odd, none):
     path = tokenizer_path("piece_bpe_32k.model")
     p = piece_sampling.pieces(path)
@@ -192,6 +218,17 @@ def test_pixel_arrays(spark, odd):
     assert media.pixel_arrays(spark.createDataFrame([(None,)], "media binary")).first().argb is None
 
 
+def test_pixels_of_every_file(spark):
+    """A text of three images gives all of them, numbered in order."""
+    text = "".join(chr(33 + i % 89) for i in range(2 * media.MAX_IMAGE + 100))
+    docs = spark.createDataFrame([(1, text), (2, "ab")], "doc_id long, text string")
+    stored = media.store_texts(docs).select("doc_id", "media")
+    got = {(r.doc_id, r.image): bytes(r.argb)[2::4] for r in media.pixel_arrays(stored).collect()}
+    assert set(got) == {(1, 0), (1, 1), (1, 2), (2, 0)}
+    assert (got[1, 0] + got[1, 1] + got[1, 2]).rstrip(b"\0").decode() == text
+    assert media.pixel_arrays(spark.createDataFrame([(None,), (b"",)], "media binary")).where("argb IS NULL").count() == 2
+
+
 # --- pages --------------------------------------------------------------------------------
 
 
