@@ -68,19 +68,6 @@ def test_recall_of_all_vectors(spark):
     assert RUNS["a_trust_whole"](spark, SF).first()["recall"] == pytest.approx(want, abs=2e-3)
 
 
-def test_pixels_of_every_file(spark):
-    """A text of three images gives all of them, numbered in order."""
-    from opatlas.llm import media
-
-    text = "".join(chr(33 + i % 89) for i in range(2 * media.MAX_IMAGE + 100))
-    docs = spark.createDataFrame([(1, text), (2, "ab")], "doc_id long, text string")
-    stored = media.store_texts(docs).select("doc_id", "media")
-    got = {(r.doc_id, r.image): bytes(r.argb)[2::4] for r in media.pixel_arrays(stored).collect()}
-    assert set(got) == {(1, 0), (1, 1), (1, 2), (2, 0)}
-    assert (got[1, 0] + got[1, 1] + got[1, 2]).rstrip(b"\0").decode() == text
-    assert media.pixel_arrays(spark.createDataFrame([(None,), (b"",)], "media binary")).where("argb IS NULL").count() == 2
-
-
 def test_model_selection_takes_the_defaults(spark, monkeypatch):
     """K = 1..500 and the library's own steps, iterations and landmarks."""
     from opatlas.operators import gmm, tsne
