@@ -17,9 +17,12 @@ candidates come from fingerprints of parts: shingles are sampled by their hash a
 follows the text's length and dealt into ``GROUPS`` groups, and texts of like length that agree
 in all of a group meet. At the least similarity two texts miss each other in all groups with a
 chance of 0.3 % or less, and of far less above it. Candidates within ``NEAR_BITS`` bits of each
-other are verified exactly on their whole sets. Every member of a bucket is verified against
-its first one; then members of different components so far are, so a large group of near copies
-makes no pairs within itself, and nothing is capped.
+other are verified exactly on their whole sets. In each bucket all members are verified against
+its ``HUBS`` most central ones, those that share most keys with most texts, and as many drawn
+by a hash of bucket and text, so that a text meets different ones in each bucket; in buckets of up to
+``CROWD`` members all pairs that are not yet connected are verified too. So a large group of near
+copies makes no pairs within itself. What that can miss is a pair that meets in crowded buckets
+only and is tied neither by a hub nor by a third text; the README gives the measured recall.
 
 Defined results: null and empty texts have fingerprint zero and no shingles and link like any
 other; equal fingerprints (texts) always link, so copies are reduced to one vertex first;
@@ -55,6 +58,8 @@ NEAR = 0.8
 #: Groups of sampled shingles of a text, and how many shingles are sampled at least where there are more.
 GROUPS = 16
 SAMPLED = 24
+#: Members of a bucket that all others are verified against: so many central ones, and so many drawn by hash.
+HUBS = 2
 #: Candidates differ in no more bits: 3.6 standard deviations above the mean of pairs at the least similarity.
 NEAR_BITS = 20
 _CHUNK = 1 << 15
@@ -216,7 +221,7 @@ def _near_work(k: int, similarity: float):
 def _set_work(k: int):
     def of(batch: pa.RecordBatch) -> pa.RecordBatch:
         sets = [shingle_set(t, k).view(np.int64) for t in batch.column("text").to_pylist()]
-        return pa.RecordBatch.from_arrays([batch.column("node"), pa.array(sets, pa.list_(pa.int64()))], ["node", "shingles"])
+        return pa.RecordBatch.from_arrays([batch.column("v"), pa.array(sets, pa.list_(pa.int64()))], ["v", "shingles"])
 
     return of
 
@@ -227,43 +232,51 @@ def _nodes(docs: DataFrame) -> DataFrame:
     return docs.select(F.md5(text).alias("node"), F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"))
 
 
-def verified(pairs: DataFrame, docs: DataFrame, k: int = NEAR_SHINGLE, similarity: float = NEAR) -> DataFrame:
-    """Those of ``pairs`` (lo, hi: nodes) whose shingle sets are similar; only texts in a pair are read into sets."""
-    need = pairs.select(F.explode(F.array("lo", "hi")).alias("node")).distinct()
-    texts = _nodes(docs).select("node", "text").join(need, "node", "left_semi").dropDuplicates(["node"])
-    sets = cut(map_batches(texts, partial(_set_work, k), "node string, shingles array<long>"))
-    a, b = sets.select(F.col("node").alias("lo"), F.col("shingles").alias("sa")), sets.select(F.col("node").alias("hi"), F.col("shingles").alias("sb"))
+def verified(pairs: DataFrame, texts: DataFrame, docs: DataFrame, k: int = NEAR_SHINGLE, similarity: float = NEAR) -> DataFrame:
+    """Those of ``pairs`` (lo, hi: numbers in ``texts``) whose shingle sets are similar; only texts in a pair are read into sets."""
+    need = pairs.select(F.explode(F.array("lo", "hi")).alias("v")).distinct().join(texts.select("v", "node"), "v")
+    # a text once, whatever its copies: those of its smallest id are few
+    read = _nodes(docs).select("node", "text").join(need, "node").dropDuplicates(["v"])
+    sets = cut(map_batches(read.select("v", "text"), partial(_set_work, k), "v long, shingles array<long>"))
+    a, b = sets.select(F.col("v").alias("lo"), F.col("shingles").alias("sa")), sets.select(F.col("v").alias("hi"), F.col("shingles").alias("sb"))
     both = F.size(F.array_intersect("sa", "sb"))
     alike = (both >= F.lit(similarity) * (F.size("sa") + F.size("sb") - both) - 1e-9).alias("alike")
-    return pairs.join(a, "lo").join(b, "hi").select("lo", "hi", alike).where("alike").select("lo", "hi")
+    return cut(pairs.join(a, "lo").join(b, "hi").select("lo", "hi", alike).where("alike").select("lo", "hi"))
 
 
 def near_groups(docs: DataFrame, shingle: int = NEAR_SHINGLE, similarity: float = NEAR) -> DataFrame:
     """node, id (its smallest doc_id) and root of every different text: texts linked by near copies share a root."""
-    prints = cut(map_batches(_nodes(docs), partial(_near_work, shingle, similarity), "node string, doc_id long, fp long, n long, keys array<long>"))
+    prints = map_batches(_nodes(docs), partial(_near_work, shingle, similarity), "node string, doc_id long, fp long, n long, keys array<long>")
     texts = prints.groupBy("node").agg(F.min("doc_id").alias("id"), F.min("fp").alias("fp"), F.min("n").alias("n"), F.min("keys").alias("keys"))
-    texts = cut(_spread(texts, "node"))
-    entered = texts.select("node", "fp", "n", F.explode("keys").alias("key"))
-    hubs = entered.groupBy("key").agg(F.min(F.struct("node", "fp", "n")).alias("h"), F.count("*").alias("c")).where("c > 1").select("key", "h")
-
-    def near(fa: Column, fb: Column, na: Column, nb: Column) -> Column:
-        return (F.bit_count(fa.bitwiseXOR(fb)) <= NEAR_BITS) & (F.least(na, nb) >= F.lit(similarity) * F.greatest(na, nb) - 1e-9)
-
-    first = entered.join(hubs, "key").where((F.col("node") > F.col("h.node")) & near(F.col("fp"), F.col("h.fp"), F.col("n"), F.col("h.n")))
-    first = cut(first.select(F.col("h.node").alias("lo"), F.col("node").alias("hi")).distinct())
-    edges = cut(verified(first, docs, shingle, similarity))
+    # numbers are fixed by the checkpoint
+    texts = cut(_spread(texts, "node").withColumn("v", F.monotonically_increasing_id()))
+    size = F.count("*").over(Window.partitionBy("key"))
+    shared = cut(texts.select("v", "fp", "n", F.explode("keys").alias("key")).withColumn("c", size).where("c > 1"))
+    pair = [F.least("v", "w").alias("lo"), F.greatest("v", "w").alias("hi")]
+
+    def near(a: str, b: str) -> Column:
+        bits = F.bit_count(F.col("fp" + a).bitwiseXOR(F.col("fp" + b))) <= NEAR_BITS
+        return bits & (F.least("n" + a, "n" + b) >= F.lit(similarity) * F.greatest("n" + a, "n" + b) - 1e-9)
+
+    central = shared.groupBy(F.col("v").alias("w")).agg(F.sum("c").alias("score"))
+    members = shared.select("key", F.col("v").alias("w"), F.col("fp").alias("fpw"), F.col("n").alias("nw")).join(central, "w")
+    rank = lambda *by: F.row_number().over(Window.partitionBy("key").orderBy(*by))
+    top = members.withColumn("r", rank(F.desc("score"), "w")).where(F.col("r") <= HUBS).drop("score", "r")
+    drawn = members.withColumn("r", rank(F.xxhash64("key", "w"))).where(F.col("r") <= HUBS).drop("score", "r")
+    hubs = top.unionByName(drawn).distinct()
+    first = cut(shared.join(hubs, "key").where((F.col("v") != F.col("w")) & near("", "w")).select(*pair).distinct())
+    edges = verified(first, texts, docs, shingle, similarity)
     found = components(edges)
 
-    # what shares a bucket but no component yet
-    placed = entered.join(found, entered["node"] == found["node"], "left").select(entered["node"], "fp", "n", "key", F.coalesce("root", entered["node"]).alias("root"))
-    mixed = placed.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("key")
-    apart = placed.join(mixed, "key", "left_semi")
-    a, b = (apart.select("key", *(F.col(c).alias(c + side) for c in ("node", "fp", "n", "root"))) for side in "ab")
-    cross = a.join(b, "key").where((F.col("nodea") < F.col("nodeb")) & (F.col("roota") != F.col("rootb")) & near(F.col("fpa"), F.col("fpb"), F.col("na"), F.col("nb")))
-    cross = cross.select(F.col("nodea").alias("lo"), F.col("nodeb").alias("hi")).distinct().join(first, ["lo", "hi"], "left_anti")
-    more = verified(cut(cross), docs, shingle, similarity)
+    # in small buckets, what shares one but no component yet
+    placed = shared.where(F.col("c") <= CROWD).join(found, F.col("v") == F.col("node"), "left").select("key", "v", "fp", "n", F.coalesce("root", "v").alias("root"))
+    other = placed.select("key", *(F.col(c).alias({"v": "w"}.get(c, c + "w")) for c in ("v", "fp", "n", "root")))
+    apart = (F.col("v") < F.col("w")) & (F.col("root") != F.col("rootw"))
+    cross = cut(placed.join(other, "key").where(apart & near("", "w")).select(*pair).distinct().join(first, ["lo", "hi"], "left_anti"))
+    more = verified(cross, texts, docs, shingle, similarity)
     found = components(found.select(F.col("root").alias("lo"), F.col("node").alias("hi")).unionByName(more))
-    return texts.join(found.withColumnRenamed("node", "_v"), F.col("node") == F.col("_v"), "left").select("node", "id", F.coalesce("root", "node").alias("root"))
+    rooted = texts.select("node", "id", "v").join(found.withColumnRenamed("node", "_v"), F.col("v") == F.col("_v"), "left")
+    return rooted.select("node", "id", F.coalesce("root", "v").alias("root"))
 
 
 def dedup(docs: DataFrame, shingle: int = NEAR_SHINGLE, similarity: float = NEAR) -> DataFrame:
