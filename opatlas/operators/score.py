@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.text import edit_ratio, jaccard
+from ..session import cut
 
 W_SEMANTIC = 0.6
 
@@ -31,6 +32,24 @@ def sample(combos: DataFrame, n: int = 150) -> DataFrame:
     return ranked.join(F.broadcast(strata(combos, n).select("k", "quota")), "k").where("_r <= quota").drop("_r", "quota")
 
 
+def evaluation_sample(combos: DataFrame, by_length: int = 100, similar: int = 25, rare: int = 25) -> DataFrame:
+    """The sample that experts label: ``combos`` with ``draw``, each combination once.
+
+    First in proportion to lengths ('length'), then of those that differ from one of them by
+    one operator ('similar'), then of those that hold a rare operator ('rare'); each draw goes
+    by a hash of the items. Combinations are mined sets, draws are bounded parameters.
+    """
+    order = [F.md5(F.array_join("items", "|")), "combo_id"]
+    first = cut(sample(combos, by_length).withColumn("draw", F.lit("length")))
+    pairs = near_pairs(combos)
+    near = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).join(first.select(F.col("combo_id").alias("a")), "a", "left_semi").select(F.col("b").alias("combo_id")).distinct()
+    left = combos.join(first.select("combo_id"), "combo_id", "left_anti")
+    second = cut(left.join(near, "combo_id", "left_semi").orderBy(*order).limit(similar).withColumn("draw", F.lit("similar")))
+    left = left.join(second.select("combo_id"), "combo_id", "left_anti")
+    third = left.join(low_frequency(combos).select("combo_id").distinct(), "combo_id", "left_semi").orderBy(*order).limit(rare).withColumn("draw", F.lit("rare"))
+    return first.unionByName(second).unionByName(third)
+
+
 def near_pairs(combos: DataFrame, insertion: bool = False) -> DataFrame:
     """Pairs a, b that differ by one operator: substituted at equal length, or (insertion) one more in b.
 

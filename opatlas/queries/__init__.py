@@ -29,11 +29,6 @@ class Catalog:
 
         return add
 
-    def whole(self, run: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
-        """Registers ``run`` with ``whole=True`` as NAME_whole too: the job without the bound that the SQL of NAME has."""
-        self.runs[f"{run.__name__}_whole"] = lambda spark, sf_dir: run(spark, sf_dir, whole=True)
-        return run
-
 
 def catalogs() -> list[Catalog]:
     from . import labels, mining, relational, serving, taxonomy

@@ -5,26 +5,25 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.noise import noise_sql
-from ..operators import itemsets, labelling, prompts, records, score
+from ..functions.noise import noise, noise_sql
+from ..operators import labelling, prompts, score
 from ..operators.labelling import ERROR, MODELS, RUNS
-from ..sources import corpus, io
+from ..sources import io
 from . import Catalog
-from .mining import apriori_sql, joined
+from .mining import MIXED_SQL, joined, mined
 from .taxonomy import TAX_SQL, r6, tax
 
 CATALOG = Catalog()
-query, whole_too = CATALOG.query, CATALOG.whole
-N_ITEMS = 150
+query = CATALOG.query
 
 # --- the mined combinations as input ----------------------------------------------------------
 
-_COMBOS = f"(SELECT row_number() OVER (ORDER BY k, items) - 1 AS combo_id, items, k, freq FROM ({apriori_sql(corpus.MIXED_ITEMS_SQL, 3)}))"
+_COMBOS = f"(SELECT items, k, freq FROM ({MIXED_SQL}))"
 
 
-def combos(spark: SparkSession, sf_dir: str, whole: bool = True) -> DataFrame:
-    """All frequent mixed sets, or those of up to three items that the SQL has, numbered by length and items."""
-    return itemsets.apriori(records.make(corpus.mixed_items(spark, sf_dir)), "0.05", **({} if whole else {"max_k": 3})).combos
+def combos(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All frequent mixed sets, numbered by length and items."""
+    return mined(spark, sf_dir).combos
 
 
 def named(df: DataFrame, *cols: str) -> DataFrame:
@@ -33,16 +32,14 @@ def named(df: DataFrame, *cols: str) -> DataFrame:
 
 
 @query(f"SELECT items, row_number() OVER (ORDER BY k, freq DESC, items)::BIGINT AS place, ((row_number() OVER (ORDER BY k, freq DESC, items) - 1) // 50)::BIGINT AS batch FROM {_COMBOS}")
-@whole_too
-def c_queue(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return named(labelling.order(combos(spark, sf_dir, whole), "len_freq_sim"), "place", "batch")
+def c_queue(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return named(labelling.order(combos(spark, sf_dir), "len_freq_sim"), "place", "batch")
 
 
 @query(f"SELECT k::BIGINT AS k, sum(place)::BIGINT AS places, count(*)::BIGINT AS n FROM (SELECT k, row_number() OVER (ORDER BY k, freq DESC)::BIGINT AS place FROM {_COMBOS}) GROUP BY 1")
-@whole_too
-def c_queue_plain(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+def c_queue_plain(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The default order: length, then frequency."""
-    got = labelling.order(combos(spark, sf_dir, whole))
+    got = labelling.order(combos(spark, sf_dir))
     return got.groupBy(F.col("k").cast("long").alias("k")).agg(F.sum("place").alias("places"), F.count("*").alias("n"))
 
 
@@ -74,15 +71,15 @@ def c_token_volume(spark: SparkSession, sf_dir: str) -> DataFrame:
     f"WITH q AS (SELECT items, row_number() OVER (ORDER BY k, freq DESC, items) AS place FROM {_COMBOS}), b AS (SELECT ((place - 1) // 50)::BIGINT AS batch, string_agg(place::VARCHAR || '. ' || replace(items, '|', ' + '), chr(10) ORDER BY place) AS combos FROM q GROUP BY 1) "
     f"SELECT batch, md5('Functions:' || chr(10) || index_text || chr(10) || 'Combinations:' || chr(10) || combos || chr(10) || 'Answer with one function index a line.') AS prompt_md5 FROM b, ({_INDEX})"
 )
-@whole_too
-def c_prompt(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    got = prompts.build_map_prompt(labelling.order(combos(spark, sf_dir, whole), "len_freq_sim"), tax(spark, sf_dir))
+def c_prompt(spark: SparkSession, sf_dir: str) -> DataFrame:
+    got = prompts.build_map_prompt(labelling.order(combos(spark, sf_dir), "len_freq_sim"), tax(spark, sf_dir))
     return got.select("batch", F.md5("prompt").alias("prompt_md5"))
 
 
 # --- ballots and votes ------------------------------------------------------------------------
 
-_ITEMS = f"(SELECT p_partkey AS item_id, (SELECT min(s_suppkey) FROM supplier) + p_partkey % (SELECT count(*) FROM supplier) AS truth FROM part WHERE p_partkey < {N_ITEMS})"
+#: The mined combinations, each with its true function: one drawn by a hash of its items.
+_ITEMS = f"(SELECT items AS item_id, (SELECT min(s_suppkey) FROM supplier) + floor({noise_sql("items", "'truth'")} * (SELECT count(*) FROM supplier))::BIGINT AS truth FROM {_COMBOS})"
 _TEAM = "(SELECT * FROM (VALUES " + ", ".join(f"('{m}', {ERROR[m]}::DOUBLE, {i})" for i, m in enumerate(MODELS)) + f") AS m(model, err, prio), (SELECT unnest(range(1, {RUNS + 1})) AS run))"
 _N = lambda *p: noise_sql("item_id", *p)
 _BALLOTS = (
@@ -117,45 +114,60 @@ _SINGLE = "SELECT item_id, model, l3_id, n FROM tally QUALIFY row_number() OVER
 _POOLED = f"{_RESOLVED}, votes AS MATERIALIZED ({_vote_sql('tally')})"
 
 
-def items(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    """Parts to label, all or those that the SQL has, and their true function."""
-    low, n = io.read(spark, sf_dir, "supplier", ("s_suppkey",)).agg(F.min("s_suppkey"), F.count("*")).first()
-    p = io.read(spark, sf_dir, "part", ("p_partkey",))
-    p = p if whole else p.where(F.col("p_partkey") < N_ITEMS)
-    return p.select(F.col("p_partkey").alias("item_id"), (F.lit(low) + F.col("p_partkey") % n).alias("truth"))
+def functions_range(spark: SparkSession, sf_dir: str) -> tuple[int, int]:
+    """The first function's id and the number of functions, whose ids run on."""
+    return io.read(spark, sf_dir, "supplier", ("s_suppkey",)).agg(F.min("s_suppkey"), F.count("*")).first()
 
 
-def ballots(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return labelling.run(items(spark, sf_dir, whole), lambda i: labelling.seeded(i, tax(spark, sf_dir)))
+def items(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every mined combination, by its items, and its true function."""
+    low, n = functions_range(spark, sf_dir)
+    key = combos(spark, sf_dir).select(F.array_join("items", "|").alias("item_id"))
+    return key.select("item_id", (F.lit(low) + F.floor(noise(F.col("item_id"), "truth") * n)).alias("truth"))
 
 
-def resolved(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return labelling.resolve(ballots(spark, sf_dir, whole), tax(spark, sf_dir))
+def ballots(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return labelling.run(items(spark, sf_dir), lambda i: labelling.seeded(i, tax(spark, sf_dir)))
 
 
-def tally(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return labelling.tallies(resolved(spark, sf_dir, whole))
+def resolved(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return labelling.resolve(ballots(spark, sf_dir), tax(spark, sf_dir))
+
+
+def tally(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return labelling.tallies(resolved(spark, sf_dir))
 
 
 @query(f"{_BALLOTS} SELECT * FROM ballots")
-@whole_too
-def c_ballots(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+def c_ballots(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Simulated annotators' ballots."""
-    return ballots(spark, sf_dir, whole).select("item_id", "model", F.col("run").cast("long").alias("run"), "raw_label")
+    return ballots(spark, sf_dir).select("item_id", "model", F.col("run").cast("long").alias("run"), "raw_label")
 
 
 def _named_parts(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
     """Parts as items, with their type, brand and name as text, and the same names as a taxonomy."""
     p = io.read(spark, sf_dir, "part")
-    t = p.select(F.col("p_type").alias("l1"), F.col("p_brand").alias("l2"), F.col("p_name").alias("l3")).distinct().withColumn("l3_id", F.xxhash64("l1", "l2", "l3"))
+    t = p.select(F.col("p_type").alias("l1"), F.col("p_brand").alias("l2"), F.col("p_name").alias("l3")).distinct()
+    t = t.withColumn("l3_id", F.conv(F.substring(F.md5(F.concat_ws("/", "l1", "l2", "l3")), 1, 15), 16, 10).cast("long"))
     return p.select(F.col("p_partkey").alias("item_id"), F.concat_ws(" ", "p_type", "p_brand", "p_name").alias("text")), t
 
 
-@query()
+_WORDS_OF = r"list_distinct(list_filter(regexp_split_to_array(lower({}), '[^\p{{L}}\p{{N}}]+'), lambda x: x <> ''))"
+_WORD_SCORES = (
+    "WITH nt AS (SELECT DISTINCT p_type AS l1, p_brand AS l2, p_name AS l3 FROM part), nw AS (SELECT *, len(ws) AS n, unnest(ws) AS w FROM (SELECT *, "
+    + _WORDS_OF.format("concat_ws(' ', l1, l2, l3)") + " AS ws FROM nt)), it AS (SELECT p_partkey AS item_id, len(ws) AS m, unnest(ws) AS w FROM (SELECT p_partkey, "
+    + _WORDS_OF.format("concat_ws(' ', p_type, p_brand, p_name)") + " AS ws FROM part)), "
+    "sc AS MATERIALIZED (SELECT item_id, l1, l2, l3, round(count(*) / sqrt(any_value(n) * any_value(m)), 9) AS score FROM it JOIN nw USING (w) GROUP BY ALL)"
+)
+
+
+@query(
+    f"{_WORD_SCORES}, top AS (SELECT item_id, l1, l2, l3, score, max(score) OVER (PARTITION BY item_id) AS best FROM sc) SELECT item_id, 'lexical' AS model, 1::BIGINT AS run, arg_min(l3, ('0x' || substr(md5(l1 || '/' || l2 || '/' || l3), 1, 15))::BIGINT) AS raw_label FROM top WHERE score = best GROUP BY item_id"
+)
 def c_lexical(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Labels by shared words."""
     parts, t = _named_parts(spark, sf_dir)
-    return labelling.run(parts, lambda i: labelling.lexical(i, t))
+    return labelling.run(parts, lambda i: labelling.lexical(i, t)).withColumn("run", F.col("run").cast("long"))
 
 
 @query()
@@ -166,22 +178,19 @@ def c_narrowing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query(f"{_BALLOTS} SELECT DISTINCT raw_label FROM ballots WHERE raw_label IN (SELECT l3 FROM tax)")
-@whole_too
-def c_exists(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return labelling.exists(ballots(spark, sf_dir, whole), tax(spark, sf_dir))
+def c_exists(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return labelling.exists(ballots(spark, sf_dir), tax(spark, sf_dir))
 
 
 @query(f"{_BALLOTS} SELECT DISTINCT raw_label FROM ballots WHERE raw_label NOT IN (SELECT l3 FROM tax)")
-@whole_too
-def c_missing(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return labelling.missing(ballots(spark, sf_dir, whole), tax(spark, sf_dir))
+def c_missing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return labelling.missing(ballots(spark, sf_dir), tax(spark, sf_dir))
 
 
 @query(f"{_FUZZY} SELECT raw_label, l3_id, round(sim, 6) AS sim FROM near")
-@whole_too
-def c_fuzzy_lev(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+def c_fuzzy_lev(spark: SparkSession, sf_dir: str) -> DataFrame:
     t = tax(spark, sf_dir)
-    return labelling.fuzzy(labelling.missing(ballots(spark, sf_dir, whole), t), t).select("raw_label", "l3_id", *r6("sim"))
+    return labelling.fuzzy(labelling.missing(ballots(spark, sf_dir), t), t).select("raw_label", "l3_id", *r6("sim"))
 
 
 _TOKENS = r"list_distinct(list_filter(regexp_split_to_array(lower({}), '[^\p{{L}}\p{{N}}]+'), lambda x: x <> ''))"
@@ -189,52 +198,46 @@ _JACCARD = f"(len(list_intersect({_TOKENS.format('raw_label')}, {_TOKENS.format(
 
 
 @query(f"{_BALLOTS}, lost AS (SELECT DISTINCT raw_label FROM ballots WHERE raw_label NOT IN (SELECT l3 FROM tax)) SELECT raw_label, l3_id, round({_JACCARD}, 6) AS sim FROM lost, tax QUALIFY row_number() OVER (PARTITION BY raw_label ORDER BY round({_JACCARD}, 9) DESC, l3_id) = 1")
-@whole_too
-def c_fuzzy_jaccard(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+def c_fuzzy_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     t = tax(spark, sf_dir)
-    return labelling.fuzzy(labelling.missing(ballots(spark, sf_dir, whole), t), t, "jaccard").select("raw_label", "l3_id", *r6("sim"))
+    return labelling.fuzzy(labelling.missing(ballots(spark, sf_dir), t), t, "jaccard").select("raw_label", "l3_id", *r6("sim"))
 
 
 @query()
 def c_fuzzy_others(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Character-pair cosine and Dice: how often each finds the function that was misspelt."""
     t = tax(spark, sf_dir)
-    lost = labelling.missing(ballots(spark, sf_dir, whole=True), t)
+    lost = labelling.missing(ballots(spark, sf_dir), t)
     out = [labelling.fuzzy(lost, t, how).select(F.lit(how).alias("how"), "raw_label", "l3_id", "sim") for how in ("cosine", "dice")]
     return out[0].unionByName(out[1])
 
 
 @query(f"{_RESOLVED} SELECT item_id, model, run, raw_label, l3_id, matched_by FROM resolved")
-@whole_too
-def c_resolve(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return resolved(spark, sf_dir, whole).withColumn("run", F.col("run").cast("long"))
+def c_resolve(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return resolved(spark, sf_dir).withColumn("run", F.col("run").cast("long"))
 
 
 @query(f"{_RESOLVED} SELECT item_id, model, l3_id, n::BIGINT AS n FROM ({_SINGLE})")
-@whole_too
-def c_vote_single(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return labelling.single(tally(spark, sf_dir, whole))
+def c_vote_single(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return labelling.single(tally(spark, sf_dir))
 
 
 @query(f"{_POOLED} SELECT subset, item_id, l3_id, votes::BIGINT AS votes FROM votes")
-@whole_too
-def c_vote_pooled(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return labelling.pooled(tally(spark, sf_dir, whole))
+def c_vote_pooled(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return labelling.pooled(tally(spark, sf_dir))
 
 
 @query(f"{_RESOLVED}, voices AS (SELECT item_id, model, l3_id, 1 AS n, prio FROM ({_SINGLE}) JOIN prio USING (model)) SELECT subset, item_id, l3_id, votes::BIGINT AS votes FROM ({_vote_sql('voices')})")
-@whole_too
-def c_vote_two_stage(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return labelling.two_stage(tally(spark, sf_dir, whole))
+def c_vote_two_stage(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return labelling.two_stage(tally(spark, sf_dir))
 
 
 _ACC = "CASE model " + " ".join(f"WHEN '{m}' THEN {1 - ERROR[m]!r}::DOUBLE" for m in MODELS) + " END"
 
 
 @query(f"{_RESOLVED} SELECT subset, item_id, round(votes, 6) AS votes FROM ({_vote_sql('tally', f'n * {_ACC}')})")
-@whole_too
-def c_vote_weighted(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return labelling.weighted(tally(spark, sf_dir, whole)).select("subset", "item_id", *r6("votes"))
+def c_vote_weighted(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return labelling.weighted(tally(spark, sf_dir)).select("subset", "item_id", *r6("votes"))
 
 
 @query(
@@ -242,9 +245,8 @@ def c_vote_weighted(spark: SparkSession, sf_dir: str, whole: bool = False) -> Da
     "s AS (SELECT item_id, avg(d) AS stable FROM (SELECT item_id, model, (count(*) = 1)::INT::DOUBLE AS d FROM tally GROUP BY 1, 2) GROUP BY 1) "
     "SELECT item_id, b::BIGINT AS ballots, m::BIGINT AS n_labels, round((l[1] - coalesce(l[2], 0))::DOUBLE / b, 6) AS margin, round(list_sum(list_transform(l, lambda x: -(x::DOUBLE / b) * ln(x::DOUBLE / b))), 6) + 0.0 AS entropy, round(stable, 6) AS stable FROM t JOIN s USING (item_id)"
 )
-@whole_too
-def c_agreement(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return labelling.agreement(resolved(spark, sf_dir, whole)).select("item_id", "ballots", "n_labels", *r6("margin", "entropy", "stable"))
+def c_agreement(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return labelling.agreement(resolved(spark, sf_dir)).select("item_id", "ballots", "n_labels", *r6("margin", "entropy", "stable"))
 
 
 # --- measures ---------------------------------------------------------------------------------
@@ -254,18 +256,56 @@ def c_agreement(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFr
     f"WITH s AS (SELECT k, count(*) AS size FROM {_COMBOS} GROUP BY 1), f AS (SELECT k, size, floor(size * 150 / sum(size) OVER ()::DOUBLE) AS base, round(size * 150 / sum(size) OVER ()::DOUBLE - floor(size * 150 / sum(size) OVER ()::DOUBLE), 9) AS rest FROM s) "
     "SELECT k::BIGINT AS k, size::BIGINT AS size, least(size, base + (row_number() OVER (ORDER BY rest DESC, k) <= 150 - sum(base) OVER ())::INT)::BIGINT AS quota FROM f"
 )
-@whole_too
-def d_strata(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return score.strata(combos(spark, sf_dir, whole)).withColumn("k", F.col("k").cast("long"))
+def d_strata(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return score.strata(combos(spark, sf_dir)).withColumn("k", F.col("k").cast("long"))
+
+
+_SAMPLE = (
+    f"cs AS MATERIALIZED (SELECT * FROM {_COMBOS}), "
+    "qs AS (SELECT k, floor(size * 100 / sum(size) OVER ()::DOUBLE) AS base, round(size * 100 / sum(size) OVER ()::DOUBLE - floor(size * 100 / sum(size) OVER ()::DOUBLE), 9) AS rest, size FROM (SELECT k, count(*) AS size FROM cs GROUP BY 1)), "
+    "qt AS (SELECT k, least(size, base + (row_number() OVER (ORDER BY rest DESC, k) <= 100 - sum(base) OVER ())::INT)::BIGINT AS quota FROM qs), "
+    "draw1 AS MATERIALIZED (SELECT items, cs.k FROM cs JOIN qt USING (k) QUALIFY row_number() OVER (PARTITION BY cs.k ORDER BY md5(items)) <= any_value(quota) OVER (PARTITION BY cs.k)), "
+    "less AS (SELECT items, k, x, array_to_string(list_filter(string_split(items, '|'), lambda i: i <> x), '|') AS rest FROM (SELECT items, k, unnest(string_split(items, '|')) AS x FROM cs)), "
+    "draw2 AS MATERIALIZED (SELECT items, k FROM (SELECT DISTINCT b.items, b.k FROM less a SEMI JOIN draw1 USING (items) JOIN less b ON a.rest = b.rest AND a.k = b.k AND a.items <> b.items) ANTI JOIN draw1 USING (items) ORDER BY md5(items) LIMIT 25), "
+    "ra AS (SELECT items AS op FROM (SELECT items, percent_rank() OVER (ORDER BY freq, items) AS p FROM cs WHERE k = 1) WHERE p <= 0.25), "
+    "draw3 AS (SELECT items, k FROM (SELECT DISTINCT items, k FROM less WHERE x IN (SELECT op FROM ra)) ANTI JOIN draw1 USING (items) ANTI JOIN draw2 USING (items) ORDER BY md5(items) LIMIT 25), "
+    "sample AS MATERIALIZED (SELECT items, k, 'length' AS draw FROM draw1 UNION ALL SELECT items, k, 'similar' FROM draw2 UNION ALL SELECT items, k, 'rare' FROM draw3)"
+)
+_EXPERT = ", ".join(f"CASE WHEN {noise_sql('item_id', "'expert'", str(e))} < 0.1 THEN low + floor({noise_sql('item_id', "'expert'", str(e), "'pick'")} * n)::BIGINT ELSE truth END" for e in (1, 2, 3))
+_TRUTH = (
+    f"{_SAMPLE}, opinions AS (SELECT item_id, unnest([{_EXPERT}]) AS label FROM {_ITEMS} JOIN sample ON items = item_id, (SELECT min(s_suppkey) AS low, count(*) AS n FROM supplier)), "
+    "agreed AS MATERIALIZED (SELECT item_id, label AS truth FROM opinions GROUP BY 1, 2 HAVING 2 * count(*) > 3)"
+)
 
 
-@query()
+def evaluated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The evaluation sample of 150: by length, similar to those, and of rare operators."""
+    return score.evaluation_sample(combos(spark, sf_dir))
+
+
+@query(f"WITH {_SAMPLE} SELECT items, k, draw FROM sample")
 def d_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return named(score.sample(combos(spark, sf_dir)), "k")
+    return named(evaluated(spark, sf_dir), F.col("k").cast("long").alias("k"), "draw")
+
+
+def opinions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Three SIMULATED experts' labels of each sampled combination; each errs one time in ten."""
+    low, n = functions_range(spark, sf_dir)
+    chosen = named(evaluated(spark, sf_dir)).withColumnRenamed("items", "item_id")
+    known = items(spark, sf_dir).join(chosen, "item_id", "left_semi")
+    i = F.col("item_id")
+    each = (F.when(noise(i, "expert", str(e)) < 0.1, F.lit(low) + F.floor(noise(i, "expert", str(e), "pick") * n)).otherwise(F.col("truth")) for e in (1, 2, 3))
+    return known.select("item_id", F.explode(F.array(*each)).alias("label"))
 
 
-def _pairs_by_name(spark: SparkSession, sf_dir: str, insertion: bool, whole: bool) -> DataFrame:
-    c = combos(spark, sf_dir, whole)
+@query(f"WITH {_TRUTH} SELECT item_id, truth FROM agreed")
+def d_truth(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The experts' majority on the sample; combinations without one are left out as ambiguous."""
+    return score.consensus(opinions(spark, sf_dir)).withColumnRenamed("label", "truth")
+
+
+def _pairs_by_name(spark: SparkSession, sf_dir: str, insertion: bool) -> DataFrame:
+    c = combos(spark, sf_dir)
     p = score.near_pairs(c, insertion)
     name = lambda k: joined(c).select(F.col("combo_id").alias(k), F.col("items").alias(f"items_{k}"))
     got = p.join(name("a"), "a").join(name("b"), "b")
@@ -276,23 +316,20 @@ _BOTH = "len(list_intersect(string_split(a.items, '|'), string_split(b.items, '|
 
 
 @query(f"WITH c AS MATERIALIZED (SELECT * FROM {_COMBOS}) SELECT a.items AS x, b.items AS y FROM c a JOIN c b ON a.k = b.k AND a.items < b.items AND {_BOTH} = a.k - 1")
-@whole_too
-def d_near_pairs(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+def d_near_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Combinations that differ by one operator."""
-    return _pairs_by_name(spark, sf_dir, False, whole)
+    return _pairs_by_name(spark, sf_dir, False)
 
 
 @query(f"WITH c AS MATERIALIZED (SELECT * FROM {_COMBOS}) SELECT least(a.items, b.items) AS x, greatest(a.items, b.items) AS y FROM c a JOIN c b ON b.k = a.k + 1 AND {_BOTH} = a.k")
-@whole_too
-def d_near_inserted(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+def d_near_inserted(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Combinations with one operator more."""
-    return _pairs_by_name(spark, sf_dir, True, whole)
+    return _pairs_by_name(spark, sf_dir, True)
 
 
 @query(f"WITH c AS MATERIALIZED (SELECT * FROM {_COMBOS}), r AS (SELECT items AS op FROM (SELECT items, percent_rank() OVER (ORDER BY freq, items) AS p FROM c WHERE k = 1) WHERE p <= 0.25) SELECT c.items, op FROM c JOIN r ON list_contains(string_split(c.items, '|'), op)")
-@whole_too
-def d_lowfreq(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    c = combos(spark, sf_dir, whole)
+def d_lowfreq(spark: SparkSession, sf_dir: str) -> DataFrame:
+    c = combos(spark, sf_dir)
     return score.low_frequency(c).join(joined(c).select("combo_id", "items"), "combo_id").select("items", "op")
 
 
@@ -329,14 +366,15 @@ def d_kappa(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _SCORED = (
-    f"{_POOLED}, lv AS MATERIALIZED (SELECT v.subset, v.item_id, v.l3_id, i.truth, p.l1 = t.l1 AS t1, p.l1 = t.l1 AND p.l2 = t.l2 AS t2, v.l3_id = i.truth AS t3, t.n_l3_in_l2 AS n, t.m_l2_in_l1 AS m, p.l3 AS p3, t.l3 AS q3, p.l1 AS p1, t.l1 AS q1 "
-    f"FROM votes v JOIN {_ITEMS} i USING (item_id) JOIN tax p ON p.l3_id = v.l3_id JOIN tax t ON t.l3_id = i.truth), "
+    f"{_POOLED}, {_TRUTH}, lv AS MATERIALIZED (SELECT v.subset, v.item_id, v.l3_id, i.truth, p.l1 = t.l1 AS t1, p.l1 = t.l1 AND p.l2 = t.l2 AS t2, v.l3_id = i.truth AS t3, t.n_l3_in_l2 AS n, t.m_l2_in_l1 AS m, p.l3 AS p3, t.l3 AS q3, p.l1 AS p1, t.l1 AS q1 "
+    f"FROM votes v JOIN agreed i USING (item_id) JOIN tax p ON p.l3_id = v.l3_id JOIN tax t ON t.l3_id = i.truth), "
     f"sc AS MATERIALIZED (SELECT *, CASE WHEN t3 THEN 100 ELSE 100 * {_JACCARD.replace('raw_label', 'p3').replace('lower(l3)', 'lower(q3)')} END AS semantic, CASE WHEN t3 THEN 100 WHEN t2 THEN 80.0::DOUBLE / n WHEN t1 THEN 20.0::DOUBLE / m ELSE 0 END AS structure FROM lv)"
 )
 
 
 def scored(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return score.scored(labelling.pooled(tally(spark, sf_dir)), items(spark, sf_dir), tax(spark, sf_dir))
+    truth = score.consensus(opinions(spark, sf_dir)).withColumnRenamed("label", "truth")
+    return score.scored(labelling.pooled(tally(spark, sf_dir)), truth, tax(spark, sf_dir))
 
 
 @query(f"{_SCORED} SELECT subset, item_id, t1, t2, t3 FROM lv")
@@ -374,7 +412,10 @@ def d_accuracy(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score.accuracy(scored(spark, sf_dir)).select("subset", *r6("acc_l1", "acc_l2", "acc_l3"))
 
 
-@query()
+@query(
+    f"{_SCORED}, h AS (SELECT subset, q3 AS c, count(*) AS tp FROM lv WHERE p3 = q3 GROUP BY 1, 2), np AS (SELECT subset, p3 AS c, count(*) AS n FROM lv GROUP BY 1, 2), nt AS (SELECT subset, q3 AS c, count(*) AS n FROM lv GROUP BY 1, 2) "
+    "SELECT subset, round(avg(2.0::DOUBLE * coalesce(tp, 0) / (coalesce(np.n, 0) + coalesce(nt.n, 0))), 6) AS macro_f1 FROM nt FULL JOIN np USING (subset, c) LEFT JOIN h USING (subset, c) GROUP BY 1"
+)
 def d_macro_f1(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score.macro_f1(scored(spark, sf_dir)).select("subset", *r6("macro_f1"))
 

@@ -10,7 +10,7 @@ from ..sources import corpus, io, parse
 from . import Catalog
 
 CATALOG = Catalog()
-query, whole_too = CATALOG.query, CATALOG.whole
+query = CATALOG.query
 SUPPORT = "0.05"
 
 _NEXT_SQL = f"SELECT rec_id, 'next' AS relation, op AS caller, lead(op) OVER (PARTITION BY rec_id ORDER BY ts, event_id) AS callee FROM ({corpus.SESSIONS_SQL})"
@@ -182,16 +182,28 @@ def b_records_weighted(spark: SparkSession, sf_dir: str) -> DataFrame:
     return joined(records.compress(records.make(corpus.event_items(spark, sf_dir))))
 
 
+#: Levels that the SQL of mixed sets unrolls: one more than any set has, which a test checks.
+DEEPEST = 11
+
+
 def apriori_sql(items: str, max_k: int, support: str = SUPPORT, every: bool = False) -> str:
-    """Frequent sets by unrolled joins of the records with themselves: items, k, freq."""
+    """Frequent sets, level by level: records holding a frequent set meet their later frequent items. items, k, freq."""
     cents = int(round(float(support) * 1000))
-    bar = "1" if every else f"(SELECT (count(DISTINCT rec_id) * {cents} + 999) // 1000 FROM r)"
-    parts = []
-    for k in range(1, max_k + 1):
-        names = [f"t{i}" for i in range(k)]
-        joins = names[0].join(["t ", ""]) + "".join(f" JOIN t {b} ON {a}.rec_id = {b}.rec_id AND {a}.item < {b}.item" for a, b in zip(names, names[1:], strict=False))
-        parts.append(f"SELECT {" || '|' || ".join(f'{n}.item' for n in names)} AS items, {k}::BIGINT AS k, count(*)::BIGINT AS freq FROM {joins} GROUP BY 1 HAVING count(*) >= {bar}")
-    return f"WITH r AS MATERIALIZED ({items}), f AS (SELECT item FROM r GROUP BY 1 HAVING count(*) >= {bar}), t AS MATERIALIZED (SELECT r.* FROM r SEMI JOIN f USING (item)) " + " UNION ALL ".join(parts)
+    bar = "1" if every else "(SELECT b FROM bar)"
+    steps = [
+        f"r AS MATERIALIZED ({items})", f"bar AS (SELECT (count(DISTINCT rec_id) * {cents} + 999) // 1000 AS b FROM r)",
+        f"f1 AS MATERIALIZED (SELECT item AS items, count(*) AS freq FROM r GROUP BY 1 HAVING count(*) >= {bar})",
+        "t AS MATERIALIZED (SELECT r.* FROM r SEMI JOIN f1 ON r.item = f1.items)", "l1 AS (SELECT rec_id, item AS items, item AS last FROM t)",
+    ]
+    for k in range(2, max_k + 1):
+        steps += [
+            f"g{k} AS MATERIALIZED (SELECT l{k - 1}.rec_id, l{k - 1}.items || '|' || t.item AS items, t.item AS last FROM l{k - 1} JOIN t ON l{k - 1}.rec_id = t.rec_id AND t.item > l{k - 1}.last)",
+            f"f{k} AS MATERIALIZED (SELECT items, count(*) AS freq FROM g{k} GROUP BY 1 HAVING count(*) >= {bar})", f"l{k} AS (SELECT g{k}.* FROM g{k} SEMI JOIN f{k} USING (items))",
+        ]
+    return "WITH " + ", ".join(steps) + " " + " UNION ALL ".join(f"SELECT items, {k}::BIGINT AS k, freq FROM f{k}" for k in range(1, max_k + 1))
+
+
+MIXED_SQL = apriori_sql(corpus.MIXED_ITEMS_SQL, DEEPEST)
 
 
 def found(mined: itemsets.Mined) -> DataFrame:
@@ -203,9 +215,9 @@ def b_apriori_ptype(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found(itemsets.apriori(records.make(corpus.type_items(spark, sf_dir)), SUPPORT))
 
 
-@query(apriori_sql(corpus.WORD_ITEMS_SQL, 4))
+@query(apriori_sql(corpus.WORD_ITEMS_SQL, 7))
 def b_apriori_words(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return found(itemsets.apriori(records.make(corpus.word_items(spark, sf_dir)), SUPPORT, max_k=4))
+    return found(itemsets.apriori(records.make(corpus.word_items(spark, sf_dir)), SUPPORT))
 
 
 @query(apriori_sql(corpus.EVENT_ITEMS_SQL, 5))
@@ -213,14 +225,18 @@ def b_apriori_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found(itemsets.apriori(records.make(corpus.event_items(spark, sf_dir)), SUPPORT))
 
 
-@query(apriori_sql(corpus.MIXED_ITEMS_SQL, 4))
-@whole_too
-def b_apriori_mixed(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    """Up to four items, as the SQL; whole: of any length."""
-    return found(itemsets.apriori(records.make(corpus.mixed_items(spark, sf_dir)), SUPPORT, **({} if whole else {"max_k": 4})))
+def mined(spark: SparkSession, sf_dir: str) -> itemsets.Mined:
+    """All frequent mixed sets: the combinations that stages C to E label and serve."""
+    return itemsets.apriori(records.make(corpus.mixed_items(spark, sf_dir)), SUPPORT)
 
 
-@query(apriori_sql(corpus.SENTENCE_ITEMS_SQL, 4))
+@query(MIXED_SQL)
+def b_apriori_mixed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sets of every size."""
+    return found(mined(spark, sf_dir))
+
+
+@query(apriori_sql(corpus.SENTENCE_ITEMS_SQL, 6))
 def b_apriori_sent(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found(itemsets.apriori(records.make(corpus.sentence_items(spark, sf_dir)), SUPPORT))
 
@@ -245,22 +261,33 @@ def b_apriori_seeded(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found(itemsets.apriori(records.make(corpus.event_items(spark, sf_dir)), SUPPORT, candidates="pair_seeded", pairs=both))
 
 
-@query()
+_SUBSETS = (
+    f"WITH RECURSIVE r AS MATERIALIZED ({corpus.EVENT_ITEMS_SQL}), bar AS (SELECT (count(DISTINCT rec_id) * 50 + 999) // 1000 AS b FROM r), "
+    "f1 AS (SELECT item, count(*) AS n FROM r GROUP BY 1 HAVING count(*) >= (SELECT b FROM bar)), "
+    "p AS (SELECT x.item AS a, y.item AS b, count(*) AS n FROM r x JOIN r y ON x.rec_id = y.rec_id AND x.item < y.item WHERE x.item IN (SELECT item FROM f1) AND y.item IN (SELECT item FROM f1) GROUP BY ALL), "
+    "sub AS (SELECT [item] AS s FROM f1 UNION ALL SELECT list_append(s, item) FROM sub JOIN f1 ON item > s[len(s)]), "
+    "held AS (SELECT s, a, b, n FROM sub JOIN p ON list_contains(s, a) AND list_contains(s, b)), "
+    "m AS (SELECT s, CASE WHEN count(*) = len(s) * (len(s) - 1) // 2 THEN min(n) ELSE 0 END AS least, sum(n) AS total, max(n) AS most FROM held GROUP BY s), "
+    "bar2 AS (SELECT (sum(n)::BIGINT * 50 + 999) // 1000 AS b FROM p) SELECT item AS items, 1::BIGINT AS k, n::BIGINT AS freq FROM f1 UNION ALL "
+)
+
+
+@query(_SUBSETS + "SELECT array_to_string(s, '|'), len(s)::BIGINT, least::BIGINT FROM m WHERE least >= (SELECT b FROM bar)")
 def b_apriori_pair_min(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Support bounded by the rarest contained pair."""
     return found(itemsets.apriori(records.make(corpus.event_items(spark, sf_dir)), SUPPORT, support="pair_min"))
 
 
-@query()
+@query(_SUBSETS + "SELECT array_to_string(s, '|'), len(s)::BIGINT, total::BIGINT FROM m WHERE most >= (SELECT b FROM bar2)")
 def b_apriori_pair_sum(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Support as the share of contained pairs' occurrences, which does not prune."""
-    return found(itemsets.apriori(records.make(corpus.event_items(spark, sf_dir)), SUPPORT, support="pair_sum", max_k=4))
+    return found(itemsets.apriori(records.make(corpus.event_items(spark, sf_dir)), SUPPORT, support="pair_sum"))
 
 
 @query()
 def b_level_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Candidates generated, pruned, counted and frequent at each level."""
-    return itemsets.level_stats(itemsets.apriori(records.make(corpus.mixed_items(spark, sf_dir)), SUPPORT))
+    return itemsets.level_stats(mined(spark, sf_dir))
 
 
 @query(
@@ -297,25 +324,24 @@ def b_fpgrowth(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query(
-    f"WITH s AS ({apriori_sql(corpus.EVENT_ITEMS_SQL, 2)}), n AS (SELECT count(DISTINCT rec_id)::DOUBLE AS n FROM ({corpus.EVENT_ITEMS_SQL})), "
-    "p AS (SELECT split_part(items, '|', 1) AS x, split_part(items, '|', 2) AS y, freq FROM s WHERE k = 2), "
-    "d AS (SELECT x AS lhs, y AS rhs, freq FROM p UNION ALL SELECT y, x, freq FROM p) "
+    f"WITH s AS MATERIALIZED ({apriori_sql(corpus.EVENT_ITEMS_SQL, 5)}), n AS (SELECT count(DISTINCT rec_id)::DOUBLE AS n FROM ({corpus.EVENT_ITEMS_SQL})), "
+    "w AS (SELECT string_split(items, '|') AS x, freq, unnest(string_split(items, '|')) AS rhs FROM s WHERE k > 1), "
+    "d AS (SELECT array_to_string(list_filter(x, lambda i: i <> rhs), '|') AS lhs, rhs, freq FROM w) "
     "SELECT lhs, rhs, d.freq, round(d.freq / l.freq::DOUBLE, 6) AS confidence, round(d.freq / l.freq::DOUBLE * n / r.freq, 6) AS lift, "
     "round(d.freq / n - l.freq / n * r.freq / n, 6) AS leverage FROM d JOIN s l ON l.items = lhs JOIN s r ON r.items = rhs, n"
 )
-@whole_too
-def b_rules(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    """Rules from pairs, as the SQL; whole: from all frequent sets."""
-    mined = itemsets.apriori(records.make(corpus.event_items(spark, sf_dir)), SUPPORT)
-    got = itemsets.rules(mined.combos, mined.n_records, max_k=len(mined.levels) if whole else 2)
+def b_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rules from all frequent sets."""
+    m = itemsets.apriori(records.make(corpus.event_items(spark, sf_dir)), SUPPORT)
+    got = itemsets.rules(m.combos, m.n_records, max_k=len(m.levels))
     return got.select(F.array_join("lhs", "|").alias("lhs"), "rhs", "freq", *(F.round(c, 6).alias(c) for c in ("confidence", "lift", "leverage")))
 
 
 @query(f"SELECT k, count(*)::BIGINT AS n_sets, max(freq)::BIGINT AS max_freq FROM ({apriori_sql(corpus.EVENT_ITEMS_SQL, 5)}) GROUP BY 1")
 def b_size_hist(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Flagship: neighbour records to frequent sets to their sizes."""
-    mined = itemsets.apriori(records.make(corpus.event_items(spark, sf_dir)), SUPPORT)
-    return itemsets.size_hist(mined.combos).select(F.col("k").cast("long").alias("k"), "n_sets", "max_freq")
+    m = itemsets.apriori(records.make(corpus.event_items(spark, sf_dir)), SUPPORT)
+    return itemsets.size_hist(m.combos).select(F.col("k").cast("long").alias("k"), "n_sets", "max_freq")
 
 
 _MAXIMAL = "list_has_all(string_split(b.items, '|'), string_split(a.items, '|'))"
@@ -323,17 +349,17 @@ _MAXIMAL = "list_has_all(string_split(b.items, '|'), string_split(a.items, '|'))
 
 @query(f"WITH s AS ({apriori_sql(corpus.EVENT_ITEMS_SQL, 5)}) SELECT items, k, freq FROM s a WHERE NOT EXISTS (SELECT 1 FROM s b WHERE b.k = a.k + 1 AND {_MAXIMAL})")
 def b_maximal(spark: SparkSession, sf_dir: str) -> DataFrame:
-    mined = itemsets.apriori(records.make(corpus.event_items(spark, sf_dir)), SUPPORT)
-    return joined(itemsets.maximal(mined.combos)).select("items", F.col("k").cast("long").alias("k"), "freq")
+    m = itemsets.apriori(records.make(corpus.event_items(spark, sf_dir)), SUPPORT)
+    return joined(itemsets.maximal(m.combos)).select("items", F.col("k").cast("long").alias("k"), "freq")
 
 
-@query(f"WITH s AS ({apriori_sql(corpus.MIXED_ITEMS_SQL, 5)}) SELECT items, k, freq FROM s a WHERE k <= 4 AND NOT EXISTS (SELECT 1 FROM s b WHERE b.k = a.k + 1 AND b.freq = a.freq AND {_MAXIMAL})")
-@whole_too
-def b_closed(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    """Up to four items, as the SQL; whole: of any length."""
-    mined = itemsets.apriori(records.make(corpus.mixed_items(spark, sf_dir)), SUPPORT, **({} if whole else {"max_k": 5}))
-    got = itemsets.maximal(mined.combos, closed=True)
-    return joined(got if whole else got.where("k <= 4")).select("items", F.col("k").cast("long").alias("k"), "freq")
+@query(
+    f"WITH s AS MATERIALIZED ({MIXED_SQL}), w AS (SELECT string_split(items, '|') AS x, freq, unnest(string_split(items, '|')) AS o FROM s WHERE k > 1), "
+    "u AS (SELECT DISTINCT array_to_string(list_filter(x, lambda i: i <> o), '|') AS items, freq FROM w) SELECT items, k, freq FROM s ANTI JOIN u USING (items, freq)"
+)
+def b_closed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sets of every size without a superset of equal frequency."""
+    return joined(itemsets.maximal(mined(spark, sf_dir).combos, closed=True)).select("items", F.col("k").cast("long").alias("k"), "freq")
 
 
 _SWEEP = ("0.05", "0.1", "0.2", "0.4")
@@ -341,8 +367,8 @@ _SWEEP = ("0.05", "0.1", "0.2", "0.4")
 
 @query(" UNION ALL ".join(f"SELECT '{s}' AS min_support, count(*)::BIGINT AS n_sets, max(k)::BIGINT AS max_k FROM ({apriori_sql(corpus.EVENT_ITEMS_SQL, 5, s)}) HAVING count(*) > 0" for s in _SWEEP))
 def b_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    mined = itemsets.apriori(records.make(corpus.event_items(spark, sf_dir)), min(_SWEEP))
-    return itemsets.sweep(mined, list(_SWEEP))
+    m = itemsets.apriori(records.make(corpus.event_items(spark, sf_dir)), min(_SWEEP))
+    return itemsets.sweep(m, list(_SWEEP))
 
 
 @query()

@@ -2,42 +2,43 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from functools import reduce
+
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..operators import graph, pairs, score, serve
-from ..sources import io
+from ..plans.planning import with_each
+from ..session import cut
+from ..sources import corpus, io
 from . import Catalog
-from .labels import _ITEMS, _POOLED, items, joined, labelling, tally
-from .mining import _EVENT_TABLE_SQL, session_pairs
+from .labels import _ITEMS, _POOLED, combos, items, joined, labelling, tally
+from .mining import _EVENT_TABLE_SQL, MIXED_SQL, session_pairs
 from .taxonomy import r6, tax
 
 CATALOG = Catalog()
-query, whole_too = CATALOG.query, CATALOG.whole
+query = CATALOG.query
 
 _ALL = "'M1+M2+M3+M4'"
 _KB = (
-    f"{_POOLED}, tot AS (SELECT item_id, sum(n) AS total FROM tally GROUP BY 1), parts AS (SELECT p_partkey AS item_id, string_split(p_name, ' ') AS w, p_size AS freq FROM part), "
-    f"kb AS MATERIALIZED (SELECT substr(sha256(array_to_string(list_sort([w[1], w[2], 'p' || item_id]), '|')), 1, 16) AS kb_id, substr(md5(l1), 1, 8) AS l1_id, substr(md5(l1 || '/' || l2), 1, 8) AS l2_id, v.l3_id::VARCHAR AS l3_id, l1, l2, l3, "
-    f"array_to_string(list_sort([w[1], w[2], 'p' || item_id]), '|') AS items, freq::BIGINT AS freq, v.votes::BIGINT AS n_votes, round(v.votes::DOUBLE / total, 6) AS confidence, item_id FROM votes v JOIN parts USING (item_id) JOIN tot USING (item_id) JOIN tax ON tax.l3_id = v.l3_id WHERE subset = {_ALL})"
+    f"{_POOLED}, tot AS (SELECT item_id, sum(n) AS total FROM tally GROUP BY 1), mn AS MATERIALIZED (SELECT items, freq, freq / (SELECT count(DISTINCT rec_id) FROM ({corpus.MIXED_ITEMS_SQL}))::DOUBLE AS support FROM ({MIXED_SQL})), "
+    "kb AS MATERIALIZED (SELECT substr(sha256(items), 1, 16) AS kb_id, substr(md5(l1), 1, 8) AS l1_id, substr(md5(l1 || '/' || l2), 1, 8) AS l2_id, v.l3_id::VARCHAR AS l3_id, l1, l2, l3, "
+    f"items, support, freq::BIGINT AS freq, v.votes::BIGINT AS n_votes, round(v.votes::DOUBLE / total, 6) AS confidence FROM votes v JOIN mn ON mn.items = v.item_id JOIN tot USING (item_id) JOIN tax ON tax.l3_id = v.l3_id WHERE subset = {_ALL})"
 )
 
 
-def kb(spark: SparkSession, sf_dir: str, whole: bool = True) -> DataFrame:
-    """Labelled parts, all or those that the SQL has, as combinations: their name's words and number, with their size as frequency."""
-    t = tally(spark, sf_dir, whole)
+def kb(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The mined combinations, with their support and the function that all models together voted for."""
+    t = tally(spark, sf_dir)
     votes = labelling.pooled(t).where("subset = 'M1+M2+M3+M4'").join(t.groupBy("item_id").agg(F.sum("n").alias("total")), "item_id")
-    p = io.read(spark, sf_dir, "part", ("p_partkey", "p_name", "p_size"))
-    w = F.split("p_name", " ")
-    c = p.select(F.col("p_partkey").alias("combo_id"), F.array_sort(F.array(w[0], w[1], F.concat(F.lit("p"), "p_partkey"))).alias("items"), F.lit(0.0).alias("support"), F.col("p_size").cast("long").alias("freq"))
+    c = combos(spark, sf_dir).select(F.array_join("items", "|").alias("combo_id"), "items", "support", "freq")
     return serve.build(c, votes.select("item_id", "l3_id", "votes", "total"), tax(spark, sf_dir))
 
 
-@query(f"{_KB} SELECT kb_id, l1_id, l2_id, l3_id, l1, l2, l3, items, freq, n_votes, confidence FROM kb")
-@whole_too
-def c_kb(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    k = kb(spark, sf_dir, whole)
-    return k.select("kb_id", "l1_id", "l2_id", "l3_id", "l1", "l2", "l3", F.array_join("combo.items", "|").alias("items"), "combo.freq", F.element_at("votes", F.col("l3")).alias("n_votes"), *r6("confidence"))
+@query(f"{_KB} SELECT kb_id, l1_id, l2_id, l3_id, l1, l2, l3, items, freq, round(support, 6) AS support, n_votes, confidence FROM kb")
+def c_kb(spark: SparkSession, sf_dir: str) -> DataFrame:
+    k = kb(spark, sf_dir)
+    return k.select("kb_id", "l1_id", "l2_id", "l3_id", "l1", "l2", "l3", F.array_join("combo.items", "|").alias("items"), "combo.freq", F.round("combo.support", 6).alias("support"), F.element_at("votes", F.col("l3")).alias("n_votes"), *r6("confidence"))
 
 
 _TOK = r"list_distinct(list_filter(regexp_split_to_array(lower(text), '[^\p{L}\p{N}]+'), lambda x: x <> ''))"
@@ -67,26 +68,23 @@ def e_precedence(spark: SparkSession, sf_dir: str) -> DataFrame:
     return serve.precedence(pairs.merge(session_pairs(spark, sf_dir)).select("caller", "callee", "n_occ"))
 
 
-@query(f"{_KB} SELECT item_id, l1, l3, row_number() OVER (PARTITION BY item_id ORDER BY l1, l3)::BIGINT AS step FROM (SELECT DISTINCT freq AS item_id, l1, l3 FROM kb)")
-@whole_too
-def e_order(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+@query(f"{_KB} SELECT item_id, l1, l3, row_number() OVER (PARTITION BY item_id ORDER BY l1, l3)::BIGINT AS step FROM (SELECT DISTINCT split_part(items, '|', 1) AS item_id, l1, l3 FROM kb)")
+def e_order(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Question 2: order of stages."""
-    f = kb(spark, sf_dir, whole).select(F.col("combo.freq").alias("item_id"), "l1", "l3").distinct()
+    f = kb(spark, sf_dir).select(F.col("combo.items")[0].alias("item_id"), "l1", "l3").distinct()
     return serve.order_functions(f, ["AFRICA", "AMERICA", "ASIA", "EUROPE", "MIDDLE EAST"]).withColumn("step", F.col("step").cast("long"))
 
 
 @query(f"{_KB} SELECT l1, l2, l3, rank, items, freq FROM (SELECT *, row_number() OVER (PARTITION BY l1, l2, l3 ORDER BY freq DESC, kb_id)::BIGINT AS rank FROM kb WHERE l1 = 'ASIA') WHERE rank <= 2")
-@whole_too
-def e_combos(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
+def e_combos(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Question 3."""
-    got = serve.combos_for(kb(spark, sf_dir, whole), l1="ASIA", top=2)
+    got = serve.combos_for(kb(spark, sf_dir), l1="ASIA", top=2)
     return joined(got).withColumn("rank", F.col("rank").cast("long"))
 
 
 @query(f"{_KB} SELECT kb_id, l3, items FROM kb WHERE kb_id = (SELECT min(kb_id) FROM kb)")
-@whole_too
-def e_lookup(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    k = kb(spark, sf_dir, whole)
+def e_lookup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    k = kb(spark, sf_dir)
     return serve.by_id(k, k.agg(F.min("kb_id")).first()[0]).select("kb_id", "l3", F.array_join("combo.items", "|").alias("items"))
 
 
@@ -97,10 +95,10 @@ def e_json(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def e_rag_prompt(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Demands with the functions found for them: part names as functions."""
+    """Parts as demands, with the functions whose combinations share words with them."""
     k = kb(spark, sf_dir)
-    funcs = k.select("l3_id", "l3", F.concat_ws(" ", "l1", "l2", "l3", "combo.items").alias("text")).dropDuplicates(["l3_id"])
-    demands = io.read(spark, sf_dir, "part", ("p_partkey", "p_name")).select(F.col("p_partkey").alias("item_id"), F.col("p_name").alias("text"))
+    funcs = k.groupBy("l3_id", "l3").agg(F.array_join(F.array_sort(F.array_distinct(F.flatten(F.collect_list("combo.items")))), " ").alias("text"))
+    demands = io.read(spark, sf_dir, "part", ("p_partkey", "p_type", "p_name")).select(F.col("p_partkey").alias("item_id"), F.concat_ws(" ", "p_type", "p_name").alias("text"))
     found = serve.functions_for(demands, funcs.select("l3_id", "text"), 3).join(funcs.select("l3_id", "l3"), "l3_id")
     best = serve.combos_for(k, top=2).join(k.select("l3_id", "l3").distinct(), "l3")
     return serve.rag_prompt(demands, found, best)
@@ -111,32 +109,51 @@ def e_bare_prompt(spark: SparkSession, sf_dir: str) -> DataFrame:
     return serve.bare_prompt(io.read(spark, sf_dir, "benchmark")).select("item_id", F.md5("prompt").alias("prompt_md5"))
 
 
-@query(
-    f"{_POOLED}, r AS (SELECT item_id, l3_id, row_number() OVER (PARTITION BY item_id ORDER BY sum(n) DESC, l3_id) AS rank FROM tally GROUP BY 1, 2) "
-    + " UNION ALL ".join(f"SELECT {k}::BIGINT AS k, round(avg((EXISTS (SELECT 1 FROM r WHERE r.item_id = i.item_id AND r.l3_id = i.truth AND rank <= {k}))::INT), 6) AS hit_rate FROM {_ITEMS} i" for k in (1, 3, 5))
+_WORDS = r"list_distinct(list_filter(regexp_split_to_array(lower({}), '[^\p{{L}}\p{{N}}]+'), lambda x: x <> ''))"
+_HITS = (
+    f"{_KB}, fn AS (SELECT l3_id, unnest({_WORDS.format("string_agg(items, ' ')")}) AS t FROM kb GROUP BY 1), fi AS (SELECT t, ln(((SELECT count(DISTINCT l3_id) FROM kb) + 1.0)::DOUBLE / count(*)) AS w FROM fn GROUP BY 1), "
+    "nf AS (SELECT l3_id, sqrt(sum(w * w)) AS nf FROM fn JOIN fi USING (t) GROUP BY 1), "
+    f"ask AS (SELECT item_id, t, w FROM (SELECT item_id, unnest({_WORDS.format('item_id')}) AS t FROM {_ITEMS}) JOIN fi USING (t)), nd AS (SELECT item_id, sqrt(sum(w * w)) AS nd FROM ask GROUP BY 1), "
+    "sims AS (SELECT item_id, l3_id, round(sum(w * w) / any_value(nf) / any_value(nd), 9) AS sim FROM ask JOIN fn USING (t) JOIN nf USING (l3_id) JOIN nd USING (item_id) WHERE nf > 0 AND nd > 0 GROUP BY 1, 2), "
+    "found AS MATERIALIZED (SELECT item_id, l3_id, row_number() OVER (PARTITION BY item_id ORDER BY sim DESC, l3_id) AS rank FROM sims), "
+    f"bare AS MATERIALIZED (SELECT l3_id, row_number() OVER (ORDER BY n DESC, l3_id) AS rank FROM (SELECT l3_id, count(*) AS n FROM kb GROUP BY 1)), tr AS MATERIALIZED (SELECT item_id, truth::VARCHAR AS truth FROM {_ITEMS})"
 )
-@whole_too
-def e_hit_at_k(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    """How often the true function is among the most voted one, three and five."""
-    from pyspark.sql import Window
 
-    t = tally(spark, sf_dir, whole).groupBy("item_id", "l3_id").agg(F.sum("n").alias("n"))
-    ranked = t.withColumn("rank", F.row_number().over(Window.partitionBy("item_id").orderBy(F.desc("n"), "l3_id")))
-    truth = items(spark, sf_dir, whole).withColumnRenamed("truth", "l3_id")
-    out = [score.hit_at_k(ranked, truth, k).select(F.lit(k).cast("long").alias("k"), *r6("hit_rate")) for k in (1, 3, 5)]
-    return out[0].unionByName(out[1]).unionByName(out[2])
+
+@query(
+    f"{_HITS} "
+    + " UNION ALL ".join(
+        f"SELECT 'retrieval' AS how, {k}::BIGINT AS k, round(avg((EXISTS (SELECT 1 FROM found f WHERE f.item_id = tr.item_id AND f.l3_id = tr.truth AND rank <= {k}))::INT), 6) AS hit_rate FROM tr "
+        f"UNION ALL SELECT 'bare', {k}, round(avg((truth IN (SELECT l3_id FROM bare WHERE rank <= {k}))::INT), 6) FROM tr"
+        for k in (1, 3, 10)
+    )
+)
+def e_hit_at_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Hit rate of the true function of each mined combination: retrieved by its words from the knowledge base, and without retrieval, where the same most frequent functions answer every demand."""
+    k = kb(spark, sf_dir)
+    truth = cut(items(spark, sf_dir).select("item_id", F.col("truth").cast("string").alias("l3_id")))
+    texts = cut(k.groupBy("l3_id").agg(F.array_join(F.flatten(F.collect_list("combo.items")), " ").alias("text"), F.count("*").alias("n")))
+    demands = truth.select("item_id", F.col("item_id").alias("text"))
+    retrieved = cut(serve.functions_for(demands, texts.select("l3_id", "text"), 10))
+    prior = texts.orderBy(F.desc("n"), "l3_id").limit(10).withColumn("rank", F.row_number().over(Window.orderBy(F.desc("n"), "l3_id"))).select("l3_id", "rank")
+    bare = with_each(truth.select("item_id"), prior)
+    out = [score.hit_at_k(ranked, truth, n).select(F.lit(how).alias("how"), F.lit(n).cast("long").alias("k"), *r6("hit_rate")) for how, ranked in (("retrieval", retrieved), ("bare", bare)) for n in (1, 3, 10)]
+    return reduce(DataFrame.unionByName, out)
 
 
 @query(
     f"{_KB} SELECT kb_id, CASE WHEN ('0x' || substr(md5(kb_id), 1, 8))::BIGINT / 4294967296.0::DOUBLE < 0.1 THEN 'valid' ELSE 'train' END AS split, "
     "md5('{\"prompt\":\"Which function do these operators perform together: ' || replace(items, '|', ', ') || '?\",\"completion\":\"' || concat_ws(' > ', l1, l2, l3) || '\"}') AS record_md5 FROM kb"
 )
-@whole_too
-def e_finetune(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return serve.finetune(kb(spark, sf_dir, whole), "completion").select("kb_id", "split", F.md5("record").alias("record_md5"))
+def e_finetune(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return serve.finetune(kb(spark, sf_dir), "completion").select("kb_id", "split", F.md5("record").alias("record_md5"))
 
 
-@query()
+@query(
+    f"{_KB}, x AS (SELECT kb_id, CASE WHEN ('0x' || substr(md5(kb_id), 1, 8))::BIGINT / 4294967296.0::DOUBLE < 0.1 THEN 'valid' ELSE 'train' END AS split, replace(items, '|', ', ') AS ops, concat_ws(' > ', l1, l2, l3) AS tell FROM kb) "
+    "SELECT kb_id, split, '{\"messages\":[{\"role\":\"user\",\"content\":\"Which function do these operators perform together: ' || ops || '?\"},{\"role\":\"assistant\",\"content\":\"' || tell || '\"}]}' AS record FROM x UNION ALL "
+    "SELECT kb_id, split, '{\"instruction\":\"Name the function.\",\"input\":\"' || ops || '\",\"output\":\"' || tell || '\"}' FROM x"
+)
 def e_finetune_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Chat and instruction styles."""
     k = kb(spark, sf_dir)
@@ -159,6 +176,5 @@ def e_tuning_cost(spark: SparkSession, sf_dir: str) -> DataFrame:
     f"{_KB} SELECT kind, count(*)::BIGINT AS n FROM (SELECT DISTINCT 'op:' || unnest(string_split(items, '|')) AS src, 'combo:' || kb_id AS dst, 'in' AS kind FROM kb UNION SELECT 'combo:' || kb_id, 'l3:' || l3_id, 'does' FROM kb "
     "UNION SELECT 'l3:' || l3_id, 'l2:' || l2_id, 'part of' FROM kb UNION SELECT 'l2:' || l2_id, 'l1:' || l1_id, 'part of' FROM kb) GROUP BY 1"
 )
-@whole_too
-def e_kb_graph(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return graph.kb_edges(kb(spark, sf_dir, whole)).groupBy("kind").agg(F.count("*").alias("n"))
+def e_kb_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return graph.kb_edges(kb(spark, sf_dir)).groupBy("kind").agg(F.count("*").alias("n"))

@@ -14,7 +14,7 @@ from ..sources import corpus, io
 from . import Catalog
 
 CATALOG = Catalog()
-query, whole_too = CATALOG.query, CATALOG.whole
+query = CATALOG.query
 STMT = corpus.STATEMENTS_SQL
 TOK_SQL = f"SELECT concat_ws('_', script_id::VARCHAR, pos::VARCHAR) AS stmt_id, source, string_split(text, ' ') AS tok FROM ({STMT})"
 TF_SQL = f"SELECT stmt_id, any_value(source) AS source, term, count(*) AS f, any_value(n) AS n FROM (SELECT stmt_id, source, unnest(tok) AS term, len(tok) AS n FROM ({TOK_SQL})) GROUP BY stmt_id, term"
@@ -251,18 +251,16 @@ def a_pca(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query(
-    f"WITH d AS (SELECT a.vec_id AS i, b.vec_id AS j, round({_D2}, 6) AS d2 FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id WHERE a.vec_id < 100), "
-    f"l AS (SELECT a.id AS i, b.id AS j, round((a.x - b.x) ** 2 + (a.y - b.y) ** 2, 6) AS d2 FROM {PTS} a JOIN {PTS} b ON a.id <> b.id WHERE a.id < 100), "
+    f"WITH d AS (SELECT a.vec_id AS i, b.vec_id AS j, round({_D2}, 6) AS d2 FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id ), "
+    f"l AS (SELECT a.id AS i, b.id AS j, round((a.x - b.x) ** 2 + (a.y - b.y) ** 2, 6) AS d2 FROM {PTS} a JOIN {PTS} b ON a.id <> b.id), "
     "h AS (SELECT i, j FROM d QUALIFY row_number() OVER (PARTITION BY i ORDER BY d2, j) <= 10), k AS (SELECT i, j FROM l QUALIFY row_number() OVER (PARTITION BY i ORDER BY d2, j) <= 10) "
     "SELECT round(count(k.j)::DOUBLE / count(*), 6) AS recall FROM h LEFT JOIN k USING (i, j)"
 )
-@whole_too
-def a_trust(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    """Share of the ten nearest that the plane of the first two dimensions keeps, of all vectors or the first hundred that the SQL has."""
-    asked = F.lit(True) if whole else F.col("i") < 100
-    true = vectors.neighbours(io.read(spark, sf_dir, "embeddings"), 10).where(asked)
+def a_trust(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Share of each vector's ten nearest that the plane of the first two dimensions keeps."""
+    true = vectors.neighbours(io.read(spark, sf_dir, "embeddings"), 10)
     flat = flat_points(spark, sf_dir).select("id", F.array("x", "y").alias("v"))
-    return vectors.neighbour_recall(true, vectors.neighbours(flat, 10, "v", "id").where(asked), 10).select(*r6("recall"))
+    return vectors.neighbour_recall(true, vectors.neighbours(flat, 10, "v", "id"), 10).select(*r6("recall"))
 
 
 #: A mixture for the queries that compare one step with SQL.
@@ -475,13 +473,12 @@ def a_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
     return taxonomy.backoff(labels, t).select("item_id", F.col("level").cast("long").alias("level"), "node")
 
 
-_SCORES = f"SELECT p_partkey AS item_id, l1, l2, l3, {noise_sql('p_partkey', 'l3')} AS score FROM part, ({TAX_SQL}) WHERE p_partkey < 60"
+_SCORES = f"SELECT p_partkey AS item_id, l1, l2, l3, {noise_sql('p_partkey', 'l3')} AS score FROM part, ({TAX_SQL})"
 
 
-def scores(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    """Seeded scores of all parts, or of the sixty that the SQL has, for every function."""
-    parts = io.read(spark, sf_dir, "part", ("p_partkey",))
-    items = (parts if whole else parts.where("p_partkey < 60")).withColumnRenamed("p_partkey", "item_id")
+def scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seeded scores of all parts for every function."""
+    items = io.read(spark, sf_dir, "part", ("p_partkey",)).withColumnRenamed("p_partkey", "item_id")
     return with_each(items, tax(spark, sf_dir).select("l1", "l2", "l3")).withColumn("score", noise(F.col("item_id"), F.col("l3")))
 
 
@@ -490,12 +487,10 @@ def scores(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
     "b AS (SELECT item_id, l1, l2 FROM s SEMI JOIN a USING (item_id, l1) GROUP BY item_id, l1, l2 QUALIFY row_number() OVER (PARTITION BY item_id ORDER BY round(avg(score), 9) DESC, l1, l2) = 1) "
     "SELECT item_id, l1, l2, l3 FROM s SEMI JOIN b USING (item_id, l1, l2) GROUP BY item_id, l1, l2, l3 QUALIFY row_number() OVER (PARTITION BY item_id ORDER BY round(avg(score), 9) DESC, l1, l2, l3) = 1"
 )
-@whole_too
-def a_narrow(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return taxonomy.narrow(scores(spark, sf_dir, whole))
+def a_narrow(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return taxonomy.narrow(scores(spark, sf_dir))
 
 
 @query(f"SELECT item_id, l1, l2, l3 FROM ({_SCORES}) QUALIFY row_number() OVER (PARTITION BY item_id ORDER BY round(score, 9) DESC, l1, l2, l3) = 1")
-@whole_too
-def a_flat(spark: SparkSession, sf_dir: str, whole: bool = False) -> DataFrame:
-    return taxonomy.flat(scores(spark, sf_dir, whole))
+def a_flat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return taxonomy.flat(scores(spark, sf_dir))
