@@ -10,6 +10,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..plans.planning import choose
 from ..session import cut
 
 RIDGE = 1e-6
@@ -129,13 +130,89 @@ def _update(sums: np.ndarray, total: float, cov: str, old: Mixture) -> Mixture:
     return Mixture(s0 / s0.sum(), mean, c, old.loglik, old.steps + 1)
 
 
-def sweep(points: DataFrame, ks: list[int], cov: str = "full", seed: int = 10, tol: float = 1e-4, max_iter: int = 100, sample_rows: int = 20_000, weight: str | None = None) -> dict[int, Mixture]:
-    """Fits a mixture for every K in ``ks``, all of them in each pass over the points.
+def features(x: np.ndarray) -> np.ndarray:
+    return np.stack([np.ones(len(x)), x[:, 0], x[:, 1], x[:, 0] ** 2, x[:, 0] * x[:, 1], x[:, 1] ** 2], axis=1)
 
-    A task gives one row of sums per component, so a step moves six numbers a component and task.
-    The driver holds the parameters: a few megabytes for all K up to 500. A K leaves when its
-    likelihood settles.
+
+def expect(m: Mixture, f: np.ndarray, w: np.ndarray) -> tuple[float, np.ndarray]:
+    """Weighted log-likelihood of points (their features) and each component's six sums.
+
+    ln of weight times density is linear in the features, so a block of points is two products.
     """
+    a, b, c = m.cov[:, 0, 0], m.cov[:, 0, 1], m.cov[:, 1, 1]
+    det = a * c - b * b
+    p, q, r = c / det, -b / det, a / det  # the inverse
+    x, y = m.mean[:, 0], m.mean[:, 1]
+    const = np.log(np.maximum(m.weight, 1e-300)) - 0.5 * np.log(det) - math.log(2 * math.pi) - 0.5 * (p * x * x + 2 * q * x * y + r * y * y)
+    coef = np.stack([const, p * x + q * y, q * x + r * y, -0.5 * p, -q, -0.5 * r])
+    total, sums = 0.0, np.zeros((len(a), 6))
+    for at in range(0, len(f), 4096):
+        part, wt = f[at : at + 4096], w[at : at + 4096]
+        e = part @ coef
+        top = e.max(axis=1, keepdims=True)
+        np.exp(np.subtract(e, top, out=e), out=e)
+        s = e.sum(axis=1)
+        total += float((wt * (top[:, 0] + np.log(s))).sum())
+        sums += (e * (wt / s)[:, None]).T @ part
+    return total, sums
+
+
+def climb(m: Mixture, f: np.ndarray, w: np.ndarray, cov: str, tol: float, max_iter: int) -> Mixture:
+    """All steps of one mixture over points held in memory, by the same rule as the shared steps of ``sweep``."""
+    total = float(w.sum())
+    for step in range(max_iter):
+        now, sums = expect(m, f, w)
+        if now - m.loglik < tol * total and step:
+            m.loglik = max(now, m.loglik)
+            break
+        m.loglik = now
+        m = _update(sums, total, cov, m)
+    return m
+
+
+def _by_model(base: DataFrame, ks: list[int], sample: np.ndarray, cov: str, seed: int, tol: float, max_iter: int) -> dict[int, Mixture]:
+    """Every task holds the points, which are of a checked number, and fits some of the mixtures to their end."""
+    spark = base.sparkSession
+    held = base.orderBy("id").toPandas()
+    shared = spark.sparkContext.broadcast((held[["x", "y"]].to_numpy(), held["w"].to_numpy(float), sample))
+
+    def run(batches):
+        xy, w, first = shared.value
+        f = features(xy)
+        for pdf in batches:
+            for k in pdf["size"]:
+                m = climb(start(first, int(k), seed), f, w, cov, tol, max_iter)
+                flat = lambda v: [v.ravel().tolist()]
+                yield pd.DataFrame({"size": [k], "ll": [m.loglik], "steps": [m.steps], "weight": flat(m.weight), "mean": flat(m.mean), "cov": flat(m.cov)})
+
+    # large mixtures first and a task each, so that no task ends long after the others
+    asked = spark.createDataFrame([(i, k) for i, k in enumerate(sorted(ks, reverse=True))], "slot int, size int").repartitionById(len(ks), F.col("slot"))
+    got = asked.select("size").mapInPandas(run, "size int, ll double, steps int, weight array<double>, mean array<double>, cov array<double>").collect()
+    return {r["size"]: Mixture(np.array(r["weight"]), np.array(r["mean"]).reshape(-1, 2), np.array(r["cov"]).reshape(-1, 2, 2), r["ll"], r["steps"]) for r in got}
+
+
+def grid(most: int, all_to: int = 16, ratio: float = 1.125) -> list[int]:
+    """Every K up to ``all_to``, then K growing by ``ratio`` up to ``most``: the coarse range of a sweep."""
+    ks = list(range(1, min(most, all_to) + 1))
+    while ks and ks[-1] < most:
+        ks.append(min(most, max(ks[-1] + 1, int(ks[-1] * ratio))))
+    return ks
+
+
+def sweep(
+    points: DataFrame, ks: list[int], cov: str = "full", seed: int = 10, tol: float = 1e-4, max_iter: int = 100, sample_rows: int = 20_000,
+    weight: str | None = None, strategy: str | None = None,
+) -> dict[int, Mixture]:
+    """Fits a mixture for every K in ``ks``.
+
+    'by_points' (any number of points): all K in each pass over the points. A task gives one row
+    of sums per component, so a step moves six numbers a component and task; a K leaves when its
+    likelihood settles. 'by_model' (points of a checked number): tasks hold the points, and each
+    fits some K to the end. Steps and rule are the same. The driver holds the parameters: a few
+    megabytes for all K up to 500.
+    """
+    if not ks:
+        return {}
     spark = points.sparkSession
     w = F.col(weight).cast("double") if weight else F.lit(1.0)
     base = cut(points.select("id", F.col("x").cast("double").alias("x"), F.col("y").cast("double").alias("y"), w.alias("w")))
@@ -143,7 +220,10 @@ def sweep(points: DataFrame, ks: list[int], cov: str = "full", seed: int = 10, t
     if not len(first):
         return {}
     sample = first[["x", "y"]].to_numpy()
-    total = float(base.agg(F.sum("w")).first()[0])
+    n, total = base.agg(F.count("*"), F.sum("w")).first()
+    if (strategy or choose("mixtures", n).strategy) == "by_model":
+        return _by_model(base, ks, sample, cov, seed, tol, max_iter)
+    base = cut(base.repartition(spark.sparkContext.defaultParallelism, "id"))
     models = {k: start(sample, k, seed) for k in ks}
     active = dict(models)
     step = 0
@@ -154,17 +234,11 @@ def sweep(points: DataFrame, ks: list[int], cov: str = "full", seed: int = 10, t
             sums = {k: np.zeros((k, 6)) for k in shared.value}
             ll = dict.fromkeys(shared.value, 0.0)
             for pdf in batches:
-                for at in range(0, len(pdf), 2048):
-                    part = pdf.iloc[at : at + 2048]
-                    x, wt = part[["x", "y"]].to_numpy(), part["w"].to_numpy()
-                    f = np.stack([np.ones(len(x)), x[:, 0], x[:, 1], x[:, 0] ** 2, x[:, 0] * x[:, 1], x[:, 1] ** 2], axis=1)
-                    for k, m in shared.value.items():
-                        parts = m.log_parts(x)
-                        top = parts.max(axis=1, keepdims=True)
-                        e = np.exp(parts - top)
-                        s = e.sum(axis=1, keepdims=True)
-                        ll[k] += float((wt * (top + np.log(s))[:, 0]).sum())
-                        sums[k] += (e / s * wt[:, None]).T @ f
+                f, wt = features(pdf[["x", "y"]].to_numpy()), pdf["w"].to_numpy()
+                for k, m in shared.value.items():
+                    more, part = expect(m, f, wt)
+                    ll[k] += more
+                    sums[k] += part
             sizes = list(sums)
             at = np.concatenate([np.arange(k) for k in sizes])
             share = np.where(at == 0, np.repeat([ll[k] for k in sizes], sizes), 0.0)  # a likelihood stands in its first row

@@ -1,15 +1,23 @@
-"""TF-IDF in long form (stmt_id, term, w), with the published variants.
+"""TF-IDF with the published variants, as sparse rows and in long form (stmt_id, term, w).
 
-Term counts stay inside the row of their statement, so the only exchanges are the vocabulary's
-and its join. ``weight`` (a phrase's multiplicity) counts a phrase as so many statements.
+With a vocabulary of a checked size, term counts, weights and the norm stay in the row of their
+statement (``rows``): the vocabulary is broadcast, and its own aggregation is the only exchange.
+A larger vocabulary is joined in long form. ``weight`` (a phrase's multiplicity) counts a phrase
+as so many statements.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..plans.planning import maybe_broadcast
+from ..plans.planning import BROADCAST_ROWS, maybe_broadcast
+from ..session import cut
 
 
 def tokens(statements: DataFrame, text: str = "text", weight: str | None = None) -> DataFrame:
@@ -53,10 +61,65 @@ def vocab(terms: DataFrame, min_df: int = 1, max_df: int | None = None, top: int
     return first.withColumn("rank", F.row_number().over(Window.orderBy(F.desc("n_t"), "term")))
 
 
+def _schema(tok: DataFrame) -> str:
+    return f"stmt_id {tok.schema['stmt_id'].dataType.simpleString()}, ids array<int>, terms array<string>, w array<double>"
+
+
+def rows(tok: DataFrame, terms: DataFrame, normed: bool = True, scope: str = "statement", most: int = BROADCAST_ROWS) -> DataFrame | None:
+    """stmt_id, ids (ranks in the ordered vocabulary), terms and weights of each statement in one row; over their length if ``normed``.
+
+    ``terms`` is a vocabulary (term, idf); words outside it count for the statement's length only.
+    None if it has more than ``most`` rows: it is counted no further, and not collected.
+    """
+    known = cut(terms.select("term", "idf"))
+    if known.limit(most + 1).count() > most:
+        return None
+    if scope == "corpus":
+        share = tok.select("w", F.explode("tok").alias("term")).groupBy("term").agg(F.sum("w").alias("s"))
+        total = float(tok.agg(F.sum(F.col("w") * F.size("tok"))).first()[0] or 1)
+        known = known.join(share, "term").select("term", (F.col("idf") * F.col("s") / total).alias("idf"))
+    listed = known.toArrow().sort_by("term")
+    shared = tok.sparkSession.sparkContext.broadcast((listed["term"].combine_chunks(), listed["idf"].to_numpy()))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words, idf = shared.value
+        for batch in batches:
+            tokens_ = batch.column("tok")
+            sizes = pc.fill_null(pc.list_value_length(tokens_), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+            code = pc.fill_null(pc.index_in(pc.list_flatten(tokens_), value_set=words), -1).to_numpy(zero_copy_only=False).astype(np.int64)
+            row = np.repeat(np.arange(len(sizes)), sizes)[code >= 0]
+            # a term of a row once, with how often it stands there
+            key, n = np.unique(row * (len(words) + 1) + code[code >= 0], return_counts=True)
+            row, code = key // (len(words) + 1), key % (len(words) + 1)
+            w = idf[code] if scope == "corpus" else n / sizes[row] * idf[code]
+            if normed:
+                length = np.sqrt(np.bincount(row, weights=w * w, minlength=len(sizes)))[row]
+                w = np.divide(w, length, out=np.zeros_like(w), where=length > 0)
+            ends = pa.array(np.concatenate([[0], np.cumsum(np.bincount(row, minlength=len(sizes)))]), pa.int32())
+            cols = (pa.array(code, pa.int32()), words.take(pa.array(code)), pa.array(w))
+            yield pa.RecordBatch.from_arrays([batch.column("stmt_id"), *(pa.ListArray.from_arrays(ends, c) for c in cols)], ["stmt_id", "ids", "terms", "w"])
+
+    return tok.select("stmt_id", "tok").mapInArrow(run, _schema(tok))
+
+
+def _long(sparse: DataFrame) -> DataFrame:
+    return sparse.select("stmt_id", F.inline(F.arrays_zip("terms", "w")).alias("term", "w"))
+
+
 def weights(tok: DataFrame, scope: str = "statement", form: str = "paper", terms: DataFrame | None = None) -> DataFrame:
     """stmt_id, term, w = tf * idf."""
-    v = (idf(tok, form) if terms is None else terms).select("term", "idf")
-    return tf(tok, scope).select("stmt_id", "term", "tf").join(maybe_broadcast(v), "term").select("stmt_id", "term", (F.col("tf") * F.col("idf")).alias("w"))
+    v = cut((idf(tok, form) if terms is None else terms).select("term", "idf"))
+    sparse = rows(tok, v, normed=False, scope=scope)
+    if sparse is not None:
+        return _long(sparse)
+    return tf(tok, scope).select("stmt_id", "term", "tf").join(v, "term").select("stmt_id", "term", (F.col("tf") * F.col("idf")).alias("w"))
+
+
+def normed(tok: DataFrame, form: str = "paper", terms: DataFrame | None = None) -> DataFrame:
+    """stmt_id, term, w over the statement's length: ``l2`` of ``weights``, in the row where the vocabulary allows it."""
+    v = cut((idf(tok, form) if terms is None else terms).select("term", "idf"))
+    sparse = rows(tok, v)
+    return _long(sparse) if sparse is not None else l2(weights(tok, terms=v))
 
 
 def l2(long: DataFrame) -> DataFrame:

@@ -16,7 +16,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.planning import CELL_POINTS, EXACT_POINTS, choose
+from ..plans.planning import CELL_POINTS, EXACT_POINTS, choose, small
 from .vectors import neighbours
 
 
@@ -68,7 +68,9 @@ def symmetrize(cond: DataFrame, n: int) -> DataFrame:
 
 
 def _all_pairs(points: DataFrame) -> DataFrame:
-    """Every ordered pair of up to ``EXACT_POINTS`` points, one side as an array in each row."""
+    """Every ordered pair of up to ``EXACT_POINTS`` points, one side as an array in each row; more are refused."""
+    if not small(points, EXACT_POINTS):
+        raise ValueError(f"more than {EXACT_POINTS} points have too many pairs")
     listed = points.agg(F.collect_list(F.struct(F.col("id").alias("j"), F.col("x").alias("xj"), F.col("y").alias("yj"))).alias("_a")).withColumn("_k", F.lit(1))
     rows = points.withColumn("_k", F.lit(1)).join(F.broadcast(listed), "_k")
     return rows.select(F.col("id").alias("i"), "x", "y", F.inline("_a")).where("i <> j")
@@ -126,25 +128,36 @@ def repulsion(y: np.ndarray, cells: int = 48) -> tuple[np.ndarray, float]:
     cell = np.minimum(((y - low) / span * cells).astype(int), cells - 1)
     key = cell[:, 0] * cells + cell[:, 1]
     order = np.argsort(key, kind="stable")
-    used, first, mass = np.unique(key[order], return_index=True, return_counts=True)
-    centre = np.stack([np.bincount(key, weights=y[:, a], minlength=cells * cells)[used] / mass for a in (0, 1)], axis=1)
+    mass = np.bincount(key, minlength=cells * cells)
+    first = np.cumsum(mass) - mass
+    used = np.flatnonzero(mass)
+    centre = np.stack([np.bincount(key, weights=y[:, a], minlength=cells * cells)[used] / mass[used] for a in (0, 1)], axis=1)
     at = np.stack([used // cells, used % cells], axis=1)
     force, z = np.zeros_like(y), 0.0
-    for c, start, n in zip(at, first, mass, strict=True):
-        mine = order[start : start + n]
-        close = np.abs(at - c).max(axis=1) <= 1
-        d = y[mine][:, None, :] - centre[~close]
-        w = 1 / (1 + (d**2).sum(2))
-        z += float((w * mass[~close]).sum())
-        force[mine] += ((w**2 * mass[~close])[..., None] * d).sum(1)
-        around = np.concatenate([order[s : s + m] for s, m in zip(first[close], mass[close], strict=True)])
-        for block in range(0, len(around), 4096):
-            other = around[block : block + 4096]
-            d = y[mine][:, None, :] - y[other]
-            w = 1 / (1 + (d**2).sum(2))
-            w[mine[:, None] == other[None, :]] = 0
-            z += float(w.sum())
-            force[mine] += ((w**2)[..., None] * d).sum(1)
+    for begin in range(0, len(y), 2048):
+        mine = slice(begin, begin + 2048)
+        far = np.abs(cell[mine][:, None, :] - at).max(axis=2) > 1
+        dx, dy = (y[mine, a][:, None] - centre[:, a] for a in (0, 1))
+        w = mass[used] * far / (1 + dx * dx + dy * dy)
+        z += float(w.sum())
+        w *= 1 / (1 + dx * dx + dy * dy)
+        force[mine, 0] += (w * dx).sum(1)
+        force[mine, 1] += (w * dy).sum(1)
+    for a in (-1, 0, 1):
+        for b in (-1, 0, 1):
+            near = cell + (a, b)
+            inside = np.flatnonzero(((near >= 0) & (near < cells)).all(axis=1))
+            there = near[inside, 0] * cells + near[inside, 1]
+            n = mass[there]
+            for part in np.array_split(np.arange(len(inside)), 1 + int(n.sum()) // (1 << 21)):
+                m = n[part]
+                i = np.repeat(inside[part], m)
+                j = order[np.arange(int(m.sum())) - np.repeat(np.cumsum(m) - m, m) + np.repeat(first[there[part]], m)]
+                d = y[i] - y[j]
+                w = (i != j) / (1 + (d**2).sum(1))
+                z += float(w.sum())
+                for axis in (0, 1):
+                    force[:, axis] += np.bincount(i, weights=w * w * d[:, axis], minlength=len(y))
     return force, z
 
 

@@ -115,6 +115,33 @@ def neighbours(points: DataFrame, k: int, vec: str = "embedding", key: str = "ve
     return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
+def nearest(asked: DataFrame, points: DataFrame, k: int, vec: str = "embedding", key: str = "vec_id", limit: int = 5_000) -> DataFrame:
+    """The ``k`` nearest of ``points`` to each of a bounded number of ``asked`` ones, exactly: i, j, d2, rank. Those asked are broadcast after a count."""
+    own = asked.select(F.col(key).cast("long").alias("i"), F.col(vec).cast("array<double>").alias("v")).limit(limit + 1).toPandas()
+    if len(own) > limit:
+        raise ValueError(f"more than {limit} points are asked for")
+    shared = points.sparkSession.sparkContext.broadcast((own["i"].to_numpy(), np.array(own["v"].tolist(), float).reshape(len(own), -1)))
+
+    def run(batches):
+        import pandas as pd
+
+        ids, x = shared.value
+        for pdf in batches:
+            if not len(pdf) or not len(ids):
+                continue
+            y, js = np.array(pdf["v"].tolist(), float), pdf["j"].to_numpy()
+            d = np.maximum(0, (x**2).sum(1)[:, None] - 2 * x @ y.T + (y**2).sum(1))
+            d[ids[:, None] == js[None, :]] = np.inf
+            m = min(k, len(js))
+            at = np.argpartition(d, m - 1, axis=1)[:, :m]
+            got = pd.DataFrame({"i": np.repeat(ids, m), "j": js[at].ravel(), "d2": np.take_along_axis(d, at, 1).ravel()})
+            yield got[np.isfinite(got["d2"])]
+
+    rows = points.select(F.col(key).cast("long").alias("j"), F.col(vec).cast("array<double>").alias("v"))
+    found = rows.mapInPandas(run, "i long, j long, d2 double")
+    return found.withColumn("rank", F.row_number().over(Window.partitionBy("i").orderBy("d2", "j"))).where(F.col("rank") <= k)
+
+
 def neighbour_recall(true: DataFrame, kept: DataFrame, k: int) -> DataFrame:
     """Share of each point's ``k`` true neighbours that an embedding keeps: one row."""
     hit = true.where(F.col("rank") <= k).join(kept.where(F.col("rank") <= k).select("i", "j").withColumn("hit", F.lit(1)), ["i", "j"], "left")

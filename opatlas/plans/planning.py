@@ -7,12 +7,16 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import cut
+
 #: Rows of a side that is broadcast, where its rows are short.
 BROADCAST_ROWS = 200_000
 #: Candidates that counting tasks hold at once.
 BLOCK_CANDIDATES = 200_000
 EXACT_POINTS = 3_000
 CELL_POINTS = 50_000
+#: Points that a task holds while it fits whole mixtures.
+HELD_POINTS = 200_000
 
 
 @dataclass(frozen=True)
@@ -27,7 +31,8 @@ def small(df: DataFrame, rows: int = BROADCAST_ROWS) -> bool:
 
 
 def maybe_broadcast(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
-    """``df`` marked for broadcast if its size was checked; else as it is, for a shuffled join."""
+    """``df`` marked for broadcast if its size was checked; else as it is, for a shuffled join. It is written first, so it is made once."""
+    df = cut(df)
     return F.broadcast(df) if small(df, rows) else df
 
 
@@ -36,6 +41,7 @@ def choose(method: str, n: int) -> Choice:
     ladders = {
         "tsne": ((EXACT_POINTS, "exact"), (CELL_POINTS, "cells"), (None, "landmark")),
         "count": ((BLOCK_CANDIDATES, "block"), (None, "join")),
+        "mixtures": ((HELD_POINTS, "by_model"), (None, "by_points")),
         "cosine": ((None, "index"),),
         "fuzzy": ((BROADCAST_ROWS, "broadcast"), (None, "blocked")),
     }

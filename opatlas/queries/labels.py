@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -21,9 +23,20 @@ query = CATALOG.query
 _COMBOS = f"(SELECT items, k, freq FROM ({MIXED_SQL}))"
 
 
+#: Stage results that later stages of a session read: by application, tables and name. Each is written (or held by the driver) once.
+_WRITTEN: dict[tuple[str, str, str], DataFrame] = {}
+
+
+def once(spark: SparkSession, sf_dir: str, name: str, make: Callable[[], DataFrame]) -> DataFrame:
+    key = (spark.sparkContext.applicationId, sf_dir, name)
+    if key not in _WRITTEN:
+        _WRITTEN[key] = make()
+    return _WRITTEN[key]
+
+
 def combos(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All frequent mixed sets, numbered by length and items."""
-    return mined(spark, sf_dir).combos
+    return once(spark, sf_dir, "combos", lambda: mined(spark, sf_dir).combos)
 
 
 def named(df: DataFrame, *cols: str) -> DataFrame:
@@ -127,7 +140,7 @@ def items(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def ballots(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return labelling.run(items(spark, sf_dir), lambda i: labelling.seeded(i, tax(spark, sf_dir)))
+    return once(spark, sf_dir, "ballots", lambda: labelling.run(items(spark, sf_dir), lambda i: labelling.seeded(i, tax(spark, sf_dir))))
 
 
 def resolved(spark: SparkSession, sf_dir: str) -> DataFrame:

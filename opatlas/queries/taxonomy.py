@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.noise import noise, noise_sql
-from ..operators import baselines, cluster_eval, gmm, prompts, statements, taxonomy, tfidf, tsne, vectors
+from ..operators import baselines, cluster_eval, framework, gmm, prompts, statements, taxonomy, tfidf, tsne, vectors
 from ..plans.planning import with_each
 from ..sources import corpus, io
 from . import Catalog
@@ -141,7 +141,7 @@ def a_tfidf(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(f"WITH w AS MATERIALIZED ({W_SQL}), n AS (SELECT stmt_id, sqrt(sum(w * w)) AS n FROM w GROUP BY 1) SELECT stmt_id, term, CASE WHEN n > 0 THEN round(w / n, 6) + 0.0 ELSE 0.0::DOUBLE END AS w FROM w JOIN n USING (stmt_id)")
 def a_tfidf_l2(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return tfidf.l2(tfidf.weights(tok(spark, sf_dir))).select("stmt_id", "term", *r6("w"))
+    return tfidf.normed(tok(spark, sf_dir)).select("stmt_id", "term", *r6("w"))
 
 
 @query(f"SELECT term, n_t, row_number() OVER (ORDER BY n_t DESC, term)::BIGINT AS rank FROM ({IDF_SQL}) WHERE n_t BETWEEN 3 AND 2000 ORDER BY n_t DESC, term LIMIT 100")
@@ -160,7 +160,7 @@ _BENCH_W = (
 
 def bench_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     b = io.read(spark, sf_dir, "benchmark").select(F.col("item_id").alias("stmt_id"), statements.normalize(F.col("text")).alias("text"))
-    return tfidf.l2(tfidf.weights(tfidf.tokens(b), form="smooth"))
+    return tfidf.normed(tfidf.tokens(b), form="smooth")
 
 
 @query(_BENCH_W + " SELECT a.stmt_id AS a, b.stmt_id AS b, round(sum(a.w * b.w), 6) AS sim FROM u a JOIN u b ON a.term = b.term AND a.stmt_id < b.stmt_id GROUP BY 1, 2 HAVING sum(a.w * b.w) >= 0.1")
@@ -494,3 +494,48 @@ def a_narrow(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(f"SELECT item_id, l1, l2, l3 FROM ({_SCORES}) QUALIFY row_number() OVER (PARTITION BY item_id ORDER BY round(score, 9) DESC, l1, l2, l3) = 1")
 def a_flat(spark: SparkSession, sf_dir: str) -> DataFrame:
     return taxonomy.flat(scores(spark, sf_dir))
+
+
+#: The chain of a session, by application and tables: its steps are written, so its queries read them.
+_CHAINS: dict[tuple[str, str], framework.Framework] = {}
+
+
+def chain(spark: SparkSession, sf_dir: str) -> framework.Framework:
+    """Stage A from all statements, with the paper's parameters and 1,000 landmarks."""
+    key = (spark.sparkContext.applicationId, sf_dir)
+    if key not in _CHAINS:
+        _CHAINS[key] = framework.build(corpus.statements(spark, sf_dir))
+    return _CHAINS[key]
+
+
+@query()
+def a_framework(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Functions in groups and stages, from statements alone."""
+    return chain(spark, sf_dir).functions
+
+
+@query()
+def a_framework_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The criterion over K = 1..500 on the layout of the statements, and the K that each rule takes."""
+    f = chain(spark, sf_dir)
+    return f.curve.select("K", "loglik", "bic", *((F.col("K") == k).alias(rule) for rule, k in f.chosen.items()))
+
+
+@query()
+def a_framework_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The fitted clusters with their heaviest terms and what the rules decide of them."""
+    f = chain(spark, sf_dir)
+    return f.terms.join(f.decisions, "cluster")
+
+
+@query()
+def a_framework_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return framework.quality(chain(spark, sf_dir))
+
+
+@query(
+    f"WITH p AS (SELECT text, source, count(*) AS n FROM ({STMT}) GROUP BY ALL) SELECT text, sum(n)::BIGINT AS w, arg_max(source, (n, source)) AS source, round(max(n) / sum(n)::DOUBLE, 6) AS source_share FROM p GROUP BY 1"
+)
+def a_framework_phrases(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The chain's distinct statements, their frequency and where they mostly stand."""
+    return framework.distinct(corpus.statements(spark, sf_dir)).select("text", "w", "source", *r6("source_share"))
