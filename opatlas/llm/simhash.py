@@ -18,8 +18,7 @@ follows the text's length and dealt into ``GROUPS`` groups, and texts of like le
 in all of a group meet. At the least similarity two texts miss each other in all groups with a
 chance of 0.3 % or less, and of far less above it. Candidates within ``NEAR_BITS`` bits of each
 other are verified exactly on their whole sets. In each bucket all members are verified against
-its ``HUBS`` most central ones, those that share most keys with most texts, and as many drawn
-by a hash of bucket and text, so that a text meets different ones in each bucket; in buckets of up to
+its ``HUBS`` most central ones, those that share most keys with most texts; in buckets of up to
 ``CROWD`` members all pairs that are not yet connected are verified too. So a large group of near
 copies makes no pairs within itself. What that can miss is a pair that meets in crowded buckets
 only and is tied neither by a hub nor by a third text; the README gives the measured recall.
@@ -58,8 +57,8 @@ NEAR = 0.8
 #: Groups of sampled shingles of a text, and how many shingles are sampled at least where there are more.
 GROUPS = 16
 SAMPLED = 24
-#: Members of a bucket that all others are verified against: so many central ones, and so many drawn by hash.
-HUBS = 2
+#: Members of a bucket that all others are verified against.
+HUBS = 4
 #: Candidates differ in no more bits: 3.6 standard deviations above the mean of pairs at the least similarity.
 NEAR_BITS = 20
 _CHUNK = 1 << 15
@@ -260,10 +259,8 @@ def near_groups(docs: DataFrame, shingle: int = NEAR_SHINGLE, similarity: float
 
     central = shared.groupBy(F.col("v").alias("w")).agg(F.sum("c").alias("score"))
     members = shared.select("key", F.col("v").alias("w"), F.col("fp").alias("fpw"), F.col("n").alias("nw")).join(central, "w")
-    rank = lambda *by: F.row_number().over(Window.partitionBy("key").orderBy(*by))
-    top = members.withColumn("r", rank(F.desc("score"), "w")).where(F.col("r") <= HUBS).drop("score", "r")
-    drawn = members.withColumn("r", rank(F.xxhash64("key", "w"))).where(F.col("r") <= HUBS).drop("score", "r")
-    hubs = top.unionByName(drawn).distinct()
+    rank = F.row_number().over(Window.partitionBy("key").orderBy(F.desc("score"), "w"))
+    hubs = members.withColumn("r", rank).where(F.col("r") <= HUBS).drop("score", "r")
     first = cut(shared.join(hubs, "key").where((F.col("v") != F.col("w")) & near("", "w")).select(*pair).distinct())
     edges = verified(first, texts, docs, shingle, similarity)
     found = components(edges)
