@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from ..plans.planning import spread
 from . import chat_format, html_text, media, mixing, piece_sampling, quality_model, quality_rules, simhash, token_counts, url_filters
 from .common import table
 
@@ -20,15 +21,15 @@ def tokenizer_path(name: str) -> str:
 
 
 def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quality_rules.digest(table(spark, sf_dir, "documents"))
+    return quality_rules.digest(spread(table(spark, sf_dir, "documents")))
 
 
 def rule_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quality_rules.ablation_report(table(spark, sf_dir, "documents"))
+    return quality_rules.ablation_report(spread(table(spark, sf_dir, "documents")))
 
 
 def piece_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return piece_sampling.encode_pieces(table(spark, sf_dir, "documents"), tokenizer_path("piece_bpe_32k.model"))
+    return piece_sampling.encode_pieces(spread(table(spark, sf_dir, "documents")), tokenizer_path("piece_bpe_32k.model"))
 
 
 def op1_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -36,23 +37,23 @@ def op1_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return html_text.extract(table(spark, sf_dir, "pages"))
+    return html_text.extract(spread(table(spark, sf_dir, "pages")))
 
 
 def op3_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return media.store_texts(table(spark, sf_dir, "documents"), keep_media=False)
+    return media.store_texts(spread(table(spark, sf_dir, "documents")), keep_media=False)
 
 
 def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return token_counts.count_tokens(table(spark, sf_dir, "documents"), tokenizer_path("byte_bpe_50k.json"))
+    return token_counts.count_tokens(spread(table(spark, sf_dir, "documents")), tokenizer_path("byte_bpe_50k.json"))
 
 
 def op5_piece_sampling(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return piece_sampling.sample_pieces(table(spark, sf_dir, "documents"), tokenizer_path("piece_bpe_32k.model"))
+    return piece_sampling.sample_pieces(spread(table(spark, sf_dir, "documents")), tokenizer_path("piece_bpe_32k.model"))
 
 
 def op6_quality_model(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quality_model.digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+    return quality_model.digest(spread(table(spark, sf_dir, "documents")), table(spark, sf_dir, "labels"))
 
 
 def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -60,7 +61,7 @@ def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return simhash.digest(table(spark, sf_dir, "documents"))
+    return simhash.digest(spread(table(spark, sf_dir, "documents")))
 
 
 def op10_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
