@@ -30,6 +30,17 @@ def small(df: DataFrame, rows: int = BROADCAST_ROWS) -> bool:
     return df.limit(rows + 1).count() <= rows
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """``df`` of one scan, dealt anew over the cores where it has fewer files than there are cores.
+
+    A file may be one row group and so one task; work on whole texts then needs the other cores.
+    Which of the two happens depends on the layout of the files only, and rows are the same.
+    """
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    # counted in the JVM: a large table has a file a task at least
+    return df.repartition(cores) if len(df._jdf.inputFiles()) < cores else df
+
+
 def maybe_broadcast(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
     """``df`` marked for broadcast if its size was checked; else as it is, for a shuffled join. It is written first, so it is made once."""
     df = cut(df)

@@ -9,6 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans.planning import spread
 from .io import read
 
 #: Order of an order's lines; the line number alone has ties.
@@ -85,7 +86,7 @@ def statements(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sentences of documents as functional statements: script_id, lang, source, pos, text (normalised)."""
     from ..operators.statements import extract
 
-    docs = read(spark, sf_dir, "documents", ("doc_id", "lang", "source", "text"))
+    docs = spread(read(spark, sf_dir, "documents", ("doc_id", "lang", "source", "text")))
     return extract(docs.withColumnRenamed("doc_id", "script_id"), keep=("script_id", "lang", "source"))
 
 
@@ -99,7 +100,7 @@ SELECT script_id, lang, source, (row_number() OVER (PARTITION BY script_id ORDER
 
 def sentence_items(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Tokens of English sentences."""
-    docs = read(spark, sf_dir, "documents", ("doc_id", "lang", "text")).where("lang = 'en'")
+    docs = spread(read(spark, sf_dir, "documents", ("doc_id", "lang", "text"))).where("lang = 'en'")
     sentence = docs.select("doc_id", F.posexplode(F.split("text", STATEMENT_END)).alias("i", "s"))
     token = F.explode(F.split(F.lower("s"), NOT_LETTER))
     return sentence.select(F.concat_ws("_", "doc_id", "i").alias("rec_id"), token.alias("item")).where("item <> ''")
