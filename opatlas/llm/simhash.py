@@ -282,10 +282,12 @@ def dedup(docs: DataFrame, shingle: int = NEAR_SHINGLE, similarity: float = NEAR
     Of repeated rows of that id the one with the first text, then the first by all its columns, stays.
     """
     groups = near_groups(docs, shingle, similarity)
-    chosen = groups.groupBy("root").agg(F.min(F.struct(F.col("id").isNull().alias("no"), "id", "node")).alias("m")).select(F.col("m.node").alias("_node"), F.col("m.id").alias("_first"))
+    # the join's keys are the window's, so the texts move once
+    keys = lambda i: (F.coalesce(i, F.lit(0)).alias("k"), i.isNull().alias("z"))
+    chosen = groups.groupBy("root").agg(F.min(F.struct(F.col("id").isNull().alias("no"), "id", "node")).alias("m")).select(F.col("m.node").alias("node"), *keys(F.col("m.id")))
     node = F.md5(F.coalesce(F.col("text").cast("string"), F.lit("")))
     rest = docs.drop("text")  # equal for equal nodes
-    rows = docs.select(node.alias("node"), F.col("doc_id").cast("long").alias("_id"), F.to_json(packed(rest)).alias("_rest"), packed(docs).alias("_doc"))
-    kept = rows.join(chosen, (F.col("node") == F.col("_node")) & F.col("_id").eqNullSafe(F.col("_first")))
-    one = kept.withColumn("_n", F.row_number().over(Window.partitionBy("node").orderBy("_rest"))).where("_n = 1")
+    rows = docs.select(node.alias("node"), *keys(F.col("doc_id").cast("long")), F.to_json(packed(rest)).alias("_rest"), packed(docs).alias("_doc"))
+    kept = rows.join(chosen, ["node", "k", "z"])
+    one = kept.withColumn("_n", F.row_number().over(Window.partitionBy("node", "k", "z").orderBy("_rest"))).where("_n = 1")
     return one.select("_doc.*")
