@@ -1,7 +1,7 @@
 """TF-IDF with the published variants, as sparse rows and in long form (stmt_id, term, w).
 
 With a vocabulary of a checked size, term counts, weights and the norm stay in the row of their
-statement (``rows``): the vocabulary is broadcast, and its own aggregation is the only exchange.
+statement (``rows``, ``normed``): the vocabulary is broadcast, and its own aggregation is the only exchange.
 A larger vocabulary is joined in long form. ``weight`` (a phrase's multiplicity) counts a phrase
 as so many statements.
 """
@@ -107,12 +107,9 @@ def _long(sparse: DataFrame) -> DataFrame:
 
 
 def weights(tok: DataFrame, scope: str = "statement", form: str = "paper", terms: DataFrame | None = None) -> DataFrame:
-    """stmt_id, term, w = tf * idf."""
-    v = cut((idf(tok, form) if terms is None else terms).select("term", "idf"))
-    sparse = rows(tok, v, normed=False, scope=scope)
-    if sparse is not None:
-        return _long(sparse)
-    return tf(tok, scope).select("stmt_id", "term", "tf").join(v, "term").select("stmt_id", "term", (F.col("tf") * F.col("idf")).alias("w"))
+    """stmt_id, term, w = tf * idf, in long form and in the JVM; ``rows`` gives the same in the statement's row."""
+    v = (idf(tok, form) if terms is None else terms).select("term", "idf")
+    return tf(tok, scope).select("stmt_id", "term", "tf").join(maybe_broadcast(v), "term").select("stmt_id", "term", (F.col("tf") * F.col("idf")).alias("w"))
 
 
 def normed(tok: DataFrame, form: str = "paper", terms: DataFrame | None = None) -> DataFrame:
