@@ -16,7 +16,7 @@ from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.planning import choose
@@ -209,12 +209,17 @@ def support_of(records: DataFrame, sets: DataFrame) -> DataFrame:
     return full.groupBy("set_id").agg(F.count("*").alias("freq"))
 
 
+def subsets_of(items: Column, k: int) -> Column:
+    """All subsets of one to ``k`` items, each in order, as an array; null items give null."""
+    none = F.array(F.array().cast("array<string>"))
+    grown = F.aggregate(F.array_sort(items), none, lambda made, x: F.concat(made, F.transform(F.filter(made, lambda s: F.size(s) < k), lambda s: F.concat(s, F.array(x)))))
+    return F.filter(grown, lambda s: F.size(s) > 0)
+
+
 def enumerate_all(records: DataFrame, k: int) -> DataFrame:
     """Baseline: every combination of up to ``k`` items of every record, without pruning: items, k, freq."""
-    from ..functions.udx import k_subsets
-
     base = compress(records)
-    grown = base.select("w", F.explode(k_subsets(F.col("items"), F.lit(k))).alias("s"))
+    grown = base.select("w", F.explode(subsets_of(F.col("items"), k)).alias("s"))
     return grown.groupBy(F.col("s").alias("items")).agg(F.sum("w").alias("freq")).withColumn("k", F.size("items"))
 
 

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from ..functions.noise import noise
 from ..functions.text import edit_ratio, jaccard, tokens
 from ..functions.udx import ngram_dice
-from ..plans.planning import maybe_broadcast, small, with_each
+from ..plans.planning import maybe_broadcast, with_blocks, with_each
 from ..session import cut
 from .taxonomy import narrow
 
@@ -155,18 +155,17 @@ def similarity(how: str, a: Column, b: Column) -> Column:
 def fuzzy(labels: DataFrame, taxonomy: DataFrame, how: str = "edit", label: str = "raw_label") -> DataFrame:
     """Nearest function of each distinct label: label, l3_id, sim; ties go to the lower id.
 
-    how: 'edit', 'jaccard', 'dice', or 'cosine' (TF-IDF of character pairs). A taxonomy of a
-    checked size rides along with every label; a larger one meets labels by shared pairs of
-    characters only.
+    how: 'edit', 'jaccard', 'dice', or 'cosine' (TF-IDF of character pairs). By cosine, labels and
+    functions meet by shared pairs of characters, and a label that shares none has no row. Else
+    every label is compared with every function, in blocks of the taxonomy; one of more than
+    ``BROADCAST_ROWS`` functions is refused.
     """
     wanted = labels.select(F.col(label)).distinct()
     tax = taxonomy.select("l3_id", "l3")
-    if how == "cosine" or not small(tax, 5_000):
-        found = _by_grams(wanted, tax, label)
-        sim = F.col("cosine") if how == "cosine" else similarity(how, F.col(label), F.col("l3"))
-        scored = found.withColumn("sim", sim)
+    if how == "cosine":
+        scored = _by_grams(wanted, tax, label).withColumnRenamed("cosine", "sim")
     else:
-        scored = with_each(wanted, tax, 5_000).withColumn("sim", similarity(how, F.col(label), F.col("l3")))
+        scored = with_blocks(wanted, tax).withColumn("sim", similarity(how, F.col(label), F.col("l3")))
     best = scored.groupBy(label).agg(F.min_by(F.struct("l3_id", "sim"), F.struct(-F.round("sim", 9), F.col("l3_id"))).alias("b"))
     return best.select(label, "b.l3_id", "b.sim")
 

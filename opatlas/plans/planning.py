@@ -54,7 +54,7 @@ def choose(method: str, n: int) -> Choice:
         "count": ((BLOCK_CANDIDATES, "block"), (None, "join")),
         "mixtures": ((HELD_POINTS, "by_model"), (None, "by_points")),
         "cosine": ((None, "index"),),
-        "fuzzy": ((BROADCAST_ROWS, "broadcast"), (None, "blocked")),
+        "fuzzy": ((BROADCAST_ROWS, "blocks"), (None, "refused")),
     }
     for most, name in ladders[method]:
         if most is None or n <= most:
@@ -71,3 +71,15 @@ def with_each(rows: DataFrame, model: DataFrame, limit: int = BROADCAST_ROWS) ->
         raise ValueError(f"the model side has more than {limit} rows")
     listed = model.agg(F.collect_list(F.struct(*model.columns)).alias("_each")).withColumn("_one", F.lit(1))
     return rows.withColumn("_one", F.lit(1)).join(F.broadcast(listed), "_one").select(*rows.columns, F.inline("_each"))
+
+
+def with_blocks(rows: DataFrame, model: DataFrame, block: int = 5_000, limit: int = BROADCAST_ROWS) -> DataFrame:
+    """As ``with_each``, with the table in arrays of about ``block`` rows, so that a row never carries all of a larger one."""
+    model = cut(model)
+    if not small(model, limit):
+        raise ValueError(f"the model side has more than {limit} rows")
+    blocks = max(1, -(-model.count() // block))
+    at = F.pmod(F.xxhash64(*model.columns), F.lit(blocks)).cast("int")
+    listed = model.groupBy(at.alias("_block")).agg(F.collect_list(F.struct(*model.columns)).alias("_each"))
+    asked = rows.withColumn("_block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    return asked.join(F.broadcast(listed), "_block").select(*rows.columns, F.inline("_each"))

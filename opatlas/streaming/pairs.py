@@ -5,13 +5,15 @@ Streams have columns ts, event_id, user_id, event_type. Batch twins are in ``que
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.itemsets import least_count
+from ..operators.itemsets import enumerate_all, least_count
+from ..session import shared_dir
 
 
 def tumble(events: DataFrame, *, watermark: str = "1 hour", window: str = "1 day") -> DataFrame:
@@ -80,31 +82,56 @@ def neighbour_pairs(events: DataFrame) -> DataFrame:
 class IncrementalSupport:
     """Counts of all sets up to ``k`` items, kept up over micro-batches by ``foreachBatch``.
 
-    Records must arrive whole. Counts are additive, so each batch adds its own; ``border`` says
-    which sets crossed the threshold since the last batch, the only ones to mine anew above k.
-    The kept table is sets by count: bounded by items to the k.
+    Records must arrive whole. Counts are a table in ``path`` (else in the shared folder), in one
+    version for each batch: those of the version before and the batch's own, added by set; the
+    empty set counts the records. A version stands once it is written whole, so a batch that
+    failed is done anew and one that is delivered again changes nothing, after a restart on the
+    same ``path`` too. Batch ids must rise, as those of a stream do. Only frequent sets come to
+    the driver. ``border`` says which sets crossed the threshold by the last batch, the only ones
+    to mine anew above ``k``.
     """
 
-    def __init__(self, spark, min_support: str = "0.05", k: int = 2) -> None:
+    def __init__(self, spark: SparkSession, min_support: str = "0.05", k: int = 2, path: str | None = None) -> None:
         self.spark, self.min_support, self.k = spark, min_support, k
-        self.counts: dict[tuple[str, ...], int] = {}
-        self.n, self.seen = 0, set()
-        self.border: set[tuple[str, ...]] = set()
+        self.path = path or f"{shared_dir(spark).rstrip('/')}/support-{uuid.uuid4().hex}"
+
+    def _folder(self, name: str):
+        """A path below the table's and its file system, whichever that is."""
+        found = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}")
+        return found, found.getFileSystem(self.spark._jsparkSession.sessionState().newHadoopConf())
+
+    def versions(self) -> list[int]:
+        """The batches whose counts are written whole; older ones than the last two are removed."""
+        marks, files = self._folder("*/_SUCCESS")
+        return sorted(int(x.getPath().getParent().getName()) for x in files.globStatus(marks) or ())
+
+    def _frequent(self, version: int) -> dict[tuple[str, ...], int]:
+        counts = self.spark.read.parquet(f"{self.path}/{version}")
+        n = counts.where(F.size("items") == 0).first().freq
+        least = least_count(self.min_support, n) if n else 1
+        return {tuple(r["items"]): r.freq for r in counts.where((F.size("items") > 0) & (F.col("freq") >= least)).collect()}
 
     def frequent(self) -> dict[tuple[str, ...], int]:
-        least = least_count(self.min_support, self.n) if self.n else 1
-        return {s: c for s, c in self.counts.items() if c >= least}
+        done = self.versions()
+        return self._frequent(done[-1]) if done else {}
+
+    @property
+    def border(self) -> set[tuple[str, ...]]:
+        done = self.versions()
+        before = set(self._frequent(done[-2])) if len(done) > 1 else set()
+        return before ^ set(self.frequent())
 
     def add(self, batch: DataFrame, batch_id: int) -> None:
         """One micro-batch of records (items); a batch that is delivered again is not counted again."""
-        if batch_id in self.seen:
+        done = self.versions()
+        if done and batch_id <= done[-1]:
             return
-        from ..operators.itemsets import enumerate_all
-
-        before = set(self.frequent())
-        for r in enumerate_all(batch.select("items"), self.k).collect():  # sets, not records
-            key = tuple(r["items"])
-            self.counts[key] = self.counts.get(key, 0) + int(r.freq)
-        self.n += batch.count()
-        self.seen.add(batch_id)
-        self.border = before ^ set(self.frequent())
+        rows = batch.select("items")
+        own = enumerate_all(rows, self.k).select("items", "freq")
+        both = own.unionByName(rows.agg(F.array().cast("array<string>").alias("items"), F.count("*").alias("freq")))
+        if done:
+            both = both.unionByName(batch.sparkSession.read.parquet(f"{self.path}/{done[-1]}"))
+        both.groupBy("items").agg(F.sum("freq").alias("freq")).write.mode("overwrite").parquet(f"{self.path}/{batch_id}")
+        for old in done[:-1]:
+            folder, files = self._folder(str(old))
+            files.delete(folder, True)

@@ -302,6 +302,26 @@ def test_fuzzy_finds_itself(spark, shaped):
         assert got.where("l3_id <> want").count() == 0, how
 
 
+def test_fuzzy_compares_with_all_functions_of_a_large_taxonomy(spark):
+    names = [f"fn {i:05d}" for i in range(5_200)] + ["zq"]
+    tax = spark.createDataFrame(list(enumerate(names)), "l3_id long, l3 string")
+    asked = ["qz", "fn 00017x", "zzq"]  # the first shares no pair of characters with any function
+
+    def edit(a, b):
+        row = list(range(len(b) + 1))
+        for i, x in enumerate(a, 1):
+            last, row = row, [i]
+            for j, y in enumerate(b, 1):
+                row.append(min(last[j] + 1, row[-1] + 1, last[j - 1] + (x != y)))
+        return row[-1]
+
+    got = {r.raw_label: r for r in labelling.fuzzy(spark.createDataFrame([(x,) for x in asked], "raw_label string"), tax).collect()}
+    for x in asked:
+        sims = [1 - edit(x, y) / max(len(x), len(y)) for y in names]
+        best = max(range(len(names)), key=lambda i: (round(sims[i], 9), -i))
+        assert got[x].l3_id == best and abs(got[x].sim - sims[best]) < 1e-9
+
+
 def test_providers_by_words(spark):
     tax = spark.createDataFrame([(1, "clean", "mask", "cloud mask"), (2, "clean", "clip", "clip image"), (3, "show", "map", "add layer")], "l3_id long, l1 string, l2 string, l3 string")
     items = spark.createDataFrame([(1, "mask the cloud"), (2, "add a layer to the map"), (3, "nothing alike"), (4, None)], "item_id long, text string")

@@ -97,3 +97,22 @@ def test_incremental_support_equals_batch(spark):
     kept.add(rec.where("p = 0"), 0)  # delivered twice
     want = {tuple(r["items"]): r.freq for r in itemsets.apriori(rec, "0.05", max_k=2).combos.collect()}
     assert kept.frequent() == want
+    assert kept.border <= set(want) | set(kept._frequent(1))
+    # another driver on the same table goes on from there
+    again = streams.IncrementalSupport(spark, "0.05", 2, kept.path)
+    again.add(rec.where("p = 1"), 1)
+    assert again.frequent() == want and again.versions() == [1, 2]
+
+
+def test_incremental_support_of_nothing_and_of_a_failed_batch(spark):
+    kept = streams.IncrementalSupport(spark, "0.5", 2)
+    assert kept.frequent() == {} and kept.border == set()
+    none = spark.createDataFrame([], "rec_id long, items array<string>")
+    kept.add(none, 0)
+    assert kept.frequent() == {} and kept.versions() == [0]
+    # what a failed batch left without its mark is written anew
+    spark.createDataFrame([(["z"], 9)], "items array<string>, freq long").write.option("mapreduce.fileoutputcommitter.marksuccessfuljobs", "false").parquet(f"{kept.path}/1")
+    assert kept.versions() == [0]
+    kept.add(spark.createDataFrame([(1, ["a", "b"]), (2, ["a"])], "rec_id long, items array<string>"), 1)
+    assert kept.frequent() == {("a",): 2, ("b",): 1, ("a", "b"): 1}
+    assert kept.border == set(kept.frequent())
