@@ -43,6 +43,7 @@ from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
 from ..operators.components import components
+from ..plans.planning import BROADCAST_ROWS
 from ..session import cut
 from .common import map_batches, packed
 
@@ -233,7 +234,9 @@ def _nodes(docs: DataFrame) -> DataFrame:
 
 def verified(pairs: DataFrame, texts: DataFrame, docs: DataFrame, k: int = NEAR_SHINGLE, similarity: float = NEAR) -> DataFrame:
     """Those of ``pairs`` (lo, hi: numbers in ``texts``) whose shingle sets are similar; only texts in a pair are read into sets."""
-    need = pairs.select(F.explode(F.array("lo", "hi")).alias("v")).distinct().join(texts.select("v", "node"), "v")
+    # where they are few, by count, all other texts stay where they are; else both sides are exchanged
+    need = cut(pairs.select(F.explode(F.array("lo", "hi")).alias("v")).distinct().join(texts.select("v", "node"), "v"))
+    need = F.broadcast(need) if need.count() <= BROADCAST_ROWS else need
     # a text once, whatever its copies: those of its smallest id are few
     read = _nodes(docs).select("node", "text").join(need, "node").dropDuplicates(["v"])
     sets = cut(map_batches(read.select("v", "text"), partial(_set_work, k), "v long, shingles array<long>"))
