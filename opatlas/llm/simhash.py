@@ -17,7 +17,8 @@ candidates come from fingerprints of parts: shingles are sampled by their hash a
 follows the text's length and dealt into ``GROUPS`` groups, and texts of like length that agree
 in all of a group meet. At the least similarity two texts miss each other in all groups with a
 chance of 0.3 % or less, and of far less above it. Candidates within ``NEAR_BITS`` bits of each
-other are verified exactly on their whole sets. In each bucket all members are verified against
+other, whose smallest shingles by ``BINS`` ranges of the hash differ in at most ``BIN_BITS`` bits (one
+bit kept of each), are verified exactly on their whole sets. In each bucket all members are verified against
 its ``HUBS`` most central ones, those that share most keys with most texts; in buckets of up to
 ``CROWD`` members all pairs that are not yet connected are verified too. So a large group of near
 copies makes no pairs within itself. What that can miss is a pair that meets in crowded buckets
@@ -62,6 +63,10 @@ SAMPLED = 24
 HUBS = 4
 #: Candidates differ in no more bits: 3.6 standard deviations above the mean of pairs at the least similarity.
 NEAR_BITS = 20
+#: Ranges of the hash whose smallest shingle leaves one bit, and in how many candidates differ at most. Each differs
+#: with a chance of (1 - similarity) / 2, so 26 of 256 at the least similarity, and 3.6 standard deviations more.
+BINS = 256
+BIN_BITS = 43
 _CHUNK = 1 << 15
 
 
@@ -204,16 +209,26 @@ def bucket_keys(shingles: np.ndarray, similarity: float = NEAR) -> np.ndarray:
     return np.concatenate(out)
 
 
+def bin_bits(shingles: np.ndarray) -> np.ndarray:
+    """One bit of the smallest shingle in each range of the hash (none: 0), as BINS / 64 longs; ``shingles`` are in order."""
+    width = np.uint64(64 - int(math.log2(BINS)))
+    used, first = np.unique(shingles >> width, return_index=True)
+    bits = np.zeros(BINS, np.uint8)
+    bits[used.astype(np.int64)] = _mix(shingles[first]) & np.uint64(1)
+    return np.packbits(bits, bitorder="little").view("<i8")
+
+
 def _near_work(k: int, similarity: float):
     def of(batch: pa.RecordBatch) -> pa.RecordBatch:
-        fps, sizes, keys = [], [], []
+        fps, sizes, keys, bins = [], [], [], []
         for text in batch.column("text").to_pylist():
             s = shingle_set(text, k)
             fps.append(_majority([s]))
             sizes.append(len(s))
             keys.append(bucket_keys(s, similarity).view(np.int64))
+            bins.append(bin_bits(s))
         lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum([len(x) for x in keys])]), pa.int32()), pa.array(np.concatenate([np.zeros(0, np.int64), *keys])))
-        return pa.RecordBatch.from_arrays([batch.column("node"), batch.column("doc_id"), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(sizes, pa.int64()), lists], ["node", "doc_id", "fp", "n", "keys"])
+        return pa.RecordBatch.from_arrays([batch.column("node"), batch.column("doc_id"), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(sizes, pa.int64()), lists, pa.array(bins, pa.list_(pa.int64()))], ["node", "doc_id", "fp", "n", "keys", "bins"])
 
     return of
 
@@ -248,20 +263,23 @@ def verified(pairs: DataFrame, texts: DataFrame, docs: DataFrame, k: int = NEAR_
 
 def near_groups(docs: DataFrame, shingle: int = NEAR_SHINGLE, similarity: float = NEAR) -> DataFrame:
     """node, id (its smallest doc_id) and root of every different text: texts linked by near copies share a root."""
-    prints = map_batches(_nodes(docs), partial(_near_work, shingle, similarity), "node string, doc_id long, fp long, n long, keys array<long>")
-    texts = prints.groupBy("node").agg(F.min("doc_id").alias("id"), F.min("fp").alias("fp"), F.min("n").alias("n"), F.min("keys").alias("keys"))
+    prints = map_batches(_nodes(docs), partial(_near_work, shingle, similarity), "node string, doc_id long, fp long, n long, keys array<long>, bins array<long>")
+    texts = prints.groupBy("node").agg(F.min("doc_id").alias("id"), F.min("fp").alias("fp"), F.min("n").alias("n"), F.min("keys").alias("keys"), F.min("bins").alias("bins"))
     # numbers are fixed by the checkpoint
     texts = cut(_spread(texts, "node").withColumn("v", F.monotonically_increasing_id()))
     size = F.count("*").over(Window.partitionBy("key"))
-    shared = cut(texts.select("v", "fp", "n", F.explode("keys").alias("key")).withColumn("c", size).where("c > 1"))
+    # most keys are a text's own: what is compared follows only those that are not
+    met = texts.select("v", F.explode("keys").alias("key")).withColumn("c", size).where("c > 1")
+    shared = cut(met.join(texts.select("v", "fp", "n", "bins"), "v"))
     pair = [F.least("v", "w").alias("lo"), F.greatest("v", "w").alias("hi")]
 
     def near(a: str, b: str) -> Column:
         bits = F.bit_count(F.col("fp" + a).bitwiseXOR(F.col("fp" + b))) <= NEAR_BITS
-        return bits & (F.least("n" + a, "n" + b) >= F.lit(similarity) * F.greatest("n" + a, "n" + b) - 1e-9)
+        apart = F.aggregate(F.zip_with("bins" + a, "bins" + b, lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda x, y: x + y)
+        return bits & (apart <= BIN_BITS) & (F.least("n" + a, "n" + b) >= F.lit(similarity) * F.greatest("n" + a, "n" + b) - 1e-9)
 
     central = shared.groupBy(F.col("v").alias("w")).agg(F.sum("c").alias("score"))
-    members = shared.select("key", F.col("v").alias("w"), F.col("fp").alias("fpw"), F.col("n").alias("nw")).join(central, "w")
+    members = shared.select("key", F.col("v").alias("w"), F.col("fp").alias("fpw"), F.col("n").alias("nw"), F.col("bins").alias("binsw")).join(central, "w")
     rank = F.row_number().over(Window.partitionBy("key").orderBy(F.desc("score"), "w"))
     hubs = members.withColumn("r", rank).where(F.col("r") <= HUBS).drop("score", "r")
     first = cut(shared.join(hubs, "key").where((F.col("v") != F.col("w")) & near("", "w")).select(*pair).distinct())
@@ -269,8 +287,8 @@ def near_groups(docs: DataFrame, shingle: int = NEAR_SHINGLE, similarity: float
     found = components(edges)
 
     # in small buckets, what shares one but no component yet
-    placed = shared.where(F.col("c") <= CROWD).join(found, F.col("v") == F.col("node"), "left").select("key", "v", "fp", "n", F.coalesce("root", "v").alias("root"))
-    other = placed.select("key", *(F.col(c).alias({"v": "w"}.get(c, c + "w")) for c in ("v", "fp", "n", "root")))
+    placed = shared.where(F.col("c") <= CROWD).join(found, F.col("v") == F.col("node"), "left").select("key", "v", "fp", "n", "bins", F.coalesce("root", "v").alias("root"))
+    other = placed.select("key", *(F.col(c).alias({"v": "w"}.get(c, c + "w")) for c in ("v", "fp", "n", "bins", "root")))
     apart = (F.col("v") < F.col("w")) & (F.col("root") != F.col("rootw"))
     cross = cut(placed.join(other, "key").where(apart & near("", "w")).select(*pair).distinct().join(first, ["lo", "hi"], "left_anti"))
     more = verified(cross, texts, docs, shingle, similarity)
