@@ -357,3 +357,39 @@ def test_records_units(spark):
     assert sorted(tuple(r["items"]) for r in records.make(p, "pair").collect()) == [("a", "b"), ("a", "b"), ("a", "c"), ("b",)]
     w = records.compress(records.make(p, "pair"))
     assert w.agg(F.sum("w")).first()[0] == 4 and w.count() == 3
+
+
+def test_wrong_labels_are_drawn_by_place(spark):
+    """No row carries a list of functions, and labels are those of lists made here, names repeated or not."""
+    import hashlib
+
+    def noise(*parts):
+        return int(hashlib.md5("|".join(map(str, parts)).encode()).hexdigest()[:8], 16) / 2**32
+
+    tax = [(3 * n, f"s{n % 3}", f"g{n % 7 % 2}", f"Name#{n % 50:03d}") for n in range(80)]
+    items = [(f"i{n}", 3 * (n % 80)) for n in range(120)]
+    got = labelling.seeded(spark.createDataFrame(items, "item_id string, truth long"), spark.createDataFrame(tax, "l3_id long, l1 string, l2 string, l3 string"))
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert "collect_list(l3_id" not in plan
+    by_id, want = {t[0]: t for t in tax}, set()
+    for item, truth in items:
+        _, l1, l2, own = by_id[truth]
+        for m in labelling.MODELS:
+            for r in range(1, labelling.RUNS + 1):
+                name = own
+                if 0.4 * noise(item, "d") + 0.3 * noise(item, m) + 0.3 * noise(item, m, r) < labelling.ERROR[m]:
+                    where = noise(item, m, r, "where")
+                    pool = [t[3] for t in tax if where >= 0.8 or t[1] == l1 and (where >= 0.5 or t[2] == l2)]
+                    name = pool[int(noise(item, m, r, "pick") * len(pool))]
+                if noise(item, m, r, "spell") < 0.1:
+                    name = name[:3].lower() + name[4:]
+                want.add((item, m, r, name))
+    rows = [tuple(x) for x in got.select("item_id", "model", "run", "raw_label").collect()]
+    assert len(rows) == len(want) and set(rows) == want
+
+
+def test_names_that_repeat_are_compared_once(spark):
+    tax = spark.createDataFrame([(9, "Alpha"), (4, "Alpha"), (5, "Beta")], "l3_id long, l3 string")
+    lost = spark.createDataFrame([("alha",), ("beta",)], "raw_label string")
+    got = {r.raw_label: r.l3_id for r in labelling.fuzzy(lost, tax).collect()}
+    assert got == {"alha": 4, "beta": 5}
