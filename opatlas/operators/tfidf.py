@@ -112,6 +112,24 @@ def weights(tok: DataFrame, scope: str = "statement", form: str = "paper", terms
     return tf(tok, scope).select("stmt_id", "term", "tf").join(maybe_broadcast(v), "term").select("stmt_id", "term", (F.col("tf") * F.col("idf")).alias("w"))
 
 
+def summed(tok: DataFrame, by: str, form: str = "paper") -> DataFrame:
+    """by, term, w: ``weights`` summed over the statements of each value of ``by``, a column of ``tok``.
+
+    Statements are read once, and what moves is a partial sum of each term: its shares, the
+    statements that have it, and the statements in all.
+    """
+    ordered = tok.select(by, "w", F.array_sort("tok").alias("o"))
+    # in order, a term's first place is where the one before differs
+    marked = F.transform("o", lambda x, i: F.struct(x.alias("term"), (i == 0).alias("head"), ((i == 0) | (F.get("o", i - 1) != x)).alias("once")))
+    rows = ordered.select(by, "w", F.size("o").alias("n"), F.inline_outer(marked))
+    head = F.coalesce("head", F.lit(True))  # a statement without a token counts too
+    part = cut(rows.groupBy(by, "term").agg(F.sum(F.try_divide(F.lit(1.0), "n")).alias("s"), F.sum(F.when(F.col("once"), F.col("w"))).alias("d"), F.sum(F.when(head, F.col("w"))).alias("h")))
+    total = part.agg(F.coalesce(F.sum("h"), F.lit(0))).first()[0]
+    seen = part.where("term IS NOT NULL").groupBy("term").agg(F.sum("d").alias("n_t"))
+    ratio = {"paper": F.lit(total) / (1 + F.col("n_t")), "smooth": F.lit(total + 1) / (1 + F.col("n_t"))}[form]
+    return part.join(maybe_broadcast(seen.select("term", F.log(ratio).alias("idf"))), "term").select(by, "term", (F.col("s") * F.col("idf")).alias("w"))
+
+
 def normed(tok: DataFrame, form: str = "paper", terms: DataFrame | None = None) -> DataFrame:
     """stmt_id, term, w over the statement's length: ``l2`` of ``weights``, in the row where the vocabulary allows it."""
     v = cut((idf(tok, form) if terms is None else terms).select("term", "idf"))

@@ -393,3 +393,13 @@ def test_names_that_repeat_are_compared_once(spark):
     lost = spark.createDataFrame([("alha",), ("beta",)], "raw_label string")
     got = {r.raw_label: r.l3_id for r in labelling.fuzzy(lost, tax).collect()}
     assert got == {"alha": 4, "beta": 5}
+
+
+def test_summed_weights_move_no_statement(spark):
+    texts = [(0, "a b b"), (0, "a c"), (1, "b c c d"), (1, "d"), (None, "a"), (1, "")]
+    s = spark.createDataFrame([(str(i), c, t) for i, (c, t) in enumerate(texts)], "stmt_id string, cluster long, text string")
+    tok = tfidf.tokens(s).join(s.select("stmt_id", "cluster"), "stmt_id")
+    long = tfidf.weights(tfidf.tokens(s)).join(s, "stmt_id").groupBy("cluster", "term").agg(F.sum("w").alias("w"))
+    of = lambda df: {(r.cluster, r.term): r.w for r in df.collect()}
+    got, want = of(tfidf.summed(tok, "cluster")), of(long)
+    assert got.keys() == want.keys() and all(got[k] == pytest.approx(want[k]) for k in want)
