@@ -395,6 +395,28 @@ def test_names_that_repeat_are_compared_once(spark):
     assert got == {"alha": 4, "beta": 5}
 
 
+def test_all_pairs_stay_off_spark_and_in_blocks(spark, monkeypatch):
+    rng = np.random.default_rng(5)
+    monkeypatch.setattr(tsne, "BLOCK", 16)
+    x = rng.normal(size=(50, 3))
+    pts = spark.createDataFrame([(i, [float(v) for v in r]) for i, r in enumerate(x)], "vec_id long, embedding array<double>")
+    p = tsne.exact_affinities(x, 6.0)
+    want = tsne.symmetrize(tsne.conditional(vectors.neighbours(pts, 49), 6.0), 50).toPandas()
+    assert np.allclose(p[want["i"], want["j"]], want["p"], atol=1e-6) and p.sum() == pytest.approx(1) and not p.diagonal().any()
+    y = rng.normal(size=(50, 2))
+    w = 1 / (1 + ((y[:, None] - y) ** 2).sum(2))
+    np.fill_diagonal(w, 0)
+    m = (2 * p - w / w.sum()) * w
+    assert np.allclose(tsne.exact_gradient(p)(y, 2.0), 4 * (m.sum(1)[:, None] * y - m @ y))
+
+    def refuse(*a, **k):
+        raise AssertionError("all pairs of points as rows")
+
+    monkeypatch.setattr(tsne, "neighbours", refuse)
+    assert tsne.fit(pts, 6.0, 20, method="landmark", landmarks=40).count() == 50
+    assert tsne.fit(pts.limit(1), 6.0, 20, method="exact").count() == 1
+
+
 def test_summed_weights_move_no_statement(spark):
     texts = [(0, "a b b"), (0, "a c"), (1, "b c c d"), (1, "d"), (None, "a"), (1, "")]
     s = spark.createDataFrame([(str(i), c, t) for i, (c, t) in enumerate(texts)], "stmt_id string, cluster long, text string")
