@@ -425,3 +425,26 @@ def test_summed_weights_move_no_statement(spark):
     of = lambda df: {(r.cluster, r.term): r.w for r in df.collect()}
     got, want = of(tfidf.summed(tok, "cluster")), of(long)
     assert got.keys() == want.keys() and all(got[k] == pytest.approx(want[k]) for k in want)
+
+
+def test_kernel_totals_of_blocks(spark):
+    """The sums that symmetric affinities of some points need are those over all pairs, whatever the blocks."""
+    rng = np.random.default_rng(3)
+    rows = [(i, [float(x) for x in rng.normal(size=5)], i % 3) for i in range(90)] + [(7, [0.5] * 5, 1), (90, [1.0] * 5, 3), (91, None, 0), (92, [1.0] * 5, None)]
+    points = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int")
+    known = [(i, np.array(v, np.float32).astype(float), c) for i, v, c in rows if v is not None and c is not None]
+    want = {}
+    for i, v, c in known:
+        want[i] = want.get(i, 0.0) + sum(float(np.exp(-((v - w) ** 2).sum() / 8)) for j, w, d in known if c == d and i != j)
+    for block in (4, 1000):
+        got = {r.i: r.t for r in tsne.kernel_totals(points, 2.0, block=block).collect()}
+        assert got == pytest.approx(want)
+
+
+def test_symmetric_affinities_of_some_points(spark):
+    rng = np.random.default_rng(4)
+    pts = spark.createDataFrame([(i, [float(x) for x in rng.normal(size=4)], 0) for i in range(40)], "vec_id long, embedding array<double>, label int")
+    near = vectors.neighbours(pts, 39)
+    whole = {(r.i, r.j): r.p for r in tsne.symmetrize(tsne.conditional_fixed(near, 1.5), 40).collect()}
+    got = {(r.i, r.j): r.p for r in tsne.symmetric_fixed(near.where("i % 10 = 0"), tsne.kernel_totals(pts, 1.5, block=9), 40, 1.5).collect()}
+    assert got == pytest.approx({k: p for k, p in whole.items() if k[0] % 10 == 0})
