@@ -19,10 +19,10 @@ in all of a group meet. At the least similarity two texts miss each other in all
 chance of 0.3 % or less, and of far less above it. Candidates within ``NEAR_BITS`` bits of each
 other, whose smallest shingles by ``BINS`` ranges of the hash differ in at most ``BIN_BITS`` bits (one
 bit kept of each), are verified exactly on their whole sets. In each bucket all members are verified against
-its ``HUBS`` most central ones, those that share most keys with most texts; in buckets of up to
-``CROWD`` members all pairs that are not yet connected are verified too. So a large group of near
-copies makes no pairs within itself. What that can miss is a pair that meets in crowded buckets
-only and is tied neither by a hub nor by a third text; the README gives the measured recall.
+its ``HUBS`` most central ones, those that share most keys with most texts; then all pairs of a
+bucket that are not yet connected are verified too, in blocks of ``BLOCK`` members where it has more
+than ``CROWD``. So a large group of near copies makes no pairs within itself, and a bucket's size
+loses no pair; what can be missed is a pair that shares no key or is sifted.
 
 Defined results: null and empty texts have fingerprint zero and no shingles and link like any
 other; equal fingerprints (texts) always link, so copies are reduced to one vertex first;
@@ -61,6 +61,8 @@ GROUPS = 16
 SAMPLED = 24
 #: Members of a bucket that all others are verified against.
 HUBS = 4
+#: Members of a crowded bucket in a block.
+BLOCK = 1024
 #: Candidates differ in no more bits: 3.6 standard deviations above the mean of pairs at the least similarity.
 NEAR_BITS = 20
 #: Ranges of the hash whose smallest shingle leaves one bit, and in how many candidates differ at most. Each differs
@@ -286,11 +288,23 @@ def near_groups(docs: DataFrame, shingle: int = NEAR_SHINGLE, similarity: float
     edges = verified(first, texts, docs, shingle, similarity)
     found = components(edges)
 
-    # in small buckets, what shares one but no component yet
-    placed = shared.where(F.col("c") <= CROWD).join(found, F.col("v") == F.col("node"), "left").select("key", "v", "fp", "n", "bins", F.coalesce("root", "v").alias("root"))
-    other = placed.select("key", *(F.col(c).alias({"v": "w"}.get(c, c + "w")) for c in ("v", "fp", "n", "bins", "root")))
-    apart = (F.col("v") < F.col("w")) & (F.col("root") != F.col("rootw"))
-    cross = cut(placed.join(other, "key").where(apart & near("", "w")).select(*pair).distinct().join(first, ["lo", "hi"], "left_anti"))
+    # what shares a bucket but no component yet; a crowded bucket is cut into blocks, and each two of them meet once
+    placed = shared.join(found, F.col("v") == F.col("node"), "left").select("key", "c", "v", "fp", "n", "bins", F.coalesce("root", "v").alias("root"))
+    other = lambda df: df.select("key", *(F.col(c).alias(c + "w") for c in ("fp", "n", "bins", "root")), F.col("v").alias("w"))
+    small = placed.where(F.col("c") <= CROWD)
+    apart = F.col("root") != F.col("rootw")
+    light = small.join(other(small), "key").where((F.col("v") < F.col("w")) & apart & near("", "w")).select(*pair)
+    crowded = cut(placed.where(F.col("c") > CROWD))
+    # a bucket within one component has nothing to compare
+    split = crowded.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 < r1").select("key")
+    dealt = crowded.join(split, "key").withColumn("_n", F.ceil(F.col("c") / BLOCK).cast("int")).withColumn("_b", F.pmod(F.xxhash64("v"), F.col("_n")).cast("int"))
+    at = lambda i, j: F.struct("key", F.col(i).alias("i"), F.col(j).alias("j")).alias("key")
+    rest = ("v", "fp", "n", "bins", "root")
+    left = dealt.withColumn("_o", F.explode(F.sequence("_b", F.col("_n") - 1))).select(at("_b", "_o"), *rest)
+    right = dealt.withColumn("_o", F.explode(F.sequence(F.lit(0), "_b"))).select(at("_o", "_b"), *rest)
+    once = (F.col("key.i") < F.col("key.j")) | (F.col("v") < F.col("w"))
+    heavy = left.join(other(right), "key").where(once & apart & near("", "w")).select(*pair)
+    cross = cut(light.unionByName(heavy).distinct().join(first, ["lo", "hi"], "left_anti"))
     more = verified(cross, texts, docs, shingle, similarity)
     found = components(found.select(F.col("root").alias("lo"), F.col("node").alias("hi")).unionByName(more))
     rooted = texts.select("node", "id", "v").join(found.withColumnRenamed("node", "_v"), F.col("v") == F.col("_v"), "left")

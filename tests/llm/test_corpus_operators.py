@@ -268,6 +268,23 @@ def test_near_groups_of_edited_texts(spark):
     assert groups_of(docs) == near_by_hand(texts)
 
 
+@pytest.mark.parametrize("hubs", [1, 0])
+def test_near_groups_of_crowded_buckets(spark, monkeypatch, hubs):
+    """A pair is found whatever the size of its bucket, also where no hub and no third text ties it."""
+    monkeypatch.setattr(simhash, "CROWD", 1)
+    monkeypatch.setattr(simhash, "HUBS", hubs)
+    monkeypatch.setattr(simhash, "BLOCK", 5)
+    rng = random.Random(12)
+    pool, texts = [f"w{i}" for i in range(3000)], {}
+    for _ in range(12):
+        w = rng.choices(pool, k=120)
+        for _ in range(8):
+            texts[len(texts)] = " ".join(w)
+            w[rng.randrange(len(w))] = rng.choice(pool)
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string").repartition(5)
+    assert groups_of(docs) == near_by_hand(texts)
+
+
 @pytest.mark.parametrize("crowd", [simhash.CROWD, 3, 0])
 def test_links_of_random_fingerprints(spark, monkeypatch, crowd):
     """Chains and crowds of near fingerprints, by either way of linking a cell."""
