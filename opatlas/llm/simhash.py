@@ -20,9 +20,11 @@ chance of 0.3 % or less, and of far less above it. Candidates within ``NEAR_BITS
 other, whose smallest shingles by ``BINS`` ranges of the hash differ in at most ``BIN_BITS`` bits (one
 bit kept of each), are verified exactly on their whole sets. In each bucket all members are verified against
 its ``HUBS`` most central ones, those that share most keys with most texts; then all pairs of a
-bucket that are not yet connected are verified too, in blocks of ``BLOCK`` members where it has more
-than ``CROWD``. So a large group of near copies makes no pairs within itself, and a bucket's size
-loses no pair; what can be missed is a pair that shares no key or is sifted.
+bucket that are not yet connected are verified too. Where a bucket has more than ``CROWD`` members, they
+are dealt into blocks, and a task compares all texts of two blocks on their whole sets, unsifted, and gives
+back only links that connect what was not connected before them: rows follow the texts, while
+the comparisons within tasks still follow the pairs. So a large group makes no pairs as rows, and a
+bucket's size loses no pair; what can be missed is a pair that shares no key or, in a bucket that is not crowded, is sifted.
 
 Defined results: null and empty texts have fingerprint zero and no shingles and link like any
 other; equal fingerprints (texts) always link, so copies are reduced to one vertex first;
@@ -61,8 +63,12 @@ GROUPS = 16
 SAMPLED = 24
 #: Members of a bucket that all others are verified against.
 HUBS = 4
-#: Members of a crowded bucket in a block.
+#: Members of crowded buckets in a block, and about how many shingles they have at most.
 BLOCK = 1024
+BLOCK_SHINGLES = 1 << 20
+#: A shingle that more pairs of two blocks share is counted by a matrix product; pairs of other shingles at once.
+DENSE = 4096
+_PAIRS = 1 << 22
 #: Candidates differ in no more bits: 3.6 standard deviations above the mean of pairs at the least similarity.
 NEAR_BITS = 20
 #: Ranges of the hash whose smallest shingle leaves one bit, and in how many candidates differ at most. Each differs
@@ -249,20 +255,128 @@ def _nodes(docs: DataFrame) -> DataFrame:
     return docs.select(F.md5(text).alias("node"), F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"))
 
 
-def verified(pairs: DataFrame, texts: DataFrame, docs: DataFrame, k: int = NEAR_SHINGLE, similarity: float = NEAR) -> DataFrame:
-    """Those of ``pairs`` (lo, hi: numbers in ``texts``) whose shingle sets are similar; only texts in a pair are read into sets."""
+def _sets(need: DataFrame, docs: DataFrame, k: int) -> DataFrame:
+    """v and shingles of the texts in ``need`` (v, node); only those are read into sets."""
     # where they are few, by count, all other texts stay where they are; else both sides are exchanged
-    need = cut(pairs.select(F.explode(F.array("lo", "hi")).alias("v")).distinct().join(texts.select("v", "node"), "v"))
+    need = cut(need)
     need = F.broadcast(need) if need.count() <= BROADCAST_ROWS else need
     # a text once, whatever its copies: those of its smallest id are few
     read = _nodes(docs).select("node", "text").join(need, "node").dropDuplicates(["v"])
-    sets = cut(map_batches(read.select("v", "text"), partial(_set_work, k), "v long, shingles array<long>"))
+    return map_batches(read.select("v", "text"), partial(_set_work, k), "v long, shingles array<long>")
+
+
+def verified(pairs: DataFrame, texts: DataFrame, docs: DataFrame, k: int = NEAR_SHINGLE, similarity: float = NEAR) -> DataFrame:
+    """Those of ``pairs`` (lo, hi: numbers in ``texts``) whose shingle sets are similar."""
+    need = pairs.select(F.explode(F.array("lo", "hi")).alias("v")).distinct().join(texts.select("v", "node"), "v")
+    sets = cut(_sets(need, docs, k))
     a, b = sets.select(F.col("v").alias("lo"), F.col("shingles").alias("sa")), sets.select(F.col("v").alias("hi"), F.col("shingles").alias("sb"))
     both = F.size(F.array_intersect("sa", "sb"))
     alike = (both >= F.lit(similarity) * (F.size("sa") + F.size("sb") - both) - 1e-9).alias("alike")
     return cut(pairs.join(a, "lo").join(b, "hi").select("lo", "hi", alike).where("alike").select("lo", "hi"))
 
 
+def shared_counts(na: np.ndarray, sa: np.ndarray, nb: np.ndarray, sb: np.ndarray) -> np.ndarray:
+    """How many shingles each set of one block shares with each of another: sizes, and the shingles of all sets in order."""
+    common = np.intersect1d(sa, sb)
+    out = np.zeros((len(na), len(nb)), np.float32)
+    if not len(common):
+        return out
+
+    def postings(n: np.ndarray, s: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        at = np.minimum(np.searchsorted(common, s), len(common) - 1)
+        held = common[at] == s
+        at, rows = at[held], np.repeat(np.arange(len(n)), n)[held]
+        by = np.argsort(at, kind="stable")
+        count = np.bincount(at, minlength=len(common))
+        return rows[by], count, np.cumsum(count) - count
+
+    (ra, ca, fa), (rb, cb, fb) = postings(na, sa), postings(nb, sb)
+    pairs = ca * cb
+    dense = np.flatnonzero(pairs > DENSE)
+    for start in range(0, len(dense), 1024):
+        part = dense[start : start + 1024]
+        x, y = np.zeros((len(na), len(part)), np.float32), np.zeros((len(nb), len(part)), np.float32)
+        for m, rows, count, first in ((x, ra, ca, fa), (y, rb, cb, fb)):
+            for col, t in enumerate(part):
+                m[rows[first[t] : first[t] + count[t]], col] = 1
+        out += x @ y.T
+    rare = np.flatnonzero(pairs <= DENSE)
+    ends = np.cumsum(pairs[rare])
+    cuts = np.searchsorted(ends, np.arange(_PAIRS, (ends[-1] if len(ends) else 0) + _PAIRS, _PAIRS), side="right")
+    for part in np.split(rare, np.unique(cuts)):
+        if len(part):
+            t = np.repeat(part, pairs[part])
+            i = np.arange(len(t)) - np.repeat(np.cumsum(pairs[part]) - pairs[part], pairs[part])
+            cell = ra[fa[t] + i // cb[t]] * len(nb) + rb[fb[t] + i % cb[t]]
+            out += np.bincount(cell, minlength=out.size).reshape(out.shape)
+    return out
+
+
+def block_links(a: tuple, b: tuple, similarity: float = NEAR) -> list[tuple[int, int]]:
+    """Pairs of similar texts of two blocks, each (numbers, roots, sizes, shingles): only those that connect roots not connected before."""
+    (va, ra, na, sa), (vb, rb, nb, sb) = a, b
+    both = shared_counts(na, sa, nb, sb)
+    alike = both >= similarity * (na[:, None] + nb[None, :] - both) - 1e-9
+    x, y = np.nonzero(alike & (ra[:, None] != rb[None, :]))
+    # one pair for each two roots
+    _, first = np.unique(np.stack([np.minimum(ra[x], rb[y]), np.maximum(ra[x], rb[y])]), axis=1, return_index=True)
+    above: dict[int, int] = {}
+
+    def top(r: int) -> int:
+        while (up := above.get(r, r)) != r:
+            above[r] = above.get(up, up)
+            r = up
+        return r
+
+    out = []
+    for p, q in zip(x[first].tolist(), y[first].tolist(), strict=True):
+        r, s = top(int(ra[p])), top(int(rb[q]))
+        if r != s:
+            above[max(r, s)] = min(r, s)
+            out.append((min(int(va[p]), int(vb[q])), max(int(va[p]), int(vb[q]))))
+    return out
+
+
+def _block_work(similarity: float):
+    def members(column: pa.Array, row: int) -> tuple:
+        held = column[row].values
+        sets = held.field("shingles")
+        return held.field("v").to_numpy(), held.field("root").to_numpy(), sets.value_lengths().to_numpy().astype(np.int64), sets.flatten().to_numpy()
+
+    def of(batch: pa.RecordBatch) -> pa.RecordBatch:
+        found = [e for row in range(batch.num_rows) for e in block_links(members(batch.column("a"), row), members(batch.column("b"), row), similarity)]
+        return pa.RecordBatch.from_arrays([pa.array([e[i] for e in found], pa.int64()) for i in (0, 1)], ["lo", "hi"])
+
+    return of
+
+
+def crowd_links(crowds: DataFrame, texts: DataFrame, docs: DataFrame, k: int = NEAR_SHINGLE, similarity: float = NEAR) -> DataFrame:
+    """Links (lo, hi) that connect all similar texts with a crowded bucket in common: ``crowds`` has key, c, v, n and root of the buckets' members.
+
+    A text is dealt once, whatever its buckets, into a block of texts of its largest bucket; members of
+    a root with ``BLOCK`` of them there have blocks of their own, which need not meet each other. Blocks
+    that have a bucket in common meet in one task.
+    """
+    mine = crowds.groupBy("v").agg(F.min_by("key", F.struct(-F.col("c"), "key")).alias("main"), F.min("n").alias("n"), F.min("root").alias("root"))
+    large = mine.groupBy("main", "root").agg(F.count("*").alias("m"))
+    mine = mine.join(large, ["main", "root"]).withColumn("own", F.when(F.col("m") >= BLOCK, F.col("root")).otherwise(-1))
+    parts = F.greatest(F.ceil(F.count("*") / BLOCK), F.ceil(F.sum("n") / BLOCK_SHINGLES))
+    number = F.pmod(F.xxhash64("v"), F.col("parts"))
+    # blocks whose names are alike by chance are one block
+    dealt = mine.join(mine.groupBy("main", "own").agg(parts.alias("parts")), ["main", "own"]).select("v", "root", F.xxhash64("main", "own", number).alias("block"))
+    dealt = cut(dealt)
+    roots = dealt.groupBy("block").agg(F.min("root").alias("r0"), F.max("root").alias("r1"))
+    at = cut(crowds.select("key", "v").join(dealt.select("v", "block"), "v").select("key", "block").distinct().join(roots, "block"))
+    other = at.select("key", F.col("block").alias("j"), F.col("r0").alias("s0"), F.col("r1").alias("s1"))
+    apart = F.least("r0", "s0") < F.greatest("r1", "s1")
+    meet = at.withColumnRenamed("block", "i").join(other, "key").where((F.col("i") <= F.col("j")) & apart).select("i", "j").distinct()
+    sets = _sets(dealt.join(texts.select("v", "node"), "v").select("v", "node"), docs, k)
+    blocks = cut(sets.join(dealt, "v").groupBy("block").agg(F.collect_list(F.struct("v", "root", "shingles")).alias("members")))
+    one = lambda i, a: blocks.select(F.col("block").alias(i), F.col("members").alias(a))
+    both = meet.join(one("i", "a"), "i").join(one("j", "b"), "j").select("a", "b")
+    return cut(map_batches(both, partial(_block_work, similarity), "lo long, hi long", rows=1))
+
+
 def near_groups(docs: DataFrame, shingle: int = NEAR_SHINGLE, similarity: float = NEAR) -> DataFrame:
     """node, id (its smallest doc_id) and root of every different text: texts linked by near copies share a root."""
     prints = map_batches(_nodes(docs), partial(_near_work, shingle, similarity), "node string, doc_id long, fp long, n long, keys array<long>, bins array<long>")
@@ -288,25 +402,18 @@ def near_groups(docs: DataFrame, shingle: int = NEAR_SHINGLE, similarity: float
     edges = verified(first, texts, docs, shingle, similarity)
     found = components(edges)
 
-    # what shares a bucket but no component yet; a crowded bucket is cut into blocks, and each two of them meet once
+    # what shares a bucket but no component yet
     placed = shared.join(found, F.col("v") == F.col("node"), "left").select("key", "c", "v", "fp", "n", "bins", F.coalesce("root", "v").alias("root"))
-    other = lambda df: df.select("key", *(F.col(c).alias(c + "w") for c in ("fp", "n", "bins", "root")), F.col("v").alias("w"))
     small = placed.where(F.col("c") <= CROWD)
-    apart = F.col("root") != F.col("rootw")
-    light = small.join(other(small), "key").where((F.col("v") < F.col("w")) & apart & near("", "w")).select(*pair)
-    crowded = cut(placed.where(F.col("c") > CROWD))
+    other = small.select("key", *(F.col(c).alias(c + "w") for c in ("fp", "n", "bins", "root")), F.col("v").alias("w"))
+    light = small.join(other, "key").where((F.col("v") < F.col("w")) & (F.col("root") != F.col("rootw")) & near("", "w")).select(*pair)
+    cross = cut(light.distinct().join(first, ["lo", "hi"], "left_anti"))
+    more = verified(cross, texts, docs, shingle, similarity)
+    crowded = cut(placed.where(F.col("c") > CROWD).select("key", "c", "v", "n", "root"))
     # a bucket within one component has nothing to compare
     split = crowded.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 < r1").select("key")
-    dealt = crowded.join(split, "key").withColumn("_n", F.ceil(F.col("c") / BLOCK).cast("int")).withColumn("_b", F.pmod(F.xxhash64("v"), F.col("_n")).cast("int"))
-    at = lambda i, j: F.struct("key", F.col(i).alias("i"), F.col(j).alias("j")).alias("key")
-    rest = ("v", "fp", "n", "bins", "root")
-    left = dealt.withColumn("_o", F.explode(F.sequence("_b", F.col("_n") - 1))).select(at("_b", "_o"), *rest)
-    right = dealt.withColumn("_o", F.explode(F.sequence(F.lit(0), "_b"))).select(at("_o", "_b"), *rest)
-    once = (F.col("key.i") < F.col("key.j")) | (F.col("v") < F.col("w"))
-    heavy = left.join(other(right), "key").where(once & apart & near("", "w")).select(*pair)
-    cross = cut(light.unionByName(heavy).distinct().join(first, ["lo", "hi"], "left_anti"))
-    more = verified(cross, texts, docs, shingle, similarity)
-    found = components(found.select(F.col("root").alias("lo"), F.col("node").alias("hi")).unionByName(more))
+    tied = crowd_links(cut(crowded.join(split, "key")), texts, docs, shingle, similarity)
+    found = components(found.select(F.col("root").alias("lo"), F.col("node").alias("hi")).unionByName(more).unionByName(tied))
     rooted = texts.select("node", "id", "v").join(found.withColumnRenamed("node", "_v"), F.col("v") == F.col("_v"), "left")
     return rooted.select("node", "id", F.coalesce("root", "v").alias("root"))
 

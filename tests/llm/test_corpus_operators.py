@@ -285,6 +285,53 @@ def test_near_groups_of_crowded_buckets(spark, monkeypatch, hubs):
     assert groups_of(docs) == near_by_hand(texts)
 
 
+def test_near_groups_of_many_unlike_texts_in_a_bucket(spark, monkeypatch):
+    """Members of a large bucket that are near, but not near enough, make no pairs as rows; those that are near enough are found."""
+    monkeypatch.setattr(simhash, "CROWD", 8)
+    rng, counts, verified = random.Random(13), [], simhash.verified
+    monkeypatch.setattr(simhash, "verified", lambda pairs, *a: (counts.append(pairs.count()), verified(pairs, *a))[1])
+    pool, texts = [f"w{i}" for i in range(3000)], {}
+    base = rng.choices(pool, k=150)
+    for i in range(200):
+        w = base[:]
+        for at in rng.sample(range(150), 4):
+            w[at] = rng.choice(pool)
+        texts[i] = " ".join(w)
+        if i % 5 == 0:
+            w[0] = rng.choice(pool)
+            texts[1000 + i] = " ".join(w)
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string").repartition(5)
+    want = near_by_hand(texts)
+    assert 100 < len(set(want.values())) < len(want)
+    assert groups_of(docs) == want
+    assert counts[1] < 2 * len(texts)  # beside what is compared with hubs
+
+
+def test_block_links_by_hand(monkeypatch):
+    """Shared shingles are counted alike by products and by postings; links tie what pairs by hand tie."""
+    rng = random.Random(14)
+    sets = [np.unique(np.array([rng.randrange(60) for _ in range(rng.choice([0, 1, 5, 30]))], "<i8")) for _ in range(90)]
+    sets += [np.unique(np.append(s, 99)) for s in sets[:40]]
+    part = lambda ids: (np.array(ids), np.array(ids) // 2, np.array([len(sets[i]) for i in ids]), np.concatenate([sets[i] for i in ids]))
+    a, b = part(list(range(0, 130, 2))), part(list(range(1, 130, 2)))
+    want = [[len(np.intersect1d(sets[i], sets[j])) for j in b[0]] for i in a[0]]
+    for dense in (0, 20, 1 << 30):
+        monkeypatch.setattr(simhash, "DENSE", dense)
+        monkeypatch.setattr(simhash, "_PAIRS", 100)
+        assert simhash.shared_counts(*a[2:], *b[2:]).tolist() == want
+    alike = [(i, j) for x, i in enumerate(a[0]) for y, j in enumerate(b[0]) if i // 2 != j // 2 and want[x][y] >= 0.8 * (len(sets[i]) + len(sets[j]) - want[x][y]) - 1e-9]
+
+    def roots(pairs):
+        top = list(range(65))
+        for _ in top:
+            for i, j in pairs:
+                top[i // 2] = top[j // 2] = min(top[i // 2], top[j // 2])
+        return top
+
+    got = simhash.block_links(a, b)
+    assert roots(got) == roots(alike) and len(got) == 65 - len(set(roots(alike))) and {tuple(sorted(p)) for p in got} <= {tuple(sorted(map(int, p))) for p in alike}
+
+
 @pytest.mark.parametrize("crowd", [simhash.CROWD, 3, 0])
 def test_links_of_random_fingerprints(spark, monkeypatch, crowd):
     """Chains and crowds of near fingerprints, by either way of linking a cell."""
