@@ -448,3 +448,15 @@ def test_symmetric_affinities_of_some_points(spark):
     whole = {(r.i, r.j): r.p for r in tsne.symmetrize(tsne.conditional_fixed(near, 1.5), 40).collect()}
     got = {(r.i, r.j): r.p for r in tsne.symmetric_fixed(near.where("i % 10 = 0"), tsne.kernel_totals(pts, 1.5, block=9), 40, 1.5).collect()}
     assert got == pytest.approx({k: p for k, p in whole.items() if k[0] % 10 == 0})
+
+
+def test_fuzzy_deals_few_labels_over_tasks_and_sorts_no_pair(spark):
+    tax = spark.createDataFrame([(3 * i + 7, f"fn {i:04d}") for i in range(300)], "l3_id long, l3 string")
+    lost = spark.createDataFrame([("fn 01x7",), ("FN 0042",), (None,)], "raw_label string")
+    for how in ("edit", "jaccard"):
+        got = labelling.fuzzy(lost, tax, how)
+        plan = got._jdf.queryExecution().executedPlan().toString()
+        assert "SortAggregate" not in plan[: plan.index("REPARTITION_BY_NUM")], how
+        rows = {r.raw_label: (r.l3_id, r.sim) for r in got.collect()}
+        assert rows[None] == (7, None) and rows["FN 0042"][0] == 3 * 42 + 7
+        assert rows["fn 01x7"][0] == (3 * 107 + 7 if how == "edit" else 7)
