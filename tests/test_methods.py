@@ -460,3 +460,20 @@ def test_fuzzy_deals_few_labels_over_tasks_and_sorts_no_pair(spark):
         rows = {r.raw_label: (r.l3_id, r.sim) for r in got.collect()}
         assert rows[None] == (7, None) and rows["FN 0042"][0] == 3 * 42 + 7
         assert rows["fn 01x7"][0] == (3 * 107 + 7 if how == "edit" else 7)
+
+
+def test_edits_of_words_and_cells_agree_with_spark(spark):
+    from opatlas.functions.edits import Names
+    from opatlas.functions.text import edit_ratio
+
+    rng = np.random.default_rng(3)
+    word = lambda n: "".join(rng.choice(list("abß語😀 "), n))
+    names = ["", *(word(n) for n in (1, 2, 5, 5, 9, 63, 64, 65, 70, 130) for _ in range(4))]
+    asked = ["", "zz", *(word(n) for n in (1, 5, 8, 63, 64, 65, 90)), names[30][:60] + "x", names[40] + "y"]
+    pairs = spark.createDataFrame([(a, i, b) for a in asked for i, b in enumerate(names)], "a string, i int, b string")
+    rows = pairs.select("a", "i", edit_ratio(F.col("a"), F.col("b")).alias("s")).collect()
+    index = Names(names)
+    for a in asked:
+        want = min((-round(r.s, 9), r.i) for r in rows if r.a == a)
+        place, sim = index.nearest(a)
+        assert (-round(sim, 9), place) == want, a
