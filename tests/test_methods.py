@@ -450,6 +450,32 @@ def test_symmetric_affinities_of_some_points(spark):
     assert got == pytest.approx({k: p for k, p in whole.items() if k[0] % 10 == 0})
 
 
+def test_symmetric_affinities_of_all_points(spark):
+    """Blocks give what rows of all pairs give, with repeated ids, an id in two groups, and vectors that lack values."""
+    rng = np.random.default_rng(5)
+    rows = [(i, [float(x) for x in rng.normal(size=4)], i % 2) for i in range(60)] + [(7, [0.5] * 4, 1), (8, [0.1] * 4, 1), (60, None, 0), (61, [None, 1.0, 0.0, 0.0], 1)]
+    rows += [(62, [1.0] * 4, None), (None, [1.0] * 4, 0), (63, [1.0] * 4, 3), (64, [0.5, 0.5], 0)]
+    points = lambda r: spark.createDataFrame(r, "vec_id long, embedding array<float>, label int")
+
+    def want(rows):
+        near = []
+        for i, v, c in rows:
+            for j, w, d in rows:
+                if None not in (i, j, c, d) and i != j and c == d:
+                    both = [(x - y) ** 2 for x, y in zip(np.array(v or [], np.float32).astype(float), np.array(w or [], np.float32).astype(float)) if not np.isnan(x - y)]
+                    near.append((i, j, float(sum(both)) if both else None))
+        near = spark.createDataFrame(near, "i long, j long, d2 double")
+        return {(r.i, r.j): r.p for r in tsne.symmetrize(tsne.conditional_fixed(near, 1.5), len(rows)).collect()}
+
+    for part in (rows, rows[:60]):
+        known = want(part)
+        for block in (7, 1000):
+            got = tsne.symmetric_whole(points(part), 1.5, block=block).collect()
+            assert len(got) == len(known) and {(r.i, r.j) for r in got} == set(known)
+            assert all(r.p == (None if known[r.i, r.j] is None else pytest.approx(known[r.i, r.j])) for r in got)
+    assert tsne.symmetric_whole(points([]), 1.5).count() == 0
+
+
 def test_fuzzy_deals_few_labels_over_tasks_and_sorts_no_pair(spark):
     tax = spark.createDataFrame([(3 * i + 7, f"fn {i:04d}") for i in range(300)], "l3_id long, l3 string")
     lost = spark.createDataFrame([("fn 01x7",), ("FN 0042",), (None,)], "raw_label string")

@@ -102,6 +102,14 @@ def test_recall_of_all_vectors(spark):
     assert RUNS["a_trust"](spark, SF).first()["recall"] == pytest.approx(want, abs=2e-3)
 
 
+def test_symmetric_affinities_of_every_vector(spark):
+    rows = spark.read.parquet(f"{SF}/embeddings.parquet").select("vec_id", "label").collect()
+    sizes = {c: sum(r.label == c for r in rows) for c in {r.label for r in rows}}
+    got = RUNS["a_tsne_sym"](spark, SF).collect()
+    assert {r.i for r in got} == {r.vec_id for r in rows if sizes[r.label] > 1}
+    assert len(got) == sum(n * (n - 1) for n in sizes.values()) and sum(r.p for r in got) == pytest.approx(1, abs=1e-4)
+
+
 def test_model_selection_takes_the_defaults(spark, monkeypatch):
     """K = 1..500 and the library's own steps, iterations and landmarks."""
     from opatlas.operators import gmm, tsne
