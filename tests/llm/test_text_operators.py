@@ -211,6 +211,38 @@ def test_media(odd, none):
     assert media.load(media.store(media.pad(big))) == media.pad(big)
 
 
+def test_store_uses_its_tools_at_every_size():
+    """Palettes, own codes, references and differences make large payloads small, and all come back."""
+    rng = np.random.default_rng(2)
+    four, sixteen = (rng.integers(0, n, 100_000).astype(np.uint8).tobytes() for n in (4, 16))
+    upper = (b"XQZ"[i] for i in rng.choice(3, 50_000, p=[0.98, 0.01, 0.01]))
+    passage = rng.integers(0, 256, 20_000, np.uint8).tobytes()
+    ramp = (np.cumsum(rng.integers(0, 2, 64_000)) & 255).astype(np.uint8).tobytes()
+    most = {four: 25_500, sixteen: 50_500, bytes(upper): 3_000, passage * 4: 21_000, ramp: 13_000, b"x" * 300_000: 400}
+    for payload, size in most.items():
+        p = media.pad(payload)
+        stored = media.store(p)
+        assert len(stored) <= size and media.load(stored) == p
+    for size in (0, 1, 7, 8, 9, 64, 65, 5_000, 70_000):
+        for different in (1, 2, 16, 17, 256):
+            p = media.pad(rng.integers(0, different, size).astype(np.uint8).tobytes() * 2)
+            assert media.load(media.store(p)) == p
+
+
+def test_webp_references_across_windows(monkeypatch):
+    """The quick reader gives what the reader of single pixels gives, wherever its windows end."""
+    rng = np.random.default_rng(3)
+    words = [rng.integers(97, 123, int(n)).astype(np.uint8).tobytes() for n in rng.integers(2, 12, 40)]
+    samples = np.frombuffer(media.pad(b" ".join(words[int(i)] for i in rng.integers(0, 40, 900))), np.uint8)
+    image = webp.container(webp.encode_samples(samples, 64))
+    for window in (1, 2, 3, 7, 64, 1 << 15):
+        monkeypatch.setattr(webp, "WINDOW", window)
+        assert (webp.decode(image)[..., 2].ravel() == samples).all()
+    for end in range(30, len(image) - 1, 37):
+        with pytest.raises((ValueError, IndexError)):
+            webp.decode(image[:end])
+
+
 def test_pixel_arrays(spark, odd):
     got = media.pixel_arrays(media.store_texts(odd.where("doc_id IN (1, 3)")).select("doc_id", "media")).collect()
     assert all(len(r.argb) == 4 * r.height * r.width for r in got)
